@@ -1,13 +1,15 @@
 """The queries of this subpackage by name, and their SQL where SQL can express them."""
 
-from . import exact_dedup, simhash
+from . import byte_bpe, exact_dedup, simhash, substring_dedup
 
 QUERIES = {
     f.__name__: f
     for f in (
+        byte_bpe.op2_byte_bpe,
         simhash.op6_simhash_near_dedup,
         exact_dedup.op9_exact_dedup,
+        substring_dedup.op10_substring_dedup,
     )
 }
 
-ORACLE_SQL = {"op9_exact_dedup": exact_dedup.OP9_SQL}
+ORACLE_SQL = {"op9_exact_dedup": exact_dedup.OP9_SQL, "op10_substring_dedup": substring_dedup.OP10_SQL}

@@ -1,12 +1,15 @@
 """The queries of this subpackage by name, and their SQL where SQL can express them."""
 
-from . import byte_bpe, exact_dedup, simhash, substring_dedup
+from . import byte_bpe, exact_dedup, language_id, quality, simhash, substring_dedup, toxicity
 
 QUERIES = {
     f.__name__: f
     for f in (
         byte_bpe.op2_byte_bpe,
+        language_id.op3_language_id,
+        quality.op4_quality,
         simhash.op6_simhash_near_dedup,
+        toxicity.op8_toxicity,
         exact_dedup.op9_exact_dedup,
         substring_dedup.op10_substring_dedup,
     )

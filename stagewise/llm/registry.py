@@ -1,13 +1,15 @@
 """The queries of this subpackage by name, and their SQL where SQL can express them."""
 
-from . import byte_bpe, exact_dedup, language_id, quality, simhash, substring_dedup, toxicity
+from . import byte_bpe, exact_dedup, language_id, mixing, quality, simhash, substring_dedup, topk, toxicity
 
 QUERIES = {
     f.__name__: f
     for f in (
+        mixing.op1_mixing,
         byte_bpe.op2_byte_bpe,
         language_id.op3_language_id,
         quality.op4_quality,
+        topk.op5_exact_topk,
         simhash.op6_simhash_near_dedup,
         toxicity.op8_toxicity,
         exact_dedup.op9_exact_dedup,
@@ -15,4 +17,4 @@ QUERIES = {
     )
 }
 
-ORACLE_SQL = {"op9_exact_dedup": exact_dedup.OP9_SQL, "op10_substring_dedup": substring_dedup.OP10_SQL}
+ORACLE_SQL = {"op5_exact_topk": topk.OP5_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "op10_substring_dedup": substring_dedup.OP10_SQL}

@@ -12,6 +12,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import itertools
+import re
 import struct
 from collections.abc import Iterable, Iterator
 
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import table, text_blocks
 
 #: Bounds of a worker's tables; each is emptied and filled anew when full.
-MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 250_000, 250_000, 400_000, 48
+MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 500_000, 500_000, 1_200_000, 48
 DECODE_STEP = 1 << 16
 
 
@@ -146,7 +147,9 @@ class Transducer:
         while agreed < shortest and len({chain[agreed] for chain, _ in alive}) == 1:
             agreed += 1
         out = alive[0][0][:agreed]
-        state = (out[-1] if out else last, tuple((chain[agreed:], node) for chain, node in alive))
+        rest = tuple((chain[agreed:], node) for chain, node in alive)
+        # the last token emitted matters to guesses that hold none of their own
+        state = ((out[-1] if out else last) if agreed == shortest else -1, rest)
         self.made += 1
         move = self.moves[n][byte] = (self._state(state), pack_ids(out))
         return move
@@ -209,17 +212,38 @@ class Utf8Stream:
         return rest
 
 
+def ascii_pattern(pattern: str) -> re.Pattern | None:
+    """The same splitting for ASCII text in the standard library's faster engine; None if the pattern has classes unknown here."""
+    out, inside, i = [], False, 0
+    while i < len(pattern):
+        if pattern.startswith((r"\p{L}", r"\p{N}"), i):
+            chars = "A-Za-z" if pattern[i + 3] == "L" else "0-9"
+            out.append(chars if inside else f"[{chars}]")
+            i += 5
+            continue
+        if pattern.startswith((r"\p", r"\P"), i):
+            return None
+        step = 2 if pattern[i] == "\\" else 1
+        if step == 1:
+            inside = pattern[i] == "[" or inside and pattern[i] != "]"
+        out.append(pattern[i : i + step])
+        i += step
+    return re.compile("".join(out), re.ASCII)
+
+
 class Codec:
     """Encoding and decoding of whole texts with one vocabulary and one pattern."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.pieces = Pieces(Transducer(ranks))
         self.split = regex.compile(pattern).findall
+        quick = ascii_pattern(pattern)
+        self.split_ascii = quick.findall if quick else self.split
         self.bytes_of = self.pieces.transducer.bytes_of
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        return b"".join(map(self.pieces.__getitem__, self.split(text)))
+        return b"".join(map(self.pieces.__getitem__, (self.split_ascii if text.isascii() else self.split)(text)))
 
     def decode(self, ids: Iterable[int]) -> Iterator[bytes]:
         """Whole characters as they become complete; bytes that end no character come last."""

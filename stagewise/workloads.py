@@ -1,13 +1,525 @@
-"""Experiment workloads and operator queries by name."""
+"""Experiment workloads and measures by name, each with the SQL that tells its rows where SQL can."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions import theory as T
+from .functions.hashing import portable_hash, portable_sql
+from .operators import applications as A
+from .operators import filters as X
+from .operators import native as N
+from .operators import relational
+from .plans.storage import keep
+from .sources.tables import read_table
+from .streaming import flows
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+    def add(f: Query) -> Query:
+        QUERIES[name] = f
+        if sql:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return add
+
+
+#: name: table, key columns, predicate that makes a key positive
+UNIVERSES = {
+    "orders": ("orders", ["o_orderkey"], "o_orderpriority = '1-URGENT'"),
+    "events": ("events", ["event_id"], "event_type = 'purchase'"),
+    "returned": ("lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], "l_returnflag = 'R'"),
+    "seventh": ("lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], "l_linenumber = 7"),
+    "fifty": ("lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], "l_quantity = 50"),
+    "brand": ("part", ["p_partkey"], "p_brand = 'Brand#1'"),
+}
+
+
+def universe(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, list[str]]:
+    table, keys, predicate = UNIVERSES[name]
+    return read_table(spark, sf_dir, table).select(*keys, F.coalesce(F.expr(predicate), F.lit(False)).alias("y")), keys
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    df, keys = universe(spark, sf_dir, "orders")
+    return X.staged(df, keys, "y").probe(df.select(*keys), keys)
 
 
-QUERIES: dict = {}
-ORACLE_SQL: dict[str, str] = {}
+# --- every filter over a universe: exact ones give the predicate back, approximate ones never deny a positive ------------------------
+
+
+def _exact(name: str, of: str, build: Callable[[DataFrame, list[str]], X.FilterHandle]) -> None:
+    table, keys, predicate = UNIVERSES[of]
+    cols = ", ".join(keys)
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df, keys = universe(spark, sf_dir, of)
+        return build(df, keys).probe(df.select(*keys).distinct(), keys)
+
+    query(name, f"SELECT {cols}, bool_or({predicate}) AS hit FROM {table} GROUP BY {cols}")(run)
+
+
+def _approximate(name: str, of: str, build: Callable[[DataFrame, list[str]], X.FilterHandle], most: float) -> None:
+    """One row: keys, positives, positives denied (none), and whether the rate stays below ``most``."""
+    table, keys, predicate = UNIVERSES[of]
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df, keys = universe(spark, sf_dir, of)
+        return build(df, keys).confusion().select("u", "n", "fn", (F.col("fpr") <= most).alias("rate_held"))
+
+    cols = ", ".join(keys)
+    query(
+        name,
+        f"SELECT count(*) AS u, CAST(sum(CASE WHEN p THEN 1 ELSE 0 END) AS BIGINT) AS n, CAST(0 AS BIGINT) AS fn, true AS rate_held "
+        f"FROM (SELECT {cols}, bool_or({predicate}) AS p FROM {table} GROUP BY {cols})",
+    )(run)
+
+
+_approximate("f01_bloom", "orders", lambda d, k: X.single(d, k, "y", "bloom", 0.02), 0.03)
+_approximate("f02_bloom_of_given_bits", "events", lambda d, k: X.single(d, k, "y", "bloom", 0.05, {"bits": 20_000}), 0.2)
+_approximate("f05_blocked_bloom", "orders", lambda d, k: X.single(d, k, "y", "blocked", 0.02), 0.05)
+_approximate("f06_counting_bloom", "orders", lambda d, k: X.single(d, k, "y", "counting", 0.02), 0.03)
+_approximate("f08_cuckoo_filter", "orders", lambda d, k: X.single(d, k, "y", "cuckoo", 0.02), 0.03)
+_approximate("f09_xor_uniform", "orders", lambda d, k: X.single(d, k, "y", "xor", 1 / 64), 0.03)
+_approximate("f10_xor_coupled", "orders", lambda d, k: X.single(d, k, "y", "xor", 1 / 64, {"layout": "coupled"}), 0.03)
+_exact("f11_retrieval_fair_coin", "orders", lambda d, k: X.single(d, k, "y", "retrieval"))
+_exact("f12_retrieval_constant", "orders", lambda d, k: X.single(d, k, "y", "retrieval", 0.0, {"strategy": "b", "layout": "coupled"}))
+_approximate("f13_partial_retrieval", "orders", lambda d, k: X.single(d, k, "y", "retrieval", 0.1), 0.13)
+_exact("f15_edge_map", "orders", lambda d, k: X.single(d, k, "y", "edge_map"))
+_exact("f16_colour_map", "orders", lambda d, k: X.single(d, k, "y", "colour_map"))
+_exact("s01_staged_exact", "orders", lambda d, k: X.staged(d, k, "y"))
+_exact("s01_staged_exact_pushdown", "events", lambda d, k: X.staged_pushdown(d, k, "y"))
+_exact("s01_staged_wide_keys", "returned", lambda d, k: X.staged(d, k, "y"))
+_exact("s01_staged_sparse", "fifty", lambda d, k: X.staged(d, k, "y"))
+_exact("s01_staged_coupled", "seventh", lambda d, k: X.staged(d, k, "y", layout="coupled"))
+_exact("s01_staged_small_n", "brand", lambda d, k: X.staged(d, k, "y"))
+_approximate("s04_staged_general_a", "orders", lambda d, k: X.staged(d, k, "y", eps=0.05), 0.07)
+_approximate("s04_staged_general_b", "orders", lambda d, k: X.staged(d, k, "y", eps=0.05, strategy="b"), 0.09)
+_exact("s05_chain", "fifty", lambda d, k: X.chain(d, k, "y", [X.Stage("xor", 0.5), X.Stage("bloom", 0.25), X.Stage("cuckoo", 0.5), X.Stage("retrieval")]))
+_exact("s06_staged_dynamic_second", "orders", lambda d, k: X.staged(d, k, "y", second="colour_map"))
+_exact("s07_staged_dynamic_first", "orders", lambda d, k: X.staged(d, k, "y", first="cuckoo", second="edge_map"))
+_exact("s08_alternating", "orders", lambda d, k: X.alternating(d, k, "y"))
+_exact("s09_alternating_tail", "orders", lambda d, k: X.alternating(d, k, "y", tail="retrieval", max_layers=4))
+_exact("s09_alternating_dynamic_tail", "orders", lambda d, k: X.alternating(d, k, "y", tail="edge_map", max_layers=4))
+_exact("s10_alternating_cuckoo", "events", lambda d, k: X.alternating(d, k, "y", first="cuckoo", tail="retrieval", max_layers=6))
+_approximate("s11_alternating_three_layers", "orders", lambda d, k: X.alternating(d, k, "y", max_layers=3), 0.2)
+
+
+@query("s02_majority_positive", "SELECT o_orderkey, EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey) AS hit FROM orders")
+def _majority(spark, sf_dir):
+    """Nearly all keys are positive: the planner swaps the roles."""
+    lines = read_table(spark, sf_dir, "lineitem", "l_orderkey").distinct().withColumn("y", F.lit(True))
+    orders = read_table(spark, sf_dir, "orders", "o_orderkey")
+    df = orders.join(lines, orders.o_orderkey == lines.l_orderkey, "left").select("o_orderkey", F.coalesce("y", F.lit(False)).alias("y"))
+    return X.staged(df, ["o_orderkey"], "y").probe(orders, ["o_orderkey"])
+
+
+@query("s06_exclude_online", "SELECT event_id, event_type = 'purchase' AS hit FROM events")
+def _exclude(spark, sf_dir):
+    """Built on half of the negatives; the other half is excluded afterwards, then half of the positives included."""
+    df, k = universe(spark, sf_dir, "events")
+    early = df.where("event_id % 2 = 0")
+    late = df.where("event_id % 2 = 1")
+    h = X.staged(early, k, "y", first="bloom", second="edge_map")
+    h = h.updated(include=late.where("y"), exclude=late.where("not y"), keys=k)
+    return h.probe(df.select(*k), k)
+
+
+@query("s14_probe_depth")
+def _depth(spark, sf_dir):
+    df, k = universe(spark, sf_dir, "orders")
+    return X.alternating(df, k, "y").probe_depth(df, k).groupBy("y", "depth").agg(F.count(F.lit(1)).alias("keys"))
+
+
+@query("f01_bloom_native", "SELECT o_orderkey, true AS hit FROM orders WHERE o_orderpriority = '1-URGENT'")
+def _native(spark, sf_dir):
+    """Built and probed without Python; positives are all found."""
+    df, _ = universe(spark, sf_dir, "orders")
+    words = N.bloom_words(df.where("y"), "o_orderkey", 1 << 15, 5)
+    return N.bloom_hits(df.where("y").select("o_orderkey"), "o_orderkey", words, 1 << 15, 5)
+
+
+@query("f03_bloom_union", "SELECT o_orderkey, true AS hit FROM orders WHERE o_orderpriority = '1-URGENT'")
+def _union(spark, sf_dir):
+    df, _ = universe(spark, sf_dir, "orders")
+    pos = df.where("y")
+    words = N.bloom_union(N.bloom_words(pos.where("o_orderkey % 2 = 0"), "o_orderkey", 1 << 15, 5), N.bloom_words(pos.where("o_orderkey % 2 = 1"), "o_orderkey", 1 << 15, 5))
+    return N.bloom_hits(pos.select("o_orderkey"), "o_orderkey", words, 1 << 15, 5)
+
+
+@query("f04_jvm_bloom")
+def _jvm(spark, sf_dir):
+    df = read_table(spark, sf_dir, "orders", "o_orderkey")
+    return spark.createDataFrame([(N.jvm_bloom_bits(df, "o_orderkey", 15_000, 0.01),)], "bits long")
+
+
+@query("f06_counting_delete", "SELECT CAST(0 AS BIGINT) AS counters_left")
+def _delete(spark, sf_dir):
+    """Inserting and deleting the same keys leaves nothing."""
+    df = read_table(spark, sf_dir, "orders", "o_orderkey")
+    both = df.withColumn("s", F.lit(1)).unionByName(df.withColumn("s", F.lit(-1)))
+    return N.counting_words(both, "o_orderkey", 1 << 16, 4, "s").agg(F.count(F.lit(1)).alias("counters_left"))
+
+
+@query("b15_portable_bloom_bits", "SELECT count(DISTINCT b) AS bits FROM (SELECT unnest([" + ", ".join(f"{portable_sql('event_id', i)} % 16384" for i in range(3)) + "]) AS b FROM events WHERE event_type = 'purchase')")
+def _portable(spark, sf_dir):
+    df, _ = universe(spark, sf_dir, "events")
+    return N.portable_bloom(df.where("y"), "event_id", 16384, 3).agg(F.count(F.lit(1)).alias("bits"))
+
+
+@query("g01_relational_peel", "SELECT count(*) AS keys, count(*) AS slots FROM (SELECT p_partkey FROM part)")
+def _peel(spark, sf_dir):
+    """Every key gets a cell of its own."""
+    part = read_table(spark, sf_dir, "part", "p_partkey")
+    return N.peel_relational(part, "p_partkey", int(part.count() * 1.35) + 30).agg(F.countDistinct("k").alias("keys"), F.countDistinct("slot").alias("slots"))
+
+
+# --- costs ---------------------------------------------------------------------------------------------------------------------
+
+_G = lambda x: f"(CASE WHEN ({x}) > 0 THEN (({x})+1)*(-(1/(({x})+1))*log2(1/(({x})+1)) - (1-1/(({x})+1))*log2(1-1/(({x})+1))) ELSE 0 END)"
+_LAMS = (2.0, 3.0, 4.0, 8.0, 16.0, 64.0, 1000.0)
+_EPS = (0.001, 0.01, 0.1, 0.25)
+
+
+def _rounded(df: DataFrame) -> DataFrame:
+    return df.select(*[F.round(c, 6).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes])
+
+
+@query(
+    "t01_bounds_and_costs",
+    "SELECT lam, round(lb, 6) AS lb, round(k + 1 + lam / power(2, k), 6) AS staged_int, round(log2(2 * exp(1) * lam * ln(2)), 6) AS staged, "
+    "round((log2(lam) + 3) / ln(2), 6) AS alternating, round((k + 1 + lam / power(2, k)) / lb, 6) AS overhead "
+    f"FROM (SELECT lam, {_G('lam')} AS lb, floor(log2(lam)) AS k FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _LAMS)}]) AS lam))",
+)
+def _costs(spark, sf_dir):
+    lam = F.col("lam")
+    return _rounded(
+        spark.createDataFrame([(x,) for x in _LAMS], "lam double").select(
+            "lam", T.lb_exact(lam).alias("lb"), T.cost_staged_int(lam).alias("staged_int"), T.cost_staged(lam).alias("staged"), T.cost_alternating(lam).alias("alternating"), T.staged_overhead(lam).alias("overhead")
+        )
+    )
+
+
+@query(
+    "w9_cost_surface",
+    f"SELECT eps, lam, round({_G('lam')} - {_G('eps*lam')}, 6) AS lb, round(least(-log2(eps), lam + 1 - 2*eps*lam), 6) AS single, classes "
+    f"FROM (SELECT eps, lam, 'general' AS classes FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _EPS)}]) AS eps) CROSS JOIN (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _LAMS)}]) AS lam))",
+)
+def _surface(spark, sf_dir):
+    grid = spark.createDataFrame([(e, x) for e in _EPS for x in _LAMS], "eps double, lam double")
+    eps, lam = F.col("eps"), F.col("lam")
+    return _rounded(grid.select("eps", "lam", T.lb(eps, lam).alias("lb"), T.cost_single(eps, lam).alias("single"), T.classify(eps, lam).alias("classes")))
+
+
+@query("t16_general_costs")
+def _general(spark, sf_dir):
+    grid = spark.createDataFrame([(e, x) for e in _EPS for x in _LAMS], "eps double, lam double")
+    eps, lam = F.col("eps"), F.col("lam")
+    return grid.select("eps", "lam", T.general_a(eps, lam).alias("a"), T.general_b(eps, lam).alias("b"), T.cost_general(eps, lam).alias("best"), T.partial_b(eps, lam).alias("partial_b"))
+
+
+@query("t21_plans")
+def _plans(spark, sf_dir):
+    rows = []
+    for lam in _LAMS:
+        steps, cost = T.plan_chain(0.0, lam)
+        rows.append((lam, len(steps), float(cost), float(T.and_envelope(lambda e, x: T.cost_single(e, x), 0.0, lam, 24)), T.plan(1000, int(1000 * (lam + 1))).kind))
+    return spark.createDataFrame(rows, "lam double, stages int, cost double, envelope double, plan string")
+
+
+@query("t24_layer_plan")
+def _layers(spark, sf_dir):
+    return spark.createDataFrame([(lam, *r) for lam in (4.0, 16.0) for r in T.layer_plan(50_000, lam)], "lam double, layer int, rate double, bits double")
+
+
+@query("t25_elementary_costs")
+def _elementary(spark, sf_dir):
+    rows = [(k, e, float(T.elementary_cost(k, e, 4.0))) for k in ("bloom", "cuckoo", "xor", "retrieval", "edge_map", "colour_map") for e in (0.01, 0.1)]
+    return spark.createDataFrame(rows, "kind string, eps double, bits double")
+
+
+query("t29_complexity")(lambda spark, sf_dir: T.complexity_table(spark))
+
+_R = (0.10, 0.15, 0.20, 0.25, 0.30, 0.35, 0.40)
+
+
+@query(
+    "w3a_predictor_space",
+    f"SELECT r, round(lam, 6) AS lam, round(1e6 * r / (lam + 1) * (log2(lam) + 3) / ln(2) / 1e6, 2) AS ours, CAST(4.0 AS DOUBLE) AS locking "
+    f"FROM (SELECT r, 1 / (2*r/(1-exp(-2*r)) - 1) AS lam FROM (SELECT unnest([{', '.join(f'CAST({r} AS DOUBLE)' for r in _R)}]) AS r))",
+)
+def _predictor_space(spark, sf_dir):
+    r = F.col("r")
+    return spark.createDataFrame([(x,) for x in _R], "r double").select("r", F.round(T.predictor_lambda(r), 6).alias("lam"), F.round(T.predictor_space(r), 2).alias("ours"), F.lit(T.locking_space()).alias("locking"))
+
+
+@query("t28_entropy", "SELECT sum(c)::BIGINT AS n, count(*) AS symbols, round(sum(-(c / n) * log2(c / n)), 9) AS entropy FROM (SELECT event_type, count(*) AS c, sum(count(*)) OVER () AS n FROM events GROUP BY event_type)")
+def _entropy(spark, sf_dir):
+    return T.entropy_of(read_table(spark, sf_dir, "events", "event_type"), "event_type").withColumn("entropy", F.round("entropy", 9))
+
+
+# --- static dictionaries ---------------------------------------------------------------------------------------------------------
+
+
+def swept(spark: SparkSession, sf_dir: str, lam: int) -> DataFrame:
+    lines = read_table(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber").distinct()
+    k = F.concat_ws("-", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")
+    return lines.select(F.xxhash64("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber").alias("key"), (F.pmod(portable_hash(k, lam), F.lit(lam + 1)) == 0).alias("y"))
+
+
+@query("w1a_space_by_lambda")
+def _space(spark, sf_dir):
+    """Bits per positive of the staged filter, the exact table and the bound, lam 2 to 16."""
+    out = None
+    for lam in (2, 4, 8, 16):
+        df = swept(spark, sf_dir, lam)
+        ours, base = X.staged(df, ["key"], "y"), X.single(df, ["key"], "y", "retrieval")
+        row = spark.createDataFrame([(lam, ours.n, ours.bits() / ours.n, base.bits() / base.n, T.lb_exact(ours.lam))], "lam int, n long, staged double, exact double, bound double")
+        out = row if out is None else out.unionByName(row)
+    return out.withColumn("saved", 1 - F.col("staged") / F.col("exact")).withColumn("ratio", F.col("staged") / F.col("bound"))
+
+
+@query("w1a_classification", "SELECT count(*) AS u, CAST(0 AS BIGINT) AS wrong FROM (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey, l_linenumber FROM lineitem)")
+def _classified(spark, sf_dir):
+    df = swept(spark, sf_dir, 16)
+    return X.staged(df, ["key"], "y").probe(df, ["key"]).agg(F.count(F.lit(1)).alias("u"), F.sum((F.col("y") != F.col("hit")).cast("long")).alias("wrong"))
+
+
+@query("w1c_construction_success")
+def _success(spark, sf_dir):
+    """Share of seeds for which a table of C cells a key peels, by C and layout."""
+    import numpy as np
+    import pyarrow as pa
+
+    from .operators.elementary import peel, slots_np
+
+    grid = spark.createDataFrame([(layout, c / 100, s) for layout in ("uniform", "coupled") for c in range(105, 141, 5) for s in range(10)], "layout string, C double, seed int")
+
+    def run(batches):
+        keys = np.arange(20_000)
+        for b in batches:
+            done = []
+            for layout, c, s in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
+                m = int(c * len(keys))
+                done.append(peel(slots_np(keys, 1000 * s + 17, m, layout), m) is not None)
+            yield pa.record_batch([*b.columns, pa.array(done)], names=["layout", "C", "seed", "peeled"])
+
+    return grid.repartition(8).mapInArrow(run, "layout string, C double, seed int, peeled boolean").groupBy("layout", "C").agg(F.avg(F.col("peeled").cast("int")).alias("success"))
+
+
+# --- code stores ---------------------------------------------------------------------------------------------------------------
+
+
+def skew_string(spark: SparkSession, sf_dir: str, omega: int) -> DataFrame:
+    """(i, symbol): eight symbols whose shares grow as powers of omega."""
+    total = sum(omega**k for k in range(8))
+    h = portable_hash(F.concat_ws("-", "o_orderkey"), omega) / F.lit(float(1 << 32))
+    level, below = F.lit(0), 0
+    for k in range(7):
+        below += omega**k
+        level = level + (h >= below / total).cast("int")
+    return read_table(spark, sf_dir, "orders", "o_orderkey").select(F.col("o_orderkey").alias("i"), F.concat(F.lit("s"), level).alias("symbol"))
+
+
+@query("w2a_space_by_skew")
+def _skew(spark, sf_dir):
+    out = None
+    for omega in (3, 6, 10):
+        df = keep(skew_string(spark, sf_dir, omega))
+        ours, straw = A.huffman_store(df, "i", "symbol"), A.huffman_store(df, "i", "symbol", "single")
+        n, e = df.count(), T.entropy_of(df, "symbol").first()["entropy"]
+        row = spark.createDataFrame([(omega, n, e, ours.handle.bits() / n, straw.handle.bits() / n)], "omega int, n long, entropy double, staged double, strawman double")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w2b_decode_events", "SELECT event_id AS i, event_type AS symbol FROM events")
+def _decode(spark, sf_dir):
+    df = read_table(spark, sf_dir, "events", "event_id", "event_type").withColumnRenamed("event_id", "i")
+    return A.huffman_store(df, "i", "event_type").get(df.select("i"), "i")
+
+
+@query("w2c_random_access", "SELECT event_id AS i, event_type AS symbol FROM events WHERE event_id % 97 = 0")
+def _access(spark, sf_dir):
+    df = read_table(spark, sf_dir, "events", "event_id", "event_type").withColumnRenamed("event_id", "i")
+    return A.huffman_store(df, "i", "event_type").get(df.where("i % 97 = 0").select("i"), "i")  # the positions asked for
+
+
+@query("b04_sequential_huffman", "SELECT l_returnflag AS symbol, count(*) AS n FROM lineitem GROUP BY l_returnflag")
+def _sequential(spark, sf_dir):
+    df = read_table(spark, sf_dir, "lineitem", "l_orderkey", "l_linenumber", "l_returnflag").withColumn("i", F.monotonically_increasing_id())
+    blocks, code = A.huffman_blocks(df, "i", "l_returnflag")
+    return A.huffman_decode(blocks, code).groupBy("symbol").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("b05_pair_huffman")
+def _pairs(spark, sf_dir):
+    """Mean code length a symbol, single symbols against pairs of them."""
+    df = read_table(spark, sf_dir, "events", "event_id", "event_type")
+    pair = df.alias("a").join(df.alias("b"), F.expr("a.event_id + 1 = b.event_id and a.event_id % 2 = 0")).select(F.concat_ws("|", "a.event_type", "b.event_type").alias("s"))
+    out = []
+    for width, d in ((1, df.withColumnRenamed("event_type", "s")), (2, pair)):
+        code = A.huffman_code(d, "s")
+        counts = {r["s"]: r["c"] for r in d.groupBy("s").agg(F.count(F.lit(1)).alias("c")).collect()}  # a row a symbol
+        out.append((width, sum(len(code[s]) * c for s, c in counts.items()) / sum(counts.values()) / width))
+    return spark.createDataFrame(out, "width int, bits_per_symbol double")
+
+
+# --- two tables ------------------------------------------------------------------------------------------------------------------
+
+
+def _stored(spark, sf_dir):
+    df = read_table(spark, sf_dir, "orders", "o_orderkey")
+    return A.two_table_build(df, "o_orderkey", 0.4), df
+
+
+@query("p5_two_tables", "SELECT count(*) AS keys, CAST(0 AS BIGINT) AS shared_buckets FROM orders")
+def _placed(spark, sf_dir):
+    placed, _ = _stored(spark, sf_dir)
+    full = placed.groupBy("seg", "tbl", "bucket").agg(F.count(F.lit(1)).alias("n"))
+    return full.agg(F.sum("n").alias("keys"), F.sum((F.col("n") > 1).cast("long")).alias("shared_buckets"))
+
+
+@query("w3b_error_by_round")
+def _rounds(spark, sf_dir):
+    placed, _ = _stored(spark, sf_dir)
+    out = None
+    for r in (1, 2, 3, 4, 5, 7, 9):
+        row = A.predictor(placed, rounds=r).confusion().select(F.lit(r).alias("round"), "u", "fn", "fp", "error_rate")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w3c_tail_after_four", "SELECT count(*) AS u, CAST(0 AS BIGINT) AS wrong FROM orders")
+def _tail(spark, sf_dir):
+    placed, _ = _stored(spark, sf_dir)
+    return A.predictor(placed, rounds=4, tail="retrieval").confusion().select("u", (F.col("fn") + F.col("fp")).alias("wrong"))
+
+
+@query("w3d_reads_by_predictor")
+def _reads(spark, sf_dir):
+    placed, df = _stored(spark, sf_dir)
+    out = None
+    for name, h in (("none", None), ("bloom", A.predictor(placed, "bloom")), ("counting", A.predictor(placed, "counting")), ("alternating", A.predictor(placed))):
+        row = A.two_table_get(placed, h, df, "o_orderkey").agg(F.avg("reads").alias("reads")).withColumn("predictor", F.lit(name)).withColumn("bits", F.lit(h.bits() if h else 0))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w3d_values", "SELECT o_orderkey, lpad(CAST(o_orderkey AS VARCHAR), 36, '0') AS key36, md5(CAST(o_orderkey AS VARCHAR)) || md5('v' || CAST(o_orderkey AS VARCHAR)) AS value64, CAST(1 AS INTEGER) AS reads FROM orders")
+def _values(spark, sf_dir):
+    """Found by one read each, 36-byte keys and 64-byte values."""
+    placed, df = _stored(spark, sf_dir)
+    got = A.two_table_get(placed, A.predictor(placed), df, "o_orderkey")
+    text = F.col("o_orderkey").cast("string")
+    return got.select("o_orderkey", F.lpad(text, 36, "0").alias("key36"), F.concat(F.md5(text), F.md5(F.concat(F.lit("v"), text))).alias("value64"), "reads")
+
+
+@query("w3e_share_in_first_table")
+def _share(spark, sf_dir):
+    placed, _ = _stored(spark, sf_dir)
+    return placed.agg(F.sum((F.col("tbl") == 1).cast("long")).alias("n1"), F.sum((F.col("tbl") == 2).cast("long")).alias("n2")).withColumn("ratio", F.col("n1") / F.col("n2")).withColumn("expected", F.lit(T.predictor_lambda(0.4)))
+
+
+@query("b09_locking_predictor")
+def _locking(spark, sf_dir):
+    placed, _ = _stored(spark, sf_dir)
+    return A.locking_predictor(placed).agg(F.sum("moved").alias("moved"), F.sum("n2").alias("n2"), F.sum("bits").alias("bits"))
+
+
+# --- sorted runs -----------------------------------------------------------------------------------------------------------------
+
+
+def _event_runs(spark, sf_dir, n=7):
+    return keep(A.cut_runs(read_table(spark, sf_dir, "events", "event_id", "user_id", "ts", "value"), n, ["ts"]))
+
+
+@query("w4a_existing_keys", "SELECT count(*) AS keys, CAST(count(*) AS BIGINT) AS reads, CAST(0 AS BIGINT) AS wasted FROM events")
+def _existing(spark, sf_dir):
+    """With exact filters every existing key costs one read."""
+    runs = _event_runs(spark, sf_dir)
+    return A.runs_get(runs, "event_id", runs, A.runs_filters(runs, "event_id")).agg(F.count(F.lit(1)).alias("keys"), F.sum("reads").alias("reads"), F.sum("wasted").alias("wasted"))
+
+
+@query("w4a_reads_by_filter")
+def _run_reads(spark, sf_dir):
+    """P50, P95, P99 and mean of the reads of an existing key: no filter, Bloom of 1x and 2x the bits, staged."""
+    runs = _event_runs(spark, sf_dir)
+    own = runs.select("run", "event_id").withColumn("mine", F.lit(True))
+    staged = A.runs_filters(runs, "event_id")
+    per_key = staged.bits() / max(1, staged.n)
+    out = None
+    for name, h in (("0x", None), ("1x", X.single(own, ["run", "event_id"], "mine", "bloom", 2 ** (-T.LN2 * per_key))), ("2x", X.single(own, ["run", "event_id"], "mine", "bloom", 2 ** (-2 * T.LN2 * per_key))), ("staged", staged)):
+        row = A.runs_get(runs, "event_id", runs, h).agg(F.percentile("reads", F.array(F.lit(0.5), F.lit(0.95), F.lit(0.99))).alias("p"), F.avg("reads").alias("reads"), F.max("wasted").alias("most_wasted")).withColumn("filter", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w4b_missing_keys")
+def _missing(spark, sf_dir):
+    runs = _event_runs(spark, sf_dir)
+    gone = runs.select((F.col("event_id") + 1_000_000_007).alias("event_id"))
+    return A.runs_get(runs, "event_id", gone, A.runs_filters(runs, "event_id")).agg(F.count(F.lit(1)).alias("keys"), F.avg("reads").alias("reads"), F.max("wasted").alias("most_wasted"))
+
+
+@query("w4c_repeated_keys", "SELECT user_id AS key, CAST(0 AS INTEGER) AS wasted FROM events GROUP BY user_id")
+def _repeated(spark, sf_dir):
+    runs = _event_runs(spark, sf_dir)
+    return A.runs_get(runs, "user_id", runs, A.runs_filters(runs, "user_id")).select("key", "wasted")
+
+
+@query("p7_compaction", "SELECT user_id, max(ts) AS ts FROM events GROUP BY user_id")
+def _compacted(spark, sf_dir):
+    """Compacting all runs into one keeps each user's newest event."""
+    runs = _event_runs(spark, sf_dir)
+    newest = runs.groupBy("run", "user_id").agg(F.max("ts").alias("ts"))
+    return A.runs_compact(newest, "user_id", 7).select("user_id", "ts")
+
+
+# --- learned filters and filters in pipelines --------------------------------------------------------------------------------------
+
+
+@query("w5a_learned_filter")
+def _learned(spark, sf_dir):
+    df = read_table(spark, sf_dir, "documents", "doc_id", "text").join(read_table(spark, sf_dir, "labels", "doc_id", "quality"), "doc_id")
+    out = None
+    for backup in ("staged", "retrieval", "bloom"):
+        f = A.learned_build(df, "doc_id", "text", "quality", 0.01, 0.5, backup)
+        seen = f.probe(df, "doc_id")
+        row = seen.agg(F.count(F.lit(1)).alias("u"), F.sum(((F.col("quality") == 1) & ~F.col("hit")).cast("long")).alias("fn"), F.sum(((F.col("quality") == 0) & F.col("hit")).cast("long")).alias("fp")).withColumn("backup", F.lit(backup)).withColumn("bits", F.lit(f.backup.bits()))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w6_url_block_list", "SELECT page_id, host, host IN (SELECT DISTINCT split_part(split_part(url, '://', 2), '/', 1) FROM pages WHERE page_id % 5 = 0) AS blocked FROM (SELECT page_id, split_part(split_part(url, '://', 2), '/', 1) AS host FROM pages)")
+def _urls(spark, sf_dir):
+    """Hosts of every fifth page form the block list."""
+    pages = read_table(spark, sf_dir, "pages", "page_id", "url").select("page_id", F.split_part(F.split_part("url", F.lit("://"), F.lit(2)), F.lit("/"), F.lit(1)).alias("host"))
+    hosts = pages.groupBy("host").agg(F.max((F.col("page_id") % 5 == 0).cast("int")).alias("y")).select("host", (F.col("y") == 1).alias("y"))
+    return X.staged(hosts, ["host"], "y").probe(pages, ["host"], "blocked")
+
+
+@query("w6_semi_join_reduction", "SELECT count(*) AS lines, round(sum(l_extendedprice), 2) AS price FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderpriority = '1-URGENT')")
+def _reduced(spark, sf_dir):
+    orders, k = universe(spark, sf_dir, "orders")
+    lines = read_table(spark, sf_dir, "lineitem", "l_orderkey", "l_extendedprice").withColumnRenamed("l_orderkey", "o_orderkey")
+    return X.staged(orders, k, "y").probe(lines, k).where("hit").agg(F.count(F.lit(1)).alias("lines"), F.round(F.sum("l_extendedprice"), 2).alias("price"))
+
+
+@query("w7_hot_universe", "SELECT user_id, count(*) AS n FROM events WHERE user_id IN (SELECT user_id FROM events GROUP BY user_id HAVING count(*) FILTER (WHERE event_type = 'purchase') >= 5) GROUP BY user_id")
+def _hot(spark, sf_dir):
+    events = read_table(spark, sf_dir, "events", "user_id", "event_type")
+    users = events.groupBy("user_id").agg((F.sum((F.col("event_type") == "purchase").cast("int")) >= 5).alias("y"))
+    return X.staged(users, ["user_id"], "y").probe(events, ["user_id"]).where("hit").groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+for _name, (_f, _sql) in {**relational.OPERATORS, **flows.OPERATORS}.items():
+    query(_name, _sql)(_f)

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Fixed values of XXH64.
@@ -63,6 +65,13 @@ def portable_sql(key: str, seed: int) -> str:
     return f"CAST('0x' || substr(md5('{seed}:' || CAST({key} AS VARCHAR)), 1, 8) AS BIGINT)"
 
 
-def key64(*columns: Column) -> Column:
-    """One 64-bit key. A single integer column is kept as it is; anything else is digested."""
-    return columns[0] if len(columns) == 1 else F.xxhash64(*columns)
+def key64(df: DataFrame, keys: Sequence[str]) -> Column:
+    """One 64-bit key of a row: a single integer column as it is, anything else digested; null if any part is null."""
+    kinds = dict(df.dtypes)
+    if len(keys) == 1 and kinds[keys[0]] in ("tinyint", "smallint", "int", "bigint"):
+        return F.col(keys[0]).cast("long")
+    known = F.lit(True)
+    for c in keys:
+        known = known & F.col(c).isNotNull()
+    parts = [F.to_json(c) if kinds[c].startswith("map") else F.col(c) for c in keys]  # maps have no hash of their own
+    return F.when(known, F.xxhash64(*parts))

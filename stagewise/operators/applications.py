@@ -122,7 +122,7 @@ def huffman_decode(blocks: DataFrame, code: dict[str, str], block: int = 4096) -
 
 def two_table_build(df: DataFrame, key: str, load: float = 0.4, segment_keys: int = filters.SEGMENT_KEYS) -> DataFrame:
     """(k, seg, tbl, bucket): each key in its bucket of table 1 or 2, one key a bucket; placed by eviction inside a segment."""
-    keys = keep(df.select(key64(F.col(key)).cast("long").alias("k")).where("k is not null").distinct())
+    keys = keep(df.select(key64(df, [key]).alias("k")).where("k is not null").distinct())
     parts = max(1, math.ceil(keys.count() / segment_keys))
 
     def run(rows: pa.Table) -> pa.Table:
@@ -164,9 +164,54 @@ def predictor(placed: DataFrame, kind: str = "alternating", rounds: int | None =
     return filters.single(labelled, ["k"], "second", "counting", 0.05, **how)
 
 
+def adaptive_train(placed: DataFrame, rounds: int = 8, delta: float = 0.5) -> DataFrame:
+    """(round, u, wrong): errors of a predictor that is trained online, after each pass over the keys.
+
+    The layers have the sizes of an alternating filter but begin empty. A key that is predicted wrongly is put into the layer
+    that decided, and into the next ones, until its prediction is right.
+    """
+
+    def run(rows: pa.Table) -> pa.Table:
+        k, second = np.asarray(rows["k"].combine_chunks()), np.asarray(rows["tbl"].combine_chunks()) == 2
+        order = np.argsort(k)
+        k, second = k[order], second[order]
+        n = max(1, int(second.sum()))
+        plan = theory.layer_plan(n, max(1.0, (len(k) - n) / n), delta) + [(0, delta * delta, 64.0)] * 8
+        spots, layers = [], []
+        for i, (_, rate, bits) in enumerate(plan):
+            m, hashes = max(64, math.ceil(bits)), max(1, round(-math.log2(rate)))
+            spots.append(np.stack([below_np(hash_np(1000 * i + h, k), m) for h in range(hashes)], 1))
+            layers.append(np.zeros(m, bool))
+
+        def decided(x: np.ndarray) -> np.ndarray:
+            """The layer that says no, counted from 0; the answer is "second table" where it is odd."""
+            at = np.full(len(x), len(layers))
+            for i in reversed(range(len(layers))):
+                at[~layers[i][spots[i][x]].all(1)] = i
+            return at
+
+        out = []
+        everyone = np.arange(len(k))
+        for r in range(1, rounds + 1):
+            for lo in range(0, len(k), 256):  # keys arrive in small batches
+                x = everyone[lo : lo + 256]
+                for _ in range(len(layers)):
+                    at = decided(x)
+                    bad = ((at % 2 == 1) != second[x]) & (at < len(layers))
+                    if not bad.any():
+                        break
+                    for i in np.unique(at[bad]):
+                        layers[i][spots[i][x[bad & (at == i)]].ravel()] = True
+            out.append(int(((decided(everyone) % 2 == 1) != second).sum()))
+        return pa.table({"round": np.arange(1, rounds + 1, dtype=np.int32), "u": np.full(rounds, len(k)), "wrong": np.array(out)})
+
+    each = placed.select("k", "tbl", "seg").groupBy("seg").applyInArrow(run, "round int, u long, wrong long")
+    return each.groupBy("round").agg(F.sum("u").alias("u"), F.sum("wrong").alias("wrong")).withColumn("error_rate", F.col("wrong") / F.col("u"))
+
+
 def two_table_get(placed: DataFrame, handle: FilterHandle | None, df: DataFrame, key: str) -> DataFrame:
     """``df`` with tbl, bucket and the reads of a lookup: one if the predicted table is right, else two; without a predictor table 1 comes first."""
-    asked = df.withColumn("k", key64(F.col(key)).cast("long"))
+    asked = df.withColumn("k", key64(df, [key]))
     guessed = handle.probe(asked, ["k"], "second") if handle else asked.withColumn("second", F.lit(False))
     found = guessed.join(placed.select("k", "tbl", "bucket"), "k", "left")
     right = F.col("second") == (F.col("tbl") == 2)

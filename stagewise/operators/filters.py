@@ -116,8 +116,7 @@ class Spec:
 
 def normalise(df: DataFrame, keys: Sequence[str], label: str) -> DataFrame:
     """(k, is_pos): null keys and repeats gone; a key of both classes counts as positive, so no positive is ever denied."""
-    k = key64(*[F.col(c) for c in keys]).cast("long")
-    rows = df.where(" and ".join(f"`{c}` is not null" for c in keys)).select(k.alias("k"), F.col(label).cast("boolean").alias("p"))
+    rows = df.select(key64(df, keys).alias("k"), F.col(label).cast("boolean").alias("p")).where("k is not null")
     return rows.groupBy("k").agg(F.coalesce(F.max("p"), F.lit(False)).alias("is_pos"))
 
 
@@ -140,17 +139,14 @@ class FilterHandle:
     def probe(self, df: DataFrame, keys: Sequence[str], out: str = "hit", strategy: str = "auto") -> DataFrame:
         """``df`` with a boolean column; false for null keys. ``strategy``: auto, broadcast or shuffle."""
         small = strategy == "broadcast" or strategy == "auto" and self.bytes_ <= BROADCAST_BYTES
-        k = key64(*[F.col(c) for c in keys]).cast("long")
-        known = F.lit(True)
-        for c in keys:
-            known = known & F.col(c).isNotNull()
+        k = key64(df, keys)
         table = self.segments.select("seg", "n", "u", "stages", "tail")
         table = table.select(F.col("seg").alias("__seg"), F.struct("n", "u", "stages", "tail").alias("__f"))
         joined = df.withColumn("__k", k).withColumn("__s", segment_col(F.col("__k"), self.parts)).join(
             F.broadcast(table) if small else table.hint("shuffle_hash"), F.col("__s") == F.col("__seg"), "left"
         )
         # a segment without a row holds no key of either class
-        hit = F.when(known & F.col("__f").isNotNull(), _nested(self, "__f").expression(F.col("__k")))
+        hit = F.when(F.col("__k").isNotNull() & F.col("__f").isNotNull(), _nested(self, "__f").expression(F.col("__k")))
         return joined.select(*[df[c] for c in df.columns], F.coalesce(hit, F.lit(False)).alias(out))
 
     def space(self) -> DataFrame:
@@ -175,7 +171,7 @@ class FilterHandle:
 
     def probe_depth(self, df: DataFrame, keys: Sequence[str]) -> DataFrame:
         """``df`` with the number of layers that a query reads before one says no."""
-        k = key64(*[F.col(c) for c in keys]).cast("long")
+        k = key64(df, keys)
         table = self.segments.select(F.col("seg").alias("__seg"), F.struct("n", "u", "stages", "tail").alias("__f"))
         view = _nested(self, "__f")
         if self.spec.mode == "alternate":
@@ -201,7 +197,7 @@ class FilterHandle:
         fresh = spark.createDataFrame([], "k long, is_pos boolean")
         for df, truth in ((include, True), (exclude, False)):
             if df is not None:
-                fresh = fresh.unionByName(df.select(key64(*[F.col(c) for c in keys]).cast("long").alias("k"), F.lit(truth).alias("is_pos")).where("k is not null"))
+                fresh = fresh.unionByName(df.select(key64(df, keys).alias("k"), F.lit(truth).alias("is_pos")).where("k is not null"))
         fresh = keep(fresh.groupBy("k").agg(F.max("is_pos").alias("is_pos")).withColumn("seg", segment_col(F.col("k"), self.parts)))
         touched = fresh.select("seg").distinct()
         members = keep(self.keys.join(fresh.select("k"), "k", "left_anti").unionByName(fresh.select("k", "is_pos")))

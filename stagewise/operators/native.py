@@ -13,7 +13,7 @@ from ..plans.storage import keep
 
 def bloom_words(df: DataFrame, key: str, bits: int, hashes: int, seed: int = 1) -> DataFrame:
     """(word, bits): the words of a Bloom filter; each task combines its own before the shuffle."""
-    k = key64(F.col(key)).cast("long")
+    k = key64(df, [key])
     spots = F.array(*[below_col(hash_col(seed + i // 2, k), F.lit(bits), i % 2) for i in range(hashes)])
     return df.where(F.col(key).isNotNull()).select(F.explode(spots).alias("b")).groupBy(F.shiftright("b", 6).alias("word")).agg(
         F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("b").bitwiseAND(F.lit(63)).cast("int"))).alias("bits")
@@ -26,7 +26,7 @@ def bloom_union(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def bloom_hits(df: DataFrame, key: str, words: DataFrame, bits: int, hashes: int, seed: int = 1) -> DataFrame:
-    """``df`` with ``hit``; probes meet words by a shuffle on the word's number, so the filter may be of any size."""
+    """``df`` with ``hit``, for an integer key; probes meet words by a shuffle on the word's number, so the filter may be of any size."""
     asked = df.select(F.col(key).alias("__k")).where("__k is not null").distinct().select("__k", F.explode(_spots(bits, hashes, seed)).alias("b"))
     seen = asked.withColumn("word", F.shiftright("b", 6)).join(words, "word", "left")
     bit = F.call_function("shiftrightunsigned", F.coalesce("bits", F.lit(0).cast("long")), F.col("b").bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1))
@@ -40,7 +40,7 @@ def _spots(bits: int, hashes: int, seed: int) -> Column:
 
 def counting_words(df: DataFrame, key: str, cells: int, hashes: int, sign: str | None = None, seed: int = 1) -> DataFrame:
     """(cell, n): counters after inserting (sign 1) and deleting (sign -1) keys; they saturate at 15."""
-    k = key64(F.col(key)).cast("long")
+    k = key64(df, [key])
     spots = F.array(*[below_col(hash_col(seed + i // 2, k), F.lit(cells), i % 2) for i in range(hashes)])
     s = F.col(sign) if sign else F.lit(1)
     return df.where(F.col(key).isNotNull()).select(F.explode(spots).alias("cell"), s.alias("s")).groupBy("cell").agg(F.greatest(F.lit(0), F.least(F.lit(15), F.sum("s"))).alias("n")).where("n > 0")

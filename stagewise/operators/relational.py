@@ -334,13 +334,13 @@ def _maps(s, d):
     return m.select("user_id", F.coalesce(F.try_element_at("m", F.lit("view")), F.lit(0)).alias("views"))
 
 
-@op("nested", "SELECT conv_id, count(*) AS turns, sum(length(text)) AS chars FROM conversations GROUP BY conv_id")
+@op("nested", "SELECT conv_id, count(*) AS turns, CAST(sum(length(text)) AS BIGINT) AS chars FROM conversations GROUP BY conv_id")
 def _nested(s, d):
     packed = _t(s, d, "conversations").groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", "text")).alias("turns"))
     return packed.select("conv_id", F.inline("turns")).groupBy("conv_id").agg(F.count(F.lit(1)).alias("turns"), F.sum(F.length("text")).alias("chars"))
 
 
-@op("decimals", "SELECT l_returnflag, sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS price FROM lineitem GROUP BY l_returnflag")
+@op("decimals", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS DECIMAL(28, 2)) AS price FROM lineitem GROUP BY l_returnflag")
 def _decimals(s, d):
     return _t(s, d, "lineitem").groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).alias("price"))
 

@@ -388,12 +388,18 @@ def _placed(spark, sf_dir):
     return full.agg(F.sum("n").alias("keys"), F.sum((F.col("n") > 1).cast("long")).alias("shared_buckets"))
 
 
-@query("w3b_error_by_round")
+@query("w3b_error_by_training_round")
+def _training(spark, sf_dir):
+    """Online training: errors after each pass over the keys."""
+    return A.adaptive_train(_stored(spark, sf_dir)[0])
+
+
+@query("w3b_error_by_layer")
 def _rounds(spark, sf_dir):
     placed, _ = _stored(spark, sf_dir)
     out = None
     for r in (1, 2, 3, 4, 5, 7, 9):
-        row = A.predictor(placed, rounds=r).confusion().select(F.lit(r).alias("round"), "u", "fn", "fp", "error_rate")
+        row = A.predictor(placed, rounds=r).confusion().select(F.lit(r).alias("layers"), "u", "fn", "fp", "error_rate")
         out = row if out is None else out.unionByName(row)
     return out
 

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import table, text_blocks
 
 #: Bounds of a worker's tables; each is emptied and filled anew when full.
-MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 500_000, 500_000, 1_200_000, 48
+MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 200_000, 200_000, 500_000, 48
 DECODE_STEP = 1 << 16
 
 

@@ -55,7 +55,7 @@ def recipes(docs: DataFrame, key: str = "doc_id", text: str = "text", hash_fn=ch
     # a chunk's text travels once for each task that meets it, never once for each copy
     texts = norm.select(F.explode(chunks(F.col("t"))).alias("c")).select(hash_fn(F.col("c")).alias("h"), "c").groupBy("h", "c").agg(F.lit(1).alias("one"))
     shared = stash(
-        texts.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("n > 1").select("h")
+        texts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h")
     )
     bare = F.transform("hs", lambda h: F.struct(h.alias("h"), F.lit(0).alias("alt")))
     if shared.isEmpty():
@@ -65,17 +65,18 @@ def recipes(docs: DataFrame, key: str = "doc_id", text: str = "text", hash_fn=ch
         .groupBy("h").agg(F.array_sort(F.collect_set("c")).alias("cs"))
         .select("h", F.posexplode("cs").alias("alt", "c"))
     )
-    # rows are told apart by their whole recipe's source text hash, so repeated keys with other texts stay apart
-    pieces = norm.select("k", F.sha2(F.col("t"), 256).alias("text_sha256"), "t").select("k", "text_sha256", F.posexplode(chunks(F.col("t"))).alias("pos", "c")).withColumn("h", hash_fn(F.col("c")))
-    touched = pieces.join(shared, "h", "left_semi").select("k", "text_sha256").distinct()
+    # a row is known by its key, null or not, and the hash of its text, so repeated keys with other texts stay apart
+    row = F.to_json(F.struct("k", "text_sha256")).alias("row")
+    pieces = norm.withColumn("text_sha256", F.sha2(F.col("t"), 256)).select(row, F.posexplode(chunks(F.col("t"))).alias("pos", "c")).withColumn("h", hash_fn(F.col("c")))
+    touched = pieces.join(shared, "h", "left_semi").select("row").distinct()
     mended = (
-        pieces.dropDuplicates(["k", "text_sha256", "pos", "c"]).join(touched, ["k", "text_sha256"], "left_semi")
+        pieces.dropDuplicates(["row", "pos", "c"]).join(touched, "row", "left_semi")
         .join(ranked, ["h", "c"], "left")
-        .groupBy("k", "text_sha256")
+        .groupBy("row")
         .agg(F.array_sort(F.collect_list(F.struct("pos", "h", F.coalesce("alt", F.lit(0)).alias("alt")))).alias("r"))
-        .select("k", "text_sha256", F.transform("r", lambda x: F.struct(x.h.alias("h"), x.alt.alias("alt"))).alias("mended"))
+        .select("row", F.transform("r", lambda x: F.struct(x.h.alias("h"), x.alt.alias("alt"))).alias("mended"))
     )
-    return plain.join(mended, ["k", "text_sha256"], "left").select(
+    return plain.withColumn("row", row).join(mended, "row", "left").select(
         F.col("k").alias(key), F.coalesce("mended", bare).alias("recipe"), "text_sha256"
     )
 

@@ -138,7 +138,8 @@ def top_k(vectors: DataFrame, is_query, k: int = K, key: str = "vec_id", vector:
     """(query_id, rank, vec_id, score): the k best candidates of each query row by integer inner product, ties to the smaller id.
 
     Candidates are all sound rows of the query's own length but those of the query's own id; all of them come back if they are
-    fewer than k. Identical query rows are asked once. An empty table gives an empty result.
+    fewer than k. Identical query rows are asked once. Vectors whose scores could leave 64 bits are refused. An empty table
+    gives an empty result.
     """
     spark = vectors.sparkSession
     rows = stash(quantised(vectors, key, vector, scale))
@@ -158,7 +159,9 @@ def top_k(vectors: DataFrame, is_query, k: int = K, key: str = "vec_id", vector:
             ids, (queries, _) = np.asarray(block["vec_id"]), _matrix(block["v"].combine_chunks(), width)
             last = (int(ids[-1]), [int(x) for x in queries[-1]])
             norms = np.sqrt((queries.astype(float) ** 2).sum(1) * reach[width])
-            bound = np.minimum(norms + 1, float(1 << 61)).astype(np.int64)
+            if norms.max() >= 1 << 60:
+                raise OverflowError("vectors this long have scores beyond 64 bits")
+            bound = (norms + 1 + norms / (1 << 40)).astype(np.int64)  # a little more than the rounded root
             kth = _kth_values(rows, (ids, queries), k, bound)
             ranked = F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "vec_id"))
             parts.append(stash(_reached(rows, (ids, queries), kth, k).withColumn("rank", ranked).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")))

@@ -278,11 +278,15 @@ def predictor_lambda(r: Num) -> Num:
     return 1 / (2 * r / (1 - exp(-2 * r)) - 1)
 
 
-def predictor_space(r: Num, buckets: float = 1e6, delta: float = 0.5) -> Num:
-    """Mb of a predictor that knows the table of each key: an alternating filter on the second table's keys."""
+def alternating_bound(lam: Num, Cp: float = BLOOM_FACTOR) -> Num:
+    """What an alternating filter with whole hash counts needs at most, at delta one half."""
+    return Cp * log2(16 * lam)
+
+
+def predictor_space(r: Num, buckets: float = 1e6) -> Num:
+    """Mb of a predictor that knows the table of each key: an alternating filter of the second table's keys, with whole hash counts."""
     lam = predictor_lambda(r)
-    positives = 2 * r * buckets / 2 / (lam + 1)
-    return positives * cost_alternating(lam, delta) / 1e6
+    return r * buckets / (lam + 1) * alternating_bound(lam) / 1e6
 
 
 def locking_space(buckets: float = 1e6) -> float:

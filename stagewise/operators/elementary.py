@@ -125,7 +125,7 @@ def table_size(n: int, layout: str, C: float | None = None) -> int:
     """Cells for n keys. Small coupled tables need more than their asymptotic share."""
     if C is None:
         C = C_UNIFORM if layout == "uniform" else C_COUPLED if n >= 1 << 20 else 1.17 if n >= 1 << 16 else 1.20
-    return max(12, math.ceil(n * C) + (24 if layout == "uniform" else 8))
+    return max(6, math.ceil(n * C) + min(24 if layout == "uniform" else 8, 6 + n // 4))
 
 
 def slots_np(keys: np.ndarray, seed: int, m: int, layout: str, j: int = 3) -> np.ndarray:

@@ -253,7 +253,7 @@ _R = (0.10, 0.15, 0.20, 0.25, 0.30, 0.35, 0.40)
 
 @query(
     "w3a_predictor_space",
-    f"SELECT r, round(lam, 6) AS lam, round(1e6 * r / (lam + 1) * (log2(lam) + 3) / ln(2) / 1e6, 2) AS ours, CAST(4.0 AS DOUBLE) AS locking "
+    f"SELECT r, round(lam, 6) AS lam, round(1e6 * r / (lam + 1) * (log2(lam) + 4) / ln(2) / 1e6, 2) AS ours, CAST(4.0 AS DOUBLE) AS locking "
     f"FROM (SELECT r, 1 / (2*r/(1-exp(-2*r)) - 1) AS lam FROM (SELECT unnest([{', '.join(f'CAST({r} AS DOUBLE)' for r in _R)}]) AS r))",
 )
 def _predictor_space(spark, sf_dir):

@@ -93,7 +93,9 @@ def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", hash_
     groups = found.groupBy("recipe").agg(F.max("k").alias("keep_id"), F.count(F.lit(1)).alias("group_size")).select(
         F.col("recipe").alias("r"), "keep_id", "group_size"
     )
-    repeated = groups.where("group_size > 1")  # single rows need no partner: they answer for themselves
+    # single rows need no partner: they answer for themselves. The groups are written first, so that both sides of the join are
+    # shuffled for it alone and adaptive execution can split a hot one
+    repeated = stash(groups.where("group_size > 1"))
     return found.join(repeated, found.recipe == repeated.r, "left").select(
         F.col("k").alias(key),
         F.when(F.col("r").isNull(), F.col("k")).otherwise(F.col("keep_id")).alias("keep_id"),

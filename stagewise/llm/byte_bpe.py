@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import table, text_blocks
 
 #: Bounds of a worker's tables; each is emptied and filled anew when full.
-MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 200_000, 200_000, 500_000, 48
+MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 400_000, 300_000, 400_000, 48
 DECODE_STEP = 1 << 16
 
 
@@ -169,20 +169,28 @@ class Transducer:
 
 
 class Pieces(dict):
-    """Ids of pieces of text as little-endian 32-bit integers; those of short pieces are remembered."""
+    """Ids of pieces of text as little-endian 32-bit integers; those of short pieces are remembered.
+
+    There are two generations, each of half the bound: when the young one is full it becomes the old one, whose pieces come back as they are met.
+    """
 
     def __init__(self, transducer: Transducer):
         super().__init__()
         self.transducer = transducer
+        self.old: dict[str, bytes] = {}
 
     def __missing__(self, piece: str) -> bytes:
-        data = piece.encode()
-        i = self.transducer.ranks.get(data)
-        ids = self.transducer.run(data) if i is None else pack_ids((i,))
-        if len(data) <= PIECE_BYTES:
-            if len(self) >= MAX_PIECES:
-                self.clear()
-            self[piece] = ids
+        ids = self.old.get(piece)
+        if ids is None:
+            data = piece.encode()
+            i = self.transducer.ranks.get(data)
+            ids = self.transducer.run(data) if i is None else pack_ids((i,))
+            if len(data) > PIECE_BYTES:
+                return ids
+        if len(self) >= MAX_PIECES // 2:
+            self.old = dict(self)
+            self.clear()
+        self[piece] = ids
         return ids
 
 

@@ -45,7 +45,7 @@ def digest(data: memoryview, seed: int = 0) -> bytes:
     return xxhash.xxh3_128_digest(data, seed)
 
 
-def _pairs(digests: list[bytes]) -> tuple[pa.Array, pa.Array]:
+def digest_columns(digests: list[bytes]) -> tuple[pa.Array, pa.Array]:
     both = np.frombuffer(b"".join(digests), "<i8").reshape(-1, 2)
     return pa.array(both[:, 0]), pa.array(both[:, 1])
 
@@ -84,7 +84,7 @@ def seed_places(docs: DataFrame, window: int = WINDOW_WORDS, seed_words: int = S
                     of, lo, hi, seed, digests = found
                     rows = pa.array(of + a)
                     yield pa.record_batch(
-                        [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()), pa.array(seed), *_pairs(digests)],
+                        [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()), pa.array(seed), *digest_columns(digests)],
                         names=["k", "v", "lo", "hi", "seed", "e1", "e2"],
                     )
 
@@ -123,7 +123,7 @@ def _window_digests(need: DataFrame, window: int) -> DataFrame:
                 view = memoryview(joined)
                 digests = [digest(view[a:b]) for a, b in zip(starts[at].tolist(), ends[at + window - 1].tolist(), strict=True)]
                 here = pa.array(np.full(len(at), row))
-                yield pa.record_batch([batch.column(0).take(here), batch.column(1).take(here), pa.array(at, pa.int32()), *_pairs(digests)], names=["k", "v", "at", "w1", "w2"])
+                yield pa.record_batch([batch.column(0).take(here), batch.column(1).take(here), pa.array(at, pa.int32()), *digest_columns(digests)], names=["k", "v", "at", "w1", "w2"])
 
     return need.mapInArrow(run, f"k {kind}, v long, at int, w1 long, w2 long")
 

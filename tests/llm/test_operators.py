@@ -12,7 +12,7 @@ import tiktoken
 import xxhash
 from pyspark.sql import functions as F
 
-from stagewise.llm import byte_bpe, common, exact_dedup, language_id, mixing, quality, simhash, substring_dedup, topk, toxicity
+from stagewise.llm import byte_bpe, common, exact_dedup, language_id, line_dedup, mixing, quality, simhash, substring_dedup, topk, toxicity
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 RANKS = byte_bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken"))
@@ -176,6 +176,49 @@ def test_sliding_min():
         assert (substring_dedup.sliding_min(x, w) == np.lib.stride_tricks.sliding_window_view(x, w).min(1)).all()
 
 
+# --- lines -----------------------------------------------------------------------------------------------------------------------
+
+
+def awkward_lines():
+    dice = random.Random(8)
+    pool = [f"line {i}" for i in range(12)] + ["", " ", "été", "same", "same"]
+    shared = [f"shared {i}" for i in range(9)]
+    out = [
+        (1, None), (2, ""), (3, "\n\n\n"), (4, " \n\t\r\n"), (5, "one"), (6, "a\nb\nc"), (7, " a \r\nb\t\n\nc\n"), (None, "a\nb\nc\nd"), (8, "x\n" * 40), (9, "p\nq\n" * 9),
+        (10, "x" * 3_000_000 + "\na\nb\nc"), (11, "\n".join(map(str, range(5000)))), (12, "\n".join(map(str, range(2500, 7000)))), (13, "a\nb\u0085\nc\x1c\nb"), (13, "a\nb\nc\nother"),
+    ]
+    for i in range(20, 60):
+        cut = sorted(dice.sample(range(10), 2))
+        out.append((i, "\n".join(dice.choices(pool, k=dice.randrange(9)) + shared[cut[0] : cut[1]] + dice.choices(pool, k=dice.randrange(9)))))
+    return out + out[-3:]
+
+
+def without_runs(rows, run, order):
+    """By the definition, place by place; rows that repeat key and text are one."""
+    trim = " \t\r\x0b\x0c"
+    first, parts = set(), {}
+    for k, t in sorted(set(rows), key=order):
+        lines = (t or "").split("\n")
+        full = [i for i, x in enumerate(lines) if x.strip(trim)]
+        gone = set()
+        for i in range(len(full) - run + 1):
+            window = tuple(lines[j].strip(trim) for j in full[i : i + run])
+            if window in first:
+                gone |= set(full[i : i + run])
+            first.add(window)
+        parts[k, t] = (k, len(full), len(gone), "\n".join(x for i, x in enumerate(lines) if i not in gone))
+    return collections.Counter(parts[r] for r in rows)
+
+
+@pytest.mark.parametrize("run", [1, 2, 3, 6])
+def test_lines(spark, run):
+    rows = awkward_lines()
+    df = spark.createDataFrame([(k, t, 1, 2) for k, t in rows], "doc_id long, text string, seed int, spans int").repartition(4)
+    hashes = {(r["doc_id"], r["text"]): r["h"] for r in df.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")).collect()}
+    got = line_dedup.without_repeated_runs(df, run=run)
+    assert collections.Counter(map(tuple, got.collect())) == without_runs(rows, run, lambda r: (r[0] is not None, r[0] or 0, hashes[r]))
+
+
 # --- tokens --------------------------------------------------------------------------------------------------------------------------
 
 
@@ -380,4 +423,5 @@ def test_empty_tables(spark, empty):
     assert substring_dedup.cut_repeats(empty).count() == 0
     assert byte_bpe.round_trip(empty, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN).count() == 0
     assert mixing.mix(empty).count() == 0
+    assert line_dedup.without_repeated_runs(empty).count() == 0
     assert topk.top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), lambda v: v % 50 == 0).count() == 0

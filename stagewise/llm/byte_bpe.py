@@ -12,6 +12,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import itertools
+import marshal
 import re
 import struct
 from collections.abc import Iterable, Iterator
@@ -51,7 +52,11 @@ def pack_ids(ids: tuple[int, ...]) -> bytes:
 
 
 class Transducer:
-    """``run(piece)`` gives the token ids of one piece of text, read byte by byte, as little-endian 32-bit integers."""
+    """``run(piece)`` gives the token ids of one piece of text, read byte by byte, as little-endian 32-bit integers.
+
+    A worker keeps its tables while other stages run, so they are compact: one table of integers holds all moves, a state is kept as
+    the bytes of its guesses, and outputs, which few moves do not share with others, are kept once and known by number.
+    """
 
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks = ranks
@@ -69,24 +74,34 @@ class Transducer:
                 node = child
             self.token[node] = i
         self._reset()
-        self.pairs: dict[tuple[int, int], bool] = {}
+        self.pairs: dict[int, bool] = {}
         self.parts: dict[int, tuple[int, int] | None] = {}
 
     def _reset(self) -> None:
-        self.number: dict[tuple, int] = {}
-        self.states: list[tuple] = []
-        self.moves: list[dict[int, tuple[int, bytes]]] = []
-        self.rest: list[bytes] = []
-        self.made = 0
+        self.number: dict[bytes, int] = {}
+        self.states: list[bytes] = []
+        #: state << 8 | byte -> next state << 32 | number of the output
+        self.moves: dict[int, int] = {}
+        self.rest: list[int] = []
+        self.outputs: list[bytes] = [b""]
+        self.output_number: dict[bytes, int] = {b"": 0}
         self.start = self._state((-1, (((), 0),)))
 
     def _state(self, state: tuple) -> int:
-        n = self.number.get(state)
+        kept = marshal.dumps(state, 2)  # this version writes equal states alike
+        n = self.number.get(kept)
+        if n is None:
+            n = self.number[kept] = len(self.states)
+            self.states.append(kept)
+            self.rest.append(self._output(next((chain for chain, node in state[1] if node == 0), ())))
+        return n
+
+    def _output(self, ids: tuple[int, ...]) -> int:
+        out = pack_ids(ids)
+        n = self.output_number.get(out)
         if n is None:
-            n = self.number[state] = len(self.states)
-            self.states.append(state)
-            self.moves.append({})
-            self.rest.append(pack_ids(next((chain for chain, node in state[1] if node == 0), ())))
+            n = self.output_number[out] = len(self.outputs)
+            self.outputs.append(out)
         return n
 
     def parts_of(self, token: int) -> tuple[int, int] | None:
@@ -107,12 +122,12 @@ class Transducer:
         """
         if left < 0:
             return True
-        known = self.pairs.get((left, right))
+        known = self.pairs.get(left << 32 | right)
         if known is not None:
             return known
         if len(self.pairs) >= MAX_PAIRS:
             self.pairs.clear()
-        key, limit, known = (left, right), 1 << 62, True
+        key, limit, known = left << 32 | right, 1 << 62, True
         while True:
             joint = self.ranks.get(self.bytes_of[left] + self.bytes_of[right], 1 << 62)
             if joint < limit:
@@ -128,8 +143,8 @@ class Transducer:
         self.pairs[key] = known
         return known
 
-    def _move(self, n: int, byte: int) -> tuple[int, bytes]:
-        last, guesses = self.states[n]
+    def _move(self, n: int, byte: int) -> int:
+        last, guesses = marshal.loads(self.states[n])
         alive: list[tuple[tuple[int, ...], int]] = []
         for chain, node in guesses:
             child = self.next[node].get(byte)
@@ -150,22 +165,22 @@ class Transducer:
         rest = tuple((chain[agreed:], node) for chain, node in alive)
         # the last token emitted matters to guesses that hold none of their own
         state = ((out[-1] if out else last) if agreed == shortest else -1, rest)
-        self.made += 1
-        move = self.moves[n][byte] = (self._state(state), pack_ids(out))
+        move = self.moves[n << 8 | byte] = self._state(state) << 32 | self._output(out)
         return move
 
     def run(self, piece: bytes) -> list[int]:
-        if self.made >= MAX_TRANSITIONS:
+        if len(self.moves) >= MAX_TRANSITIONS:
             self._reset()
-        at, out, moves = self.start, b"", self.moves
+        at, out, moves, outputs = self.start, b"", self.moves, self.outputs
         for byte in piece:
-            move = moves[at].get(byte)
+            move = moves.get(at << 8 | byte)
             if move is None:
                 move = self._move(at, byte)
-            at, emitted = move
+            at = move >> 32
+            emitted = move & 0xFFFFFFFF
             if emitted:
-                out += emitted
-        return out + self.rest[at]
+                out += outputs[emitted]
+        return out + outputs[self.rest[at]]
 
 
 class Pieces(dict):

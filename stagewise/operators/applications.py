@@ -307,9 +307,9 @@ def _second(v: Column) -> Column:
 
 
 def text_features(df: DataFrame, text: str = "text", dims: int = 1 << 12) -> DataFrame:
-    """Hashed pairs of characters and single words of the first 2,000 characters of a key text, by built-in transformers."""
-    short = df.withColumn("__t", F.substring(F.lower(F.coalesce(F.col(text), F.lit(""))), 1, 2000))
-    words = RegexTokenizer(inputCol="__t", outputCol="__w", pattern=r"\s+").transform(short)
+    """Hashed words and pairs of words of a whole key text, by built-in transformers."""
+    whole = df.withColumn("__t", F.lower(F.coalesce(F.col(text), F.lit(""))))
+    words = RegexTokenizer(inputCol="__t", outputCol="__w", pattern=r"\s+").transform(whole)
     pairs = NGram(n=2, inputCol="__w", outputCol="__p").transform(words)
     both = pairs.withColumn("__f", F.concat("__w", "__p"))
     return HashingTF(numFeatures=dims, inputCol="__f", outputCol="features", binary=True).transform(both).drop("__t", "__w", "__p", "__f")

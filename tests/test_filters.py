@@ -163,3 +163,9 @@ def test_runs(spark):
     assert tuple(got) == (1, 0, 7)
     blind = A.runs_get(runs, "k", spark.createDataFrame([(-5,)], "k long"), None).first()
     assert blind["reads"] == 7 and blind["wasted"] == 7
+
+
+def test_text_features_see_whole_texts(spark):
+    long = "word " * 1000
+    got = A.text_features(spark.createDataFrame([(long + "apples",), (long + "pears",), (None,)], "text string")).collect()
+    assert got[0]["features"] != got[1]["features"] and got[2]["features"].numNonzeros() <= 1

@@ -166,6 +166,12 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_lines", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op7_single_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every line that already stood earlier is deleted, whatever its neighbours are."""
+    found = without_repeated_runs(table(spark, sf_dir, "documents", "doc_id", "text"), run=1)
+    return found.select("doc_id", "n_lines", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 OP7_SQL = r"""
 WITH pieces AS (
   SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, unnest(range(len(string_split(coalesce(text, ''), chr(10))))) AS i FROM documents
@@ -188,3 +194,16 @@ SELECT doc_id, count(*) FILTER (WHERE counts) AS n_lines, count(*) FILTER (WHERE
        sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE NOT removed), '')) AS kept_sha256
 FROM marked GROUP BY doc_id
 """
+
+OP7_SINGLE_SQL = r"""
+WITH pieces AS (
+  SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, unnest(range(len(string_split(coalesce(text, ''), chr(10))))) AS i FROM documents
+), trimmed AS (
+  SELECT doc_id, i, line, trim(line, chr(32) || chr(9) || chr(11) || chr(12) || chr(13)) AS x FROM pieces
+), marked AS (
+  SELECT doc_id, i, line, x <> '' AS counts, x <> '' AND row_number() OVER (PARTITION BY x ORDER BY doc_id, i) > 1 AS removed FROM trimmed
+)
+SELECT doc_id, count(*) FILTER (WHERE counts) AS n_lines, count(*) FILTER (WHERE removed) AS n_removed,
+       sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE NOT removed), '')) AS kept_sha256
+FROM marked GROUP BY doc_id
+"""

@@ -12,10 +12,11 @@ QUERIES = {
         topk.op5_exact_topk,
         simhash.op6_simhash_near_dedup,
         line_dedup.op7_line_dedup,
+        line_dedup.op7_single_line_dedup,
         toxicity.op8_toxicity,
         exact_dedup.op9_exact_dedup,
         substring_dedup.op10_substring_dedup,
     )
 }
 
-ORACLE_SQL = {"op5_exact_topk": topk.OP5_SQL, "op7_line_dedup": line_dedup.OP7_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "op10_substring_dedup": substring_dedup.OP10_SQL}
+ORACLE_SQL = {"op5_exact_topk": topk.OP5_SQL, "op7_line_dedup": line_dedup.OP7_SQL, "op7_single_line_dedup": line_dedup.OP7_SINGLE_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "op10_substring_dedup": substring_dedup.OP10_SQL}

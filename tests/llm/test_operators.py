@@ -12,7 +12,7 @@ import tiktoken
 import xxhash
 from pyspark.sql import functions as F
 
-from stagewise.llm import byte_bpe, common, exact_dedup, language_id, line_dedup, mixing, quality, simhash, substring_dedup, topk, toxicity
+from stagewise.llm import byte_bpe, common, exact_dedup, language_id, line_dedup, mixing, quality, registry, simhash, substring_dedup, topk, toxicity
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 RANKS = byte_bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken"))
@@ -219,6 +219,13 @@ def test_lines(spark, run):
     assert collections.Counter(map(tuple, got.collect())) == without_runs(rows, run, lambda r: (r[0] is not None, r[0] or 0, hashes[r]))
 
 
+def test_single_repeated_lines_go(spark, tmp_path):
+    docs = [(1, "one\nlicence"), (2, "two\n licence \ntwo"), (3, "licence"), (4, None)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = registry.QUERIES["op7_single_line_dedup"](spark, str(tmp_path)).orderBy("doc_id").collect()
+    assert [(r["n_lines"], r["n_removed"]) for r in got] == [(2, 0), (3, 2), (1, 1), (0, 0)]
+
+
 # --- tokens --------------------------------------------------------------------------------------------------------------------------
 
 

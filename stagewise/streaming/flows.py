@@ -25,13 +25,19 @@ def op(name: str, sql: str | None = None):
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The events as a file stream, with ``ts`` as an instant."""
+    """The events as a file stream, with ``ts`` as an instant; the four files may come in any order."""
     df = read_table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     path = f"{shared_folder(spark)}/events_{uuid.uuid4().hex}"
     df.repartitionByRange(4, "ts").write.parquet(path)
     return stream_table(spark, path, df.schema, 1)
 
 
+def whole_span(spark: SparkSession, sf_dir: str) -> str:
+    """A watermark delay as long as all the events, so that none is late whatever the order of the files."""
+    first, last = read_table(spark, sf_dir, "events", "ts").agg(F.min(F.unix_seconds(F.col("ts").cast("timestamp"))), F.max(F.unix_seconds(F.col("ts").cast("timestamp")))).first()
+    return f"{(last or 0) - (first or 0) + 3600} seconds"
+
+
 def drained(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream until its files are read, into Parquet, and give the rows back."""
     spark = df.sparkSession
@@ -53,16 +59,22 @@ def _tumbling(s, d):
     return drained(w, "complete").select(F.col("window.start").cast("timestamp_ntz").alias("hour"), "event_type", "n")
 
 
-@op("sliding")
+@op("sliding", "SELECT start, count(*) AS n FROM (SELECT unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS start FROM events) WHERE start IS NOT NULL GROUP BY start")
 def _sliding(s, d):
-    w = event_stream(s, d).withWatermark("ts", "1 hour").groupBy(F.window("ts", "2 hours", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
-    return drained(w).select(F.col("window.start").alias("start"), "n")
+    """Complete mode without a watermark: no row is late, and the last windows come out too."""
+    w = event_stream(s, d).groupBy(F.window("ts", "2 hours", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
+    return drained(w, "complete").select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@op("sessions")
+@op(
+    "sessions",
+    "WITH cut AS (SELECT user_id, ts, coalesce(ts >= lag(ts) OVER w + INTERVAL 30 MINUTE, true) AS opens FROM events WHERE ts IS NOT NULL WINDOW w AS (PARTITION BY user_id ORDER BY ts)), "
+    "numbered AS (SELECT user_id, ts, count(*) FILTER (WHERE opens) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS i FROM cut) SELECT user_id, min(ts) AS start, count(*) AS n FROM numbered GROUP BY user_id, i",
+)
 def _sessions(s, d):
-    w = event_stream(s, d).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return drained(w).select("user_id", F.col("w.start").alias("start"), "n")
+    """As for sliding; sessions drop late rows even in complete mode."""
+    w = event_stream(s, d).groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return drained(w, "complete").select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @op("dedup", "SELECT DISTINCT user_id, event_type FROM events")
@@ -80,9 +92,9 @@ def _probe(s, d):
 
 @op("interval_join", "SELECT c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR")
 def _interval(s, d):
-    e = event_stream(s, d)
-    c = e.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("u"), F.col("ts").alias("tc")).withWatermark("tc", "2 hours")
-    p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("v"), F.col("ts").alias("tp")).withWatermark("tp", "2 hours")
+    e, late = event_stream(s, d), whole_span(s, d)
+    c = e.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("u"), F.col("ts").alias("tc")).withWatermark("tc", late)
+    p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("v"), F.col("ts").alias("tp")).withWatermark("tp", late)
     return drained(c.join(p, F.expr("u = v and tp >= tc and tp <= tc + interval 1 hour"))).select("click", "purchase")
 
 

@@ -19,3 +19,8 @@ def test_others_have_rows(spark, sf, name):
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["stream_sliding", "stream_sessions", "stream_interval_join"])
+def test_streams_lose_no_rows(spark, sf, same_rows, name):
+    same_rows(workloads.QUERIES[name](spark, sf), workloads.ORACLE_SQL[name])

@@ -22,10 +22,13 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``, which all executors share; a temporary one where none is set (tests)."""
+    """The folder of ``spark.checkpoint.dir``, which all executors share; a temporary one where none is set and all runs in one process (tests)."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="stagewise-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no folder that driver and executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="stagewise-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -37,6 +40,28 @@ def stash(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a small side are sent to every executor up to this many bytes of them, which are counted first; beyond it both sides are shuffled.
+SEND_BYTES = 32 << 20
+
+
+def sent_if_small(df: DataFrame, row_bytes: int, limit: int = SEND_BYTES) -> DataFrame:
+    """A written frame with the hint to send it whole, if its counted rows of about ``row_bytes`` are within the limit."""
+    return F.broadcast(df) if df.count() * row_bytes <= limit else df
+
+
+def unused(name: str, *frames: DataFrame) -> str:
+    """The name, lengthened until no frame has a column of it."""
+    taken = {c.lower() for f in frames for c in f.columns}
+    while name in taken:
+        name += "_"
+    return name
+
+
+def columns_of(df: DataFrame) -> list[Column]:
+    """All columns, whatever they are called."""
+    return [F.col("`" + c.replace("`", "``") + "`") for c in df.columns]
+
+
 def fold_of(doc_id: Column, parts: int) -> Column:
     """crc32 of the id as text, modulo ``parts``."""
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(parts)).cast("int")

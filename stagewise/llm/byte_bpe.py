@@ -169,18 +169,21 @@ class Transducer:
         return move
 
     def run(self, piece: bytes) -> list[int]:
-        if len(self.moves) >= MAX_TRANSITIONS:
-            self._reset()
-        at, out, moves, outputs = self.start, b"", self.moves, self.outputs
+        at, parts, moves, outputs = self.start, [], self.moves, self.outputs
         for byte in piece:
             move = moves.get(at << 8 | byte)
             if move is None:
+                if len(moves) >= MAX_TRANSITIONS:
+                    here = marshal.loads(self.states[at])
+                    self._reset()
+                    at, moves, outputs = self._state(here), self.moves, self.outputs
                 move = self._move(at, byte)
             at = move >> 32
             emitted = move & 0xFFFFFFFF
             if emitted:
-                out += outputs[emitted]
-        return out + outputs[self.rest[at]]
+                parts.append(outputs[emitted])
+        parts.append(outputs[self.rest[at]])
+        return b"".join(parts)
 
 
 class Pieces(dict):
@@ -292,7 +295,11 @@ def _codec(ranks: dict[bytes, int], pattern: str) -> Codec:
 
 
 def encoded(docs: DataFrame, ranks_path: str, pattern: str, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, ids binary): the ids of every whole text as little-endian unsigned 32-bit integers; null as empty."""
+    """(key, ids binary): the ids of every whole text as little-endian unsigned 32-bit integers.
+
+    Null and empty texts have no ids; repeated rows give repeated results, an empty table an empty one; other columns play no part.
+    A text is held whole in one task, whatever its length, and is encoded in time linear in it.
+    """
     kind = docs.schema[key].dataType.simpleString()
     vocabulary = docs.sparkSession.sparkContext.broadcast(read_ranks(ranks_path))  # one fixed vocabulary, whatever the input
 
@@ -310,7 +317,8 @@ def round_trip(docs: DataFrame, ranks_path: str, pattern: str, key: str = "doc_i
     """One row per input row: key, n_tokens, ids_sha256, decoded_sha256.
 
     Each match of ``pattern`` is encoded by itself, special tokens are ordinary text, and the ids are decoded again. Null and
-    empty texts have no tokens. Repeated rows give repeated results; an empty table gives an empty one.
+    empty texts have no tokens. Repeated rows give repeated results; an empty table gives an empty one; other columns play no
+    part. A text is held whole in one task, whatever its length, and is encoded in time linear in it, unbroken pieces too.
     """
     kind = docs.schema[key].dataType.simpleString()
     vocabulary = docs.sparkSession.sparkContext.broadcast(read_ranks(ranks_path))

@@ -1,7 +1,7 @@
 """Mixing sources to target weights by subset-sum budget fitting.
 
 Documents are counted by exact length. A source's target is met by whole passes over it and, for the rest, by a subset of its
-documents: an even share of each length first, then a bounded-knapsack choice of lengths for what remains of the budget. Which
+documents, found by bounded-knapsack dynamic programming over lengths; of a large budget, an even share of each length comes first. Which
 documents of a length are taken is settled by a seeded hash.
 """
 
@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import stash, table, text_blocks
+from .common import columns_of, stash, table, text_blocks, unused
 
 WEIGHTS, SHARE, MAX_REPEATS, SEED = (5, 2, 1), 1.5, 2, 42
 #: What is left of a budget, in words, when the exact choice begins.
@@ -54,14 +54,18 @@ def targets(sizes: dict[tuple[bool, str], int], weights=WEIGHTS, share: float =
 
 
 def fit_budget(lengths: np.ndarray, counts: np.ndarray, budget: int, exact: int = EXACT_WORDS) -> np.ndarray:
-    """How many documents of each length to take, so that the words come as near below ``budget`` as the last step can reach."""
+    """How many documents of each length to take, so that the words come as near below ``budget`` as can be.
+
+    A budget of up to ``exact`` words is left to the knapsack alone, whose choice is the best there is. Of a larger one all but
+    about ``exact`` words are an even share of each length, and the knapsack has what is left of every length for the rest.
+    """
     lengths, counts = lengths.astype(np.int64), counts.astype(np.int64)
     total = int((lengths * counts).sum())
     if budget <= 0 or not total:
         return np.zeros(len(lengths), np.int64)
     if budget >= total:
         return np.where(lengths > 0, counts, 0)
-    take = np.where(lengths > 0, np.floor(counts * (budget / total)).astype(np.int64), 0)
+    take = np.where(lengths > 0, np.floor(counts * (max(0, budget - exact) / total)).astype(np.int64), 0)
     left = budget - int((lengths * take).sum())
     order = np.argsort(-lengths, kind="stable")
     for i in order:  # longest first, down to what the exact choice can handle
@@ -71,26 +75,35 @@ def fit_budget(lengths: np.ndarray, counts: np.ndarray, budget: int, exact: int
             more = min(int(counts[i] - take[i]), (left - exact // 2) // int(lengths[i]))
             take[i] += more
             left -= more * int(lengths[i])
-    # bounded knapsack: bit b of ``reach`` says that b words can be made up; each step is a power-of-two share of a length's count
-    reach, mask, steps = 1, (1 << (left + 1)) - 1, []
-    for i in order[::-1]:
-        spare, bunch = int(counts[i] - take[i]), 1
-        while spare > 0 and 0 < lengths[i] * min(bunch, spare) <= left and not reach >> left & 1:
-            n = min(bunch, spare)
-            fresh = (reach << n * int(lengths[i])) & mask & ~reach
-            if fresh:
-                reach |= fresh
-                steps.append((i, n, fresh))
-            spare -= n
-            bunch *= 2
-    at = reach.bit_length() - 1
-    for i, n, fresh in reversed(steps):
-        if fresh >> at & 1:
-            take[i] += n
-            at -= n * int(lengths[i])
+    # bounded knapsack: ``step_to[b]`` is the step by which b words were first made up, -1 if they cannot be; each step takes a
+    # power-of-two share of a length's count, so the steps before it never contain it
+    step_to, steps = np.full(left + 1, -1, np.int32), []
+    step_to[0] = 0
+    for i, n, words in ((i, n, n * int(lengths[i])) for i in order[::-1] if lengths[i] > 0 for n in _shares(int(counts[i] - take[i]))):
+        if words > left:
+            continue
+        fresh = np.flatnonzero((step_to[: left + 1 - words] >= 0) & (step_to[words:] < 0)) + words
+        step_to[fresh] = len(steps)
+        steps.append((i, n, words))
+        if step_to[left] >= 0:
+            break
+    at = int(np.flatnonzero(step_to >= 0)[-1])
+    while at:
+        i, n, words = steps[step_to[at]]
+        take[i] += n
+        at -= words
     return take
 
 
+def _shares(count: int) -> Iterator[int]:
+    """1, 2, 4, ... and a rest, which add up to ``count``."""
+    bunch = 1
+    while count > 0:
+        yield min(bunch, count)
+        count -= bunch
+        bunch *= 2
+
+
 def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights=WEIGHTS, share: float = SHARE, most: int = MAX_REPEATS, seed: int = SEED) -> DataFrame:
     """One row per input row: key, size, source_size, target, taken; ``taken`` is ``size`` times the repeats of the document.
 
@@ -142,13 +155,18 @@ def bucket_of(h: Column, buckets: Column) -> Column:
 
 
 def mixed(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **how) -> DataFrame:
-    """The mix itself: each row as often as it is taken, all columns as they were. Rows that share a key are taken alike."""
-    times = (
+    """The mix itself: each row as often as it is taken, all columns as they were, whatever they are called.
+
+    Null and empty texts are never taken. Rows that share a key are taken alike, as often as the one of them taken most. A null
+    key is a key like any other, a null source a source like any other. An empty table gives an empty result.
+    """
+    k, times, copy = (unused(name, docs) for name in ("mix_key", "mix_times", "mix_copy"))
+    taken = (
         mix(docs, key, text, source, **how).where("taken > 0")
-        .groupBy(F.col(key).alias("__key")).agg(F.max((F.col("taken") / F.col("size")).cast("int")).alias("__times"))
+        .groupBy(F.col(key).alias(k)).agg(F.max((F.col("taken") / F.col("size")).cast("int")).alias(times))
     )
-    found = docs.join(times, F.col(key).eqNullSafe(F.col("__key")))
-    return found.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)
+    found = docs.join(taken, F.col(key).eqNullSafe(F.col(k)))
+    return found.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*columns_of(docs))
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

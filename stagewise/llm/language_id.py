@@ -154,7 +154,12 @@ def _temperature(margins: np.ndarray, y: np.ndarray) -> float:
 
 
 def identify(docs: DataFrame, model: LanguageModel | None, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, lang_pred, score) of every row. Null texts and texts without a letter are ``und`` with score 0, as is all without a model."""
+    """(key, lang_pred, score) of every row.
+
+    Null texts and texts without a letter are ``und`` with score 0, as is all without a model. Texts are read whole; repeated rows
+    give repeated results, equal probabilities the language first in order; an empty table gives an empty result; other columns
+    play no part.
+    """
     kind = docs.schema[key].dataType.simpleString()
     sent = docs.sparkSession.sparkContext.broadcast(model)
 

@@ -12,10 +12,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import fold_of, table, text_blocks
-from .toxicity import labelled_sample, score
+from .toxicity import labelled_texts, score
 
 #: Bound on the labelled rows that the dictionaries and the calibration are fitted on, for each label.
 TRAIN_ROWS_PER_LABEL = 2_500
+#: Bound on the bytes of their texts.
+TRAIN_BYTES = 128 << 20
 DICTIONARY_BYTES, LEVEL = 1 << 16, 3
 #: Texts are compressed in blocks, whole, so that the dictionary counts in the last block as in the first.
 PIECE_BYTES = 4096
@@ -65,8 +67,8 @@ def _train_dictionary(texts: list[bytes]) -> bytes:
 
 
 def platt(x: np.ndarray, y: np.ndarray, rounds: int = 100) -> tuple[float, float]:
-    """Slope and shift of the logistic curve through (x, y), by Newton steps with a weak ridge."""
-    scale = x.std() or 1.0
+    """Slope and shift of the logistic curve through (x, y), by Newton steps with a weak ridge; both 0 without points."""
+    scale = (x.std() if len(x) else 0.0) or 1.0
     v = np.stack([x / scale, np.ones_like(x)], 1)
     w = np.zeros(2)
     for _ in range(rounds):
@@ -78,25 +80,28 @@ def platt(x: np.ndarray, y: np.ndarray, rounds: int = 100) -> tuple[float, float
     return float(w[0] / scale), float(w[1])
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS_PER_LABEL) -> CompressionModel:
-    """Two thirds of a bounded sample make the dictionaries, one third the calibration, weighed back to the labels' own shares.
+def fit(
+    docs: DataFrame, labels: DataFrame, label: str = "quality", key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS_PER_LABEL, most: int = TRAIN_BYTES
+) -> CompressionModel:
+    """Of each label's share of a bounded sample two thirds make the dictionary and one third the calibration, weighed back to the labels' own shares.
 
-    Without both labels the score is one half for every text.
+    Null labels and labels other than 0 and 1 are left out, as are labels whose document is absent; a null text counts as empty; a
+    repeated row counts as often as it is there. Without documents of both labels for dictionary and calibration the score is one
+    half for every text.
     """
     shares = {r["y"]: r["n"] for r in labels.where(F.col(label).isin(0, 1)).groupBy(F.col(label).cast("int").alias("y")).agg(F.count(F.lit(1)).alias("n")).collect()}
-    if len(shares) < 2:
-        return CompressionModel(b"", b"")
-    sample = labelled_sample(labels.where(F.col(label) == 1), label, key, rows).unionByName(labelled_sample(labels.where(F.col(label) == 0), label, key, rows))
-    got = (
-        docs.select(key, F.coalesce(text, F.lit("")).cast("binary").alias("t")).join(F.broadcast(sample), key)
-        .select("y", "t", F.xxhash64(F.lit(5), key).alias("h")).toArrow().sort_by([("h", "ascending"), ("y", "ascending")])
-    )
+    got = labelled_texts(docs, labels, label, key, text, rows, most).select("y", F.col("t").cast("binary").alias("t"), "h").toArrow().sort_by([("h", "ascending"), ("y", "ascending")])
     y, texts = np.asarray(got["y"]), got["t"].to_pylist()
-    third = np.arange(len(y)) % 3 == 0
-    model = CompressionModel(*(_train_dictionary([t for t, own in zip(texts, (y == c) & ~third, strict=True) if own]) for c in (1, 0)))
-    held = np.flatnonzero(third)
-    model.slope, model.shift = platt(model.differences([texts[i] for i in held]), y[held].astype(float))
-    drawn = {c: max(1, int((y == c).sum())) for c in (0, 1)}
+    held = np.zeros(len(y), bool)
+    for c in (0, 1):
+        held[np.flatnonzero(y == c)[::3]] = True
+    if not all(((y == c) & part).any() for c in (0, 1) for part in (held, ~held)):
+        return CompressionModel(b"", b"")
+    model = CompressionModel(*(_train_dictionary([t for t, own in zip(texts, (y == c) & ~held, strict=True) if own]) for c in (1, 0)))
+    if not (model.good and model.bad):  # no text at all in one of them
+        return CompressionModel(b"", b"")
+    model.slope, model.shift = platt(model.differences([t for t, h in zip(texts, held, strict=True) if h]), y[held].astype(float))
+    drawn = {c: int((y == c).sum()) for c in (0, 1)}
     model.shift += float(np.log(shares[1] / drawn[1]) - np.log(shares[0] / drawn[0]))
     return model
 

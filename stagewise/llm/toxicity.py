@@ -16,6 +16,8 @@ from .ftrl import FtrlLogistic
 FEATURE_BITS = 20
 #: Bound on the labelled rows of either label that the model is fitted on; the rows are chosen by a hash of their id.
 TRAIN_ROWS_PER_LABEL = 4_000
+#: Bound on the bytes of their texts: a text has about five features a word, at four bytes a feature.
+TRAIN_BYTES = 128 << 20
 EPOCHS, THRESHOLD = 5, 0.3
 
 #: Words also count by their first bytes, so that inflected and compound forms share evidence.
@@ -87,11 +89,24 @@ def labelled_sample(labels: DataFrame, label: str, key: str, bound: int) -> Data
     return known if share >= 1 else known.where(F.pmod(F.xxhash64(F.lit(17), key), F.lit(1 << 30)) < int(share * (1 << 30)))
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS_PER_LABEL, bits: int = FEATURE_BITS, epochs: int = EPOCHS) -> ToxicityModel:
-    """Fit on whole texts of a bounded sample of the labelled rows. Without labels every score is that of no evidence, zero."""
-    sample = labelled_sample(labels.where(F.col(label) == 1), label, key, rows).unionByName(labelled_sample(labels.where(F.col(label) == 0), label, key, rows))
-    joined = docs.select(key, F.col(text).alias("t")).join(F.broadcast(sample), key).select("y", "t")
-    got = _distinct_features(joined, bits).toArrow().combine_chunks()
+def labelled_texts(docs: DataFrame, labels: DataFrame, label: str, key: str, text: str, rows: int, most: int) -> DataFrame:
+    """(y, t, h): whole texts with label 1 or 0, about ``rows`` of each and at most about ``most`` bytes in all, chosen by a hash of their key."""
+    of = lambda y: labelled_sample(labels.where(F.col(label) == y), label, key, rows)
+    sample = of(1).unionByName(of(0)).select(F.col(key).alias("k"), "y")
+    texts = docs.select(F.col(key).alias("k"), F.coalesce(text, F.lit("")).alias("t")).join(F.broadcast(sample), "k").select("y", "t", F.xxhash64(F.lit(5), "k").alias("h"))
+    size = texts.agg(F.sum(F.octet_length("t").cast("long"))).first()[0] or 0
+    return texts if size <= most else texts.where(F.pmod("h", F.lit(1 << 30)) < int(most / size * (1 << 30)))
+
+
+def fit(
+    docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS_PER_LABEL, bits: int = FEATURE_BITS, epochs: int = EPOCHS, most: int = TRAIN_BYTES
+) -> ToxicityModel:
+    """Fit on whole texts of a bounded sample of the labelled rows.
+
+    Null labels and labels other than 0 and 1 are left out, as are labels whose document is absent; a null text counts as empty, a
+    repeated row as often as it is there. Without labelled texts every score is that of no evidence, zero.
+    """
+    got = _distinct_features(labelled_texts(docs, labels, label, key, text, rows, most).select("y", "t"), bits).toArrow().combine_chunks()
     y = np.asarray(got["y"]).astype(float)
     if not len(y):
         return ToxicityModel(np.zeros(0, np.int64), np.zeros(0), -np.inf, bits)
@@ -111,7 +126,11 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "do
 
 
 def score(docs: DataFrame, model, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """(key, score, predicted) of every row; null counts as the empty text, which gets the score of the bias alone."""
+    """(key, score, predicted) of every row.
+
+    Null counts as the empty text, which gets the score of the bias alone. Texts are scored whole; repeated rows give repeated
+    results and equal texts equal scores; an empty table gives an empty result; other columns play no part.
+    """
     kind = docs.schema[key].dataType.simpleString()
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
@@ -125,7 +144,10 @@ def score(docs: DataFrame, model, key: str = "doc_id", text: str = "text", thres
 
 
 def reject_toxic(docs: DataFrame, model: ToxicityModel, text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """The rows that the model does not hold for toxic, all columns as they were; each row is judged where it stands."""
+    """The rows that the model does not hold for toxic, all columns as they were, whatever they are called.
+
+    Each row is judged where it stands, repeated rows alike; null counts as the empty text; an empty table gives an empty result.
+    """
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -12,7 +12,7 @@ import string
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stash, table
+from .common import columns_of, sent_if_small, stash, table, unused
 
 #: Chunks end behind white space that follows a full stop or similar sign; the bounds are in characters.
 CHUNK_MIN, CHUNK_MAX = 1024, 8192
@@ -52,8 +52,12 @@ def recipes(docs: DataFrame, key: str = "doc_id", text: str = "text", hash_fn=ch
             F.transform(chunks(F.col("t")), hash_fn).alias("hs"),
         )
     )
-    # a chunk's text travels once for each task that meets it, never once for each copy
-    texts = norm.select(F.explode(chunks(F.col("t"))).alias("c")).select(hash_fn(F.col("c")).alias("h"), "c").groupBy("h", "c").agg(F.lit(1).alias("one"))
+    # only an identifier that occurs again can be shared; a chunk's text travels for these alone, and once for each task that meets it
+    again = stash(plain.select(F.explode("hs").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"))
+    texts = (
+        norm.select(F.explode(chunks(F.col("t"))).alias("c")).select(hash_fn(F.col("c")).alias("h"), "c")
+        .join(sent_if_small(again, 32), "h", "left_semi").groupBy("h", "c").agg(F.lit(1).alias("one"))
+    )
     shared = stash(
         texts.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h")
     )
@@ -106,16 +110,22 @@ def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", hash_
 
 
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The input without its copies, all columns as they were; of rows that repeat key and text one stays."""
-    sha = F.sha2(fold_ascii(F.col(text)), 256)
-    kept = (
-        exact_groups(docs.select(key, text), key, text).where("kept")
-        .groupBy(F.col(key).alias("__key"), F.col("text_sha256").alias("__kept_sha")).agg(F.count(F.lit(1)).alias("__times"))
-    )
-    found = docs.withColumn("__sha", sha).join(kept, F.col(key).eqNullSafe(F.col("__key")) & (F.col("__sha") == F.col("__kept_sha")))
-    once = found.where("__times = 1").select(*docs.columns)
-    more = found.where("__times > 1").dropDuplicates(["__key", "__sha"]).select(*docs.columns)
-    return once.unionByName(more)
+    """The input without its copies, all columns as they were, whatever they are called.
+
+    Of equal texts the row with the largest key stays, a null key being the smallest; of rows that repeat key and text one stays. Null
+    and empty texts are equal. An empty table gives an empty result.
+    """
+    k, sha = (unused(name, docs) for name in ("dedup_key", "dedup_sha"))
+    told = stash(exact_groups(docs.select(key, text), key, text).select(F.col(key).alias(k), F.unhex("text_sha256").alias(sha), "kept"))
+    gone = stash(told.where("not kept").select(k, sha).distinct())
+    again = stash(told.where("kept").groupBy(k, sha).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(k, sha))
+    named = docs.withColumn(k, F.col(key)).withColumn(sha, F.unhex(F.sha2(fold_ascii(F.col(text)), 256)))
+    of = lambda rows: [named[k].eqNullSafe(rows[k]), named[sha] == rows[sha]]
+    left = named.join(sent_if_small(gone, 128), of(gone), "left_anti")
+    if not again.isEmpty():
+        more = left.join(again, [left[k].eqNullSafe(again[k]), left[sha] == again[sha]], "left_semi").dropDuplicates([k, sha])
+        left = left.join(again, [left[k].eqNullSafe(again[k]), left[sha] == again[sha]], "left_anti").unionByName(more)
+    return left.select(*columns_of(docs))
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,4 +1,10 @@
-"""Near-duplicate groups by SimHash fingerprints, paired through the anchor points of a covering code."""
+"""Near-duplicate groups by SimHash fingerprints, paired through the anchor points of a covering code.
+
+``simhash_groups`` links fingerprints by their distance alone. ``similar_groups`` links texts whose sets of word shingles have a
+Jaccard similarity of at least a bound, counted exactly: fingerprints that meet at an anchor are candidates there, and since texts
+near the bound lie about ten bits apart, which no covering code reaches at a bearable number of copies, bands of minimum hashes of
+the same shingles give the other candidates.
+"""
 
 from __future__ import annotations
 
@@ -12,30 +18,38 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stash, table, text_blocks
+from .common import columns_of, sent_if_small, stash, table, text_blocks, unused
 
 BITS = 64
 SHINGLE, MAX_DISTANCE, SEED = 4, 4, 42
 
 
-def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
-    """64 majority votes over the XXH64 of the text's word shingles; zero for a text without words.
+def shingle_hashes(text: bytes, width: int = SHINGLE, seed: int = SEED) -> Iterator[np.ndarray]:
+    """The XXH64 of the text's word shingles, repeats included, in blocks; none for a text without words.
 
     Words are what stands between the bytes 0x20 and 0x09-0x0D, which is how ``bytes.split`` cuts; ``bytes.lower`` changes A-Z alone.
     """
     words = text.lower().split()
-    if not words:
-        return 0
-    n = max(1, len(words) - width + 1)
-    votes = np.zeros(BITS, np.int64)
+    n = max(1, len(words) - width + 1) if words else 0
     digest = xxhash.xxh64_intdigest
     for lo in range(0, n, 1 << 16):
         hi = min(n, lo + (1 << 16))
-        hashes = np.fromiter((digest(b" ".join(words[i : i + width]), seed) for i in range(lo, hi)), np.uint64, hi - lo)
+        yield np.fromiter((digest(b" ".join(words[i : i + width]), seed) for i in range(lo, hi)), np.uint64, hi - lo)
+
+
+def majority(blocks: list[np.ndarray]) -> int:
+    """64 majority votes over hashes; zero without any."""
+    votes, n = np.zeros(BITS, np.int64), sum(map(len, blocks))
+    for hashes in blocks:
         votes += np.unpackbits(hashes.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
     return int.from_bytes(np.packbits(2 * votes > n).tobytes(), "big")
 
 
+def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
+    """64 majority votes over the XXH64 of the text's word shingles; zero for a text without words."""
+    return majority(list(shingle_hashes(text, width, seed)))
+
+
 def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = SHINGLE) -> DataFrame:
     """(k, fp long) for every row."""
     kind = docs.schema[key].dataType
@@ -144,18 +158,174 @@ def simhash_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", wid
     prints = stash(fingerprints(docs, key, text, width))
     points = stash(prints.groupBy("fp").agg(F.min("k").alias("first_k")))
     labels = component_labels(near_pairs(points.select("fp"), distance, pieces))
-    rooted = points.join(labels, points.fp == labels.node, "left").select("fp", "first_k", F.coalesce("root", "fp").alias("root"))
-    roots = rooted.groupBy("root").agg(F.min("first_k").alias("component_id"))
-    named = rooted.join(roots, "root").select(F.col("fp").alias("p"), "component_id")
+    named = _named(points, labels, "fp")
     return prints.join(named, prints.fp == named.p, "left").select(
         F.col("k").alias(key), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
     )
 
 
-def keep_one_of_group(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
-    """The rows whose key names their component, all columns as they were."""
-    kept = simhash_groups(docs, key, text, **how).where(F.col(key).eqNullSafe(F.col("component_id"))).select(F.col(key).alias("__key")).distinct()
-    return docs.join(kept, F.col(key).eqNullSafe(F.col("__key")), "left_semi")
+def _named(points: DataFrame, labels: DataFrame, name: str) -> DataFrame:
+    """(p, component_id) of ``points(name, first_k)``. What is joined back is written first, so that adaptive execution can split a large component."""
+    rooted = stash(points.join(labels, points[name] == labels.node).select(name, "first_k", "root"))
+    roots = stash(rooted.groupBy("root").agg(F.min("first_k").alias("component_id")))
+    linked = rooted.join(roots, "root").select(F.col(name).alias("p"), "component_id")
+    alone = points.join(labels, points[name] == labels.node, "left_anti").select(F.col(name).alias("p"), F.col("first_k").alias("component_id"))
+    return linked.unionByName(alone)
+
+
+# --- links by exact similarity ---------------------------------------------------------------------------------------------------
+#
+# Texts with one set of shingles are one point, named by the set's digest. A band is the hash of ROWS minimum hashes: two points of
+# similarity s share one with probability s ** ROWS, and one of BANDS with 1 - (1 - s ** ROWS) ** BANDS (0.998 at 0.8). Points of a
+# band are all paired only in small groups. In a larger one each is compared with the group's centre, which is another one in each
+# band; what is then still in different components is compared too, but for pairs whose distances to the centre rule a link out.
+
+SIMILAR_WORDS, SIMILARITY = 5, 0.8
+BANDS, ROWS, ALL_PAIRS = 16, 5, 16
+#: Points of a large group that one task compares with others of it.
+GROUP_BLOCK = 1_024
+_SALTS = np.random.default_rng(7).integers(0, 1 << 63, (2, BANDS * ROWS), np.uint64)
+
+
+def minimum_hashes(distinct: np.ndarray) -> np.ndarray:
+    """The least of the hashes under each of BANDS * ROWS scramblings."""
+    least = np.full(BANDS * ROWS, ~np.uint64(0))
+    for lo in range(0, len(distinct), 4096):
+        least = np.minimum(least, ((distinct[lo : lo + 4096, None] ^ _SALTS[0]) * (_SALTS[1] | np.uint64(1))).min(0))
+    return least
+
+
+def set_digest(distinct: np.ndarray) -> bytes:
+    return xxhash.xxh3_128_digest(distinct.tobytes())
+
+
+def _distinct(blocks: list[np.ndarray]) -> np.ndarray:
+    return np.unique(np.concatenate(blocks)) if blocks else np.zeros(0, np.uint64)
+
+
+def profiles(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
+    """(k, v binary, n, fp, bands array<long>) for every row: the digest and size of its set of shingles, its fingerprint, its bands."""
+    kind = docs.schema[key].dataType.simpleString()
+    names = ["k", "v", "n", "fp", "bands"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi, texts in text_blocks(batch, "t"):
+                v, n, fp, bands = [], [], [], []
+                for t in texts:
+                    blocks = list(shingle_hashes(t, width))
+                    distinct = _distinct(blocks)
+                    least = minimum_hashes(distinct)
+                    v.append(set_digest(distinct))
+                    n.append(len(distinct))
+                    fp.append(majority(blocks))
+                    bands.append([xxhash.xxh64_intdigest(least[i * ROWS : (i + 1) * ROWS].tobytes(), i) for i in range(BANDS if blocks else 0)])
+                flat = pa.array(np.array([x for b in bands for x in b], np.uint64).view(np.int64))
+                ends = pa.array(np.cumsum([0, *map(len, bands)]), pa.int32())
+                yield pa.record_batch([batch.column(0).slice(lo, hi - lo), pa.array(v, pa.binary()), pa.array(n, pa.int32()), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.ListArray.from_arrays(ends, flat)], names=names)
+
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(run, f"k {kind}, v binary, n int, fp long, bands array<long>")
+
+
+def _shingle_sets(rows: DataFrame, width: int) -> DataFrame:
+    """(v, s array<long>) of ``rows(v, t)``, of those whose set has the digest ``v``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi, texts in text_blocks(batch, "t"):
+                sets = [_distinct(list(shingle_hashes(t, width))) for t in texts]
+                mine = [set_digest(x) == v for x, v in zip(sets, batch.column(0).slice(lo, hi - lo).to_pylist(), strict=True)]
+                kept = [x.view(np.int64) for x, own in zip(sets, mine, strict=True) if own]
+                yield pa.record_batch([batch.column(0).slice(lo, hi - lo).filter(pa.array(mine)), pa.array(kept, pa.list_(pa.int64()))], names=["v", "s"])
+
+    return rows.mapInArrow(run, "v binary, s array<long>")
+
+
+def _compared(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """``pairs`` with the exact similarity of the sets of ``a`` and ``b``."""
+    one, two = sets.select(F.col("v").alias("a"), F.col("s").alias("sa")), sets.select(F.col("v").alias("b"), F.col("s").alias("sb"))
+    both = F.size(F.array_intersect("sa", "sb"))
+    return pairs.join(one, "a").join(two, "b").withColumn("similarity", both / (F.size("sa") + F.size("sb") - both)).drop("sa", "sb")
+
+
+def similar_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = SIMILAR_WORDS, similarity: float = SIMILARITY, distance: int = MAX_DISTANCE, pieces: int = 3) -> DataFrame:
+    """(key, component_id): one row per input row; ``component_id`` is the smallest key reachable over links of at least ``similarity``.
+
+    A candidate is linked only if the Jaccard similarity of the two sets of shingles, counted exactly, reaches the bound. Texts of
+    equal sets are one point, so copies are never paired; texts without words are equal to each other and like no other. A null key
+    names a component only if nothing else is there; rows that repeat key and text are told alike; an empty table gives an empty
+    result. No partner is capped.
+    """
+    prints = stash(profiles(docs, key, text, width))
+    own = [F.first(F.get("bands", F.lit(i))).alias(f"b{i}") for i in range(BANDS)]  # numbers, so that they are combined without a sort
+    points = stash(prints.groupBy("v").agg(F.min("k").alias("first_k"), F.first("n").alias("n"), F.first("fp").alias("fp"), *own).where("n > 0"))
+    reach = F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb")  # sets of more different sizes cannot be so alike
+    # fingerprints that are near, each by its first point; and the other points of a fingerprint with the first
+    of_fp = stash(points.groupBy("fp").agg(F.min("v").alias("a"), F.count(F.lit(1)).alias("points")))
+    name = lambda c: of_fp.select(F.col("fp").alias(c), F.col("a").alias(f"v{c}"))
+    near = near_pairs(of_fp.select("fp"), distance, pieces).distinct().join(name("a"), "a").join(name("b"), "b").select(F.col("va").alias("a"), F.col("vb").alias("b"))
+    same = points.select("v", "fp").join(of_fp.where("points > 1"), "fp").where("a <> v").select("a", F.col("v").alias("b"))
+    # bands that several points share
+    banded = points.select("v", "n", F.explode(F.array(*[f"b{i}" for i in range(BANDS)])).alias("band")).withColumn("h", F.xxhash64("v", "band"))
+    shared = stash(banded.groupBy("band").agg(F.count(F.lit(1)).alias("points"), F.min("h").alias("least")).where("points > 1"))
+    members = stash(banded.join(shared, "band"))
+    small = members.where(F.col("points") <= ALL_PAIRS).groupBy("band").agg(F.collect_list(F.struct("v", "n")).alias("vs"))  # of ALL_PAIRS points at most
+    small = small.select(F.col("vs"), F.explode("vs").alias("x")).select("x", F.explode("vs").alias("y")).where("x.v < y.v").select(
+        F.col("x.v").alias("a"), F.col("x.n").alias("na"), F.col("y.v").alias("b"), F.col("y.n").alias("nb")
+    ).where(reach).select("a", "b")
+    crowded = members.where(F.col("points") > ALL_PAIRS)
+    large = stash(crowded.join(crowded.where("h = least").select("band", F.col("v").alias("centre")), "band").select("band", "centre", "points", "v", "n"))
+    star = large.where("centre <> v").select(F.col("centre").alias("a"), F.col("v").alias("b"))
+    ordered = lambda df: df.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = stash(ordered(functools.reduce(DataFrame.unionByName, (near, same, small, star))))
+    # the sets of the points that are in a pair, from one row of each
+    needed = stash(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct().join(points.select("v", "first_k"), "v"))
+    rows = docs.select(F.col(key).alias("k"), F.col(text).alias("t"))
+    sets = stash(_shingle_sets(rows.join(sent_if_small(needed, 64), rows.k.eqNullSafe(needed.first_k)).select("v", "t"), width).dropDuplicates(["v"]))
+    told = stash(_compared(pairs, sets))
+    links = told.where(F.col("similarity") >= similarity).select("a", "b")
+    labels = stash(component_labels(links))
+    if not large.isEmpty():
+        links = links.unionByName(_links_in_large_groups(large, told, labels, sets, similarity))
+        labels = stash(component_labels(links))
+    named = _named(points.select("v", "first_k"), labels, "v")
+    wordless = prints.where("n = 0").agg(F.min("k").alias("component_id")).select(F.lit(set_digest(np.zeros(0, np.uint64))).alias("p"), "component_id")
+    named = named.unionByName(wordless)
+    return prints.select("k", "v").join(named, prints.v == named.p, "left").select(F.col("k").alias(key), "component_id")
+
+
+def _links_in_large_groups(large: DataFrame, told: DataFrame, labels: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links between points of a large group that are in different components after the comparison with the group's centre.
+
+    1 - similarity is a metric, so two points whose distances to the centre differ by more than 1 - ``similarity`` are no link.
+    """
+    placed = large.join(labels, large.v == labels.node, "left").select("band", "centre", "points", "v", "n", F.coalesce("root", "v").alias("root"))
+    open_ = stash(placed.groupBy("band").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("band"))
+    known = told.select("a", "b", "similarity")
+    far = (
+        placed.join(open_, "band").withColumn("a", F.least("v", "centre")).withColumn("b", F.greatest("v", "centre"))
+        .join(known, ["a", "b"], "left").select("band", "points", "v", "n", "root", F.when(F.col("v") == F.col("centre"), 0.0).otherwise(1 - F.col("similarity")).alias("d"))
+    )
+    far = stash(far.withColumn("blocks", F.ceil(F.col("points") / GROUP_BLOCK).cast("int")))
+    block = F.pmod(F.xxhash64("v"), F.col("blocks")).cast("int")
+    one = far.select("band", block.alias("block"), F.col("v").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"), F.col("d").alias("da"))
+    two = far.select("band", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("v").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), F.col("d").alias("db"))
+    apart = (F.col("ra") < F.col("rb")) & (F.abs(F.col("da") - F.col("db")) <= 1 - similarity + 1e-9) & (F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb"))
+    pairs = one.join(two, ["band", "block"]).where(apart).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return _compared(stash(pairs.join(known, ["a", "b"], "left_anti")), sets).where(F.col("similarity") >= similarity).select("a", "b")
+
+
+def keep_one_of_group(docs: DataFrame, key: str = "doc_id", text: str = "text", similarity: float | None = None, **how) -> DataFrame:
+    """The rows whose key names their component, all columns as they were, whatever they are called.
+
+    Components are those of ``similar_groups`` if a ``similarity`` is given, else those of ``simhash_groups``. Rows that repeat a key
+    that stays are all kept; null and wordless texts are a group of their own kind; an empty table gives an empty result.
+    """
+    groups = simhash_groups(docs, key, text, **how) if similarity is None else similar_groups(docs, key, text, similarity=similarity, **how)
+    k = unused("group_key", docs)
+    stays = groups.select(F.col(key).alias(k), F.col(key).eqNullSafe(F.col("component_id")).alias("stays")).groupBy(k).agg(F.max("stays").alias("stays"))
+    gone = stash(stays.where("not stays").select(k))
+    return docs.join(sent_if_small(gone, 48), docs[key].eqNullSafe(gone[k]), "left_anti").select(*columns_of(docs))
 
 
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -159,13 +159,15 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW_WORDS, seed_words: int
     Spans may overlap; together they cover each word of each such window and no other word.
     """
     places = stash(seed_places(docs, window, seed_words))
-    # what is joined back is written first: both sides are then shuffled for the join alone, and adaptive execution can split hot keys
-    seeds = stash(places.groupBy("seed").agg(F.min("k").alias("first"), F.max("k").alias("last")).where("first < last").select("seed"))
+    # what is joined back is written first: both sides are then shuffled for the join alone, and adaptive execution can split hot
+    # keys. A seed is an edge if its places differ in their extension
+    seeds = stash(
+        places.groupBy("seed").agg(F.min("k").alias("first"), F.max("k").alias("last"), ((F.min("e1") < F.max("e1")) | (F.min("e2") < F.max("e2"))).alias("edge"))
+        .where("first < last").select("seed", "edge")
+    )
     shared = stash(places.join(seeds, "seed"))
-    classes = shared.groupBy("seed", "e1", "e2").agg(F.min("k").alias("owner"))
-    several = classes.groupBy("seed").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("seed")
-    owned = stash(classes.join(several.withColumn("edge", F.lit(True)), "seed", "left"))
-    settled = stash(shared.join(owned, ["seed", "e1", "e2"]).select("k", "v", "lo", "hi", "owner", F.coalesce("edge", F.lit(False)).alias("edge")))
+    classes = stash(shared.groupBy("seed", "e1", "e2").agg(F.min("k").alias("owner")))
+    settled = stash(shared.join(classes, ["seed", "e1", "e2"]).select("k", "v", "lo", "hi", "owner", "edge"))
     inner = settled.where("owner < k").select("k", "v", "lo", "hi")
     edges = settled.where("owner = k and edge").groupBy("k", "v").agg(F.collect_set(F.struct("lo", "hi")).alias("spans"))
     windows = stash(_window_digests(_packed(docs).join(edges, ["k", "v"]).select("k", "v", "z", "spans"), window))

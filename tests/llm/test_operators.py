@@ -2,7 +2,10 @@
 
 import collections
 import hashlib
+import math
 import random
+import re
+import time
 import zlib
 
 import numpy as np
@@ -10,9 +13,10 @@ import pytest
 import public_tokenizers
 import tiktoken
 import xxhash
+import zstandard
 from pyspark.sql import functions as F
 
-from stagewise.llm import byte_bpe, common, exact_dedup, language_id, line_dedup, mixing, quality, registry, simhash, substring_dedup, topk, toxicity
+from stagewise.llm import byte_bpe, common, exact_dedup, ftrl, language_id, line_dedup, mixing, quality, registry, simhash, substring_dedup, topk, toxicity
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 RANKS = byte_bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken"))
@@ -87,6 +91,27 @@ def test_keep_one_keeps_columns_and_repeated_rows_once(docs):
     assert kept.count() == len({fold(t) for _, t, *_ in awkward()})
 
 
+CLASHING = ("__key", "__sha", "__times", "__kept_sha", "__copy", "dedup_key", "DEDUP_SHA", "mix_key", "mix_times", "mix_copy", "group_key", "k", "t", "size", "a.b")
+
+
+@pytest.mark.parametrize("keep", [exact_dedup.keep_one, simhash.keep_one_of_group, mixing.mixed], ids=["exact", "near", "mix"])
+def test_columns_of_any_name_stay_as_they_were(docs, keep):
+    marked = docs.withColumns({c: F.concat(F.lit(c), "doc_id") for c in CLASHING})
+    kept = keep(marked)
+    assert kept.columns == marked.columns and kept.count() == keep(docs).count()
+    wrong = F.lit(False)
+    for c in CLASHING:
+        wrong = wrong | ~F.col(f"`{c}`").eqNullSafe(F.concat(F.lit(c), "doc_id"))
+    assert kept.where(wrong).count() == 0
+
+
+def test_only_chunks_met_again_are_compared(spark):
+    one, two = ("sentence one. " * 400), ("sentence two. " * 400)
+    rows = [(1, one + two), (2, two + one), (3, one + two), (4, one), (5, "alone")]
+    got = {r["doc_id"]: (r["keep_id"], r["group_size"]) for r in exact_dedup.exact_groups(spark.createDataFrame(rows, "doc_id long, text string"), hash_fn=lambda c: F.lit(7).cast("long")).collect()}
+    assert got == {1: (3, 2), 2: (2, 1), 3: (3, 2), 4: (4, 1), 5: (5, 1)}
+
+
 # --- simhash -----------------------------------------------------------------------------------------------------------------------
 
 
@@ -143,6 +168,54 @@ def test_chain_components(spark):
     assert got == {**dict.fromkeys(range(61), 0), 100: 100, 150: 100, 200: 100}
 
 
+def similar_components(rows, bound, width=5):
+    """Smallest key of each component of texts whose shingle sets are at least ``bound`` alike, pair by pair."""
+    sets = []
+    for _, t in rows:
+        w = [bytes(c + 32 if 65 <= c <= 90 else c for c in x) for x in words_of(t)]
+        sets.append(frozenset(tuple(w[i : i + width]) for i in range(max(1, len(w) - width + 1))) if w else frozenset())
+    near = {i: [j for j in range(len(rows)) if sets[i] == sets[j] or len(sets[i] & sets[j]) >= bound * len(sets[i] | sets[j])] for i in range(len(rows))}
+    out, seen = {}, set()
+    for i in near:
+        if i not in seen:
+            group, todo = {i}, [i]
+            while todo:
+                for j in near[todo.pop()]:
+                    if j not in group:
+                        group.add(j)
+                        todo.append(j)
+            seen |= group
+            least = min((rows[j][0] for j in group if rows[j][0] is not None), default=None)
+            out |= dict.fromkeys(group, least)
+    return [(k, out[i]) for i, (k, _) in enumerate(rows)]
+
+
+@pytest.mark.parametrize(("all_pairs", "block"), [(16, 1024), (2, 4)])
+def test_similar_groups(spark, monkeypatch, all_pairs, block):
+    monkeypatch.setattr(simhash, "ALL_PAIRS", all_pairs)
+    monkeypatch.setattr(simhash, "GROUP_BLOCK", block)
+    dice = random.Random(6)
+    base = [f"w{dice.randrange(400)}" for _ in range(160)]
+    rows = [(d, t) for d, t, *_ in awkward()]
+    for i in range(100, 160):  # up to five words of a hundred and sixty are others, or words are missing at an end
+        w = list(base)
+        for _ in range(i % 6):
+            w[dice.randrange(160)] = f"other{dice.randrange(9999)}"
+        rows.append((i, " ".join(w[i % 4 * 3 :])))
+    rows += rows[-2:]
+    got = simhash.similar_groups(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert collections.Counter(map(tuple, got)) == collections.Counter(similar_components(rows, 0.8))
+
+
+def test_near_copies_go_with_all_columns(docs, empty):
+    clash = {c: F.lit(1) for c in ("group_key", "v", "k", "a.b", "__key", "component_id")}
+    kept = simhash.keep_one_of_group(docs.withColumns(clash), similarity=0.8)
+    assert kept.columns == [*docs.columns, *clash]
+    want = similar_components([(d, t) for d, t, *_ in awkward()], 0.8)
+    assert sorted(map(str, (r["doc_id"] for r in kept.collect()))) == sorted(str(k) for k, c in want if k == c)
+    assert simhash.keep_one_of_group(empty, similarity=0.8).count() == simhash.similar_groups(empty).count() == 0
+
+
 # --- substrings ----------------------------------------------------------------------------------------------------------------------
 
 
@@ -269,6 +342,18 @@ def test_full_tables_are_emptied(monkeypatch, reference):
         assert np.frombuffer(small.encode(s), "<u4").tolist() == reference.encode_ordinary(s)
 
 
+@pytest.mark.parametrize("text", ["a" * 5_000_000, "ab" * 300_000, "é" * 200_000, "qwertyuiopasdfghjklzxcvbnm" * 20_000])
+def test_long_pieces_take_linear_time(codec, monkeypatch, text):
+    monkeypatch.setattr(byte_bpe, "MAX_TRANSITIONS", 50)  # the tables are emptied within the piece, too
+    began = time.monotonic()
+    ids = codec.encode(text)
+    assert time.monotonic() - began < 60
+    ids = np.frombuffer(ids, "<u4")
+    assert b"".join(codec.decode(ids.tolist())) == text.encode()
+    pairs = {(a, b) for a, b in zip(ids[:-1].tolist(), ids[1:].tolist(), strict=True)}
+    assert all(codec.pieces.transducer.follows(a, b) for a, b in pairs)  # which makes the sequence the encoding
+
+
 def test_stream_cuts_at_characters():
     data = "aé€\U0001f600z".encode() + b"\xf0\x9f"
     for step in range(1, 6):
@@ -332,6 +417,32 @@ def test_budget_is_met_where_it_can_be(seed):
     assert int((np.arange(1, 3000) * big).sum()) == 100_000_001
 
 
+def best_sum(lengths, counts, budget):
+    sums = {0}
+    for length, n in zip(lengths.tolist(), counts.tolist(), strict=True):
+        sums = {s + length * i for s in sums for i in range(n + 1) if s + length * i <= budget}
+    return max(sums)
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_budget_is_the_best_subset_sum(seed):
+    dice = np.random.default_rng(seed)
+    lengths = np.unique(dice.integers(0, 30, 6))
+    counts = dice.integers(1, 8, len(lengths))
+    for budget in {int(b) for b in dice.integers(0, int((lengths * counts).sum()) + 3, 12)}:
+        take = mixing.fit_budget(lengths, counts, budget)
+        assert (take >= 0).all() and (take <= counts).all()
+        assert int((lengths * take).sum()) == best_sum(lengths, counts, budget)
+        some = mixing.fit_budget(lengths, counts, budget, exact=40)  # an even share first
+        assert budget - 30 < int((lengths * some).sum()) <= budget or int((lengths * some).sum()) == best_sum(lengths, counts, budget)
+
+
+def test_budgets_that_an_even_share_would_miss():
+    for lengths, count, budget in (([7, 10], 3, 20), ([3, 5], 10, 41)):
+        take = mixing.fit_budget(np.array(lengths), np.full(2, count), budget)
+        assert int((np.array(lengths) * take).sum()) == budget
+
+
 def test_mix(docs):
     got = mixing.mix(docs).collect()
     again = mixing.mix(docs.repartition(7)).collect()
@@ -404,6 +515,102 @@ def test_quality(spark, docs, empty):
     assert toxicity.score(empty, quality.fit(empty, labels.limit(0))).count() == 0
 
 
+def test_quality_without_what_it_needs(spark, docs):
+    label = lambda rows: spark.createDataFrame(rows, "doc_id long, quality int")
+    absent = [(10_000 + i, i % 2) for i in range(90)]
+    for rows in ([], absent, [(4, 1), (5, 1)], [(4, 1), (5, 0)], [*absent, (4, 1)], [(1, 1), (2, 1), (3, 0), (None, 0)], [(4, None), (5, 2)]):
+        scores = {r["score"] for r in toxicity.score(docs, quality.fit(docs, label(rows))).collect()}
+        assert scores == {0.5}, rows
+    assert quality.platt(np.zeros(0), np.zeros(0)) == (0.0, 0.0)
+
+
+def test_training_bytes_are_bounded(spark):
+    d, labels = labelled(spark)
+    all_ = toxicity.labelled_texts(d, labels, "toxic", "doc_id", "text", 10_000, 1 << 30)
+    some = toxicity.labelled_texts(d, labels, "toxic", "doc_id", "text", 10_000, 20_000)
+    size = lambda x: x.agg(F.sum(F.octet_length("t"))).first()[0]
+    assert all_.count() == 900 and 10_000 < size(some) < 30_000 < size(all_)
+
+
+def plain_ftrl(rows, targets, order, alpha, beta, l1, l2):
+    """Coordinate by coordinate, after the published update."""
+    z, n, classes = collections.defaultdict(float), collections.defaultdict(float), len(targets[0])
+
+    def weight(f, c):
+        if abs(z[f, c]) <= (0 if f == "bias" else l1):
+            return 0.0
+        return -(z[f, c] - math.copysign(0 if f == "bias" else l1, z[f, c])) / ((beta + math.sqrt(n[f, c])) / alpha + (0 if f == "bias" else l2))
+
+    for i in order:
+        x = [*rows[i], ("bias", 1.0)]
+        m = [sum(weight(f, c) * v for f, v in x) for c in range(classes)]
+        p = [1 / (1 + math.exp(-m[0]))] if classes == 1 else [math.exp(a - max(m)) / sum(math.exp(b - max(m)) for b in m) for a in m]
+        for c in range(classes):
+            old = {f: weight(f, c) for f, _ in x}
+            for f, v in x:
+                g = (p[c] - targets[i][c]) * v
+                sigma = (math.sqrt(n[f, c] + g * g) - math.sqrt(n[f, c])) / alpha
+                z[f, c] += g - sigma * old[f]
+                n[f, c] += g * g
+    return weight
+
+
+@pytest.mark.parametrize("classes", [1, 3])
+def test_ftrl_is_the_published_update(classes):
+    dice = random.Random(classes)
+    rows = [[(f, dice.random()) for f in sorted(dice.sample(range(20), dice.randrange(6)))] for _ in range(80)]
+    targets = [[1.0 if dice.randrange(max(2, classes)) == c else 0.0 for c in range(classes)] for _ in rows]
+    model = ftrl.FtrlLogistic(20, classes, alpha=0.3, l1=0.1, l2=0.5)
+    for x, y in zip(rows, targets, strict=True):
+        model.learn(np.array([f for f, _ in x], np.int64), np.array([v for _, v in x]), np.array(y) if classes > 1 else y[0])
+    w, b = model.weights()
+    weight = plain_ftrl(rows, targets, range(len(rows)), 0.3, model.beta, 0.1, 0.5)
+    for c in range(classes):
+        assert b[c] == pytest.approx(weight("bias", c), abs=1e-9)
+        assert [w[f, c] for f in range(20)] == pytest.approx([weight(f, c) for f in range(20)], abs=1e-9)
+
+
+def test_toxicity_scores_by_hand(spark, docs):
+    """A text's score is the logistic of the bias and the weights of its distinct words, stems and pairs."""
+    d, labels = labelled(spark)
+    model = toxicity.fit(d, labels)
+    weights = dict(zip(model.at.tolist(), model.weight.tolist(), strict=True))
+    for r in toxicity.score(docs.unionByName(docs), model).join(docs.select("doc_id", "text").dropDuplicates(["doc_id"]), "doc_id").where("doc_id not in (10, 11)").collect():
+        found = set()
+        words = re.findall(r"[0-9a-z\x80-\U0010ffff]+", "".join(c.lower() if c < "\x80" else c for c in r["text"] or ""))
+        for i, w in enumerate(words):  # each feature by itself, from a text that holds nothing else
+            alone = toxicity.word_features([w.encode()])[1].tolist()
+            found |= set(alone)
+            for gap in (1, 2):
+                if i + gap < len(words):
+                    both = " ".join([w, *(["zzz"] if gap == 2 else []), words[i + gap]])
+                    found.add(toxicity.word_features([both.encode()])[1][(9 if gap == 2 else 6) + (2 if gap == 2 else 0)])
+        margin = model.bias + sum(weights.get(f, 0.0) for f in found)
+        assert r["score"] == pytest.approx(1 / (1 + math.exp(-margin)), abs=1e-6)
+
+
+def test_quality_scores_by_hand(spark, docs):
+    d, labels = labelled(spark)
+    model = quality.fit(d, labels)
+    size = lambda text, words: len(zstandard.ZstdCompressor(level=quality.LEVEL, dict_data=zstandard.ZstdCompressionDict(words), write_content_size=False, write_checksum=False, write_dict_id=False).compress(text))
+    for r in toxicity.score(docs, model).join(docs.select("doc_id", "text"), "doc_id").where("doc_id <> 11").collect():
+        t = (r["text"] or "").encode()
+        saved = sum(size(t[i : i + 4096], model.bad) - size(t[i : i + 4096], model.good) for i in range(0, len(t), 4096)) / max(1, len(t))
+        assert r["score"] == pytest.approx(1 / (1 + math.exp(-(model.slope * saved + model.shift))), abs=1e-2)
+
+
+def test_language_scores_by_hand(spark, docs):
+    """Margins are the mean over a text's character 1- to 3-grams of the weight times idf, scaled, and the bias."""
+    d, _ = labelled(spark)
+    model = language_id.fit(d)
+    for r in language_id.identify(docs, model).join(docs.select("doc_id", F.lower("text").alias("text")), "doc_id").where("doc_id not in (10, 11) and lang_pred <> 'und'").collect():
+        grams = [r["text"][i : i + n] for n in (1, 2, 3) for i in range(len(r["text"]) - n + 1)]
+        at = [int(language_id.gram_features([g.encode()])[len(g) - 1][0][0]) for g in grams]
+        m = [(language_id.SCALE * sum(float(model.table[f, c]) for f in at) / len(at) + model.bias[c]) / model.temperature for c in range(len(model.languages))]
+        p = [math.exp(x - max(m)) / sum(math.exp(y - max(m)) for y in m) for x in m]
+        assert r["lang_pred"] == model.languages[p.index(max(p))] and r["score"] == pytest.approx(max(p), abs=1e-6)
+
+
 def test_language(spark, docs, empty):
     d, _ = labelled(spark)
     model = language_id.fit(d.where(common.fold_of(F.col("doc_id"), 5) != 0))

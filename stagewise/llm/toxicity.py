@@ -104,11 +104,11 @@ def fit(
     """Fit on whole texts of a bounded sample of the labelled rows.
 
     Null labels and labels other than 0 and 1 are left out, as are labels whose document is absent; a null text counts as empty, a
-    repeated row as often as it is there. Without labelled texts every score is that of no evidence, zero.
+    repeated row as often as it is there. Without texts of both labels every score is that of no evidence, zero.
     """
     got = _distinct_features(labelled_texts(docs, labels, label, key, text, rows, most).select("y", "t"), bits).toArrow().combine_chunks()
     y = np.asarray(got["y"]).astype(float)
-    if not len(y):
+    if len(set(y)) < 2:
         return ToxicityModel(np.zeros(0, np.int64), np.zeros(0), -np.inf, bits)
     features = got["f"].combine_chunks() if isinstance(got["f"], pa.ChunkedArray) else got["f"]
     flat, ends = np.asarray(features.flatten()), np.asarray(features.offsets)
@@ -149,13 +149,14 @@ def reject_toxic(docs: DataFrame, model: ToxicityModel, text: str = "text", thre
     Each row is judged where it stands, repeated rows alike; null counts as the empty text; an empty table gives an empty result.
     """
     sent = docs.sparkSession.sparkContext.broadcast(model)
+    plain, of = docs.toDF(*(f"c{i}" for i in range(len(docs.columns)))), f"c{docs.columns.index(text)}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, texts in text_blocks(batch, text):
+            for a, b, texts in text_blocks(batch, of):
                 yield batch.slice(a, b - a).filter(pa.array(sent.value.scores(texts) < threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,9 @@ kinds answer rightly on both sets.
 
 from __future__ import annotations
 
+import functools
 import math
+from collections import deque
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -121,10 +123,14 @@ def probe_counting(f: Column, key: Column, hashes: int | None) -> Column:
 # --- XOR tables --------------------------------------------------------------------------------------------------------------
 
 
-def table_size(n: int, layout: str, C: float | None = None) -> int:
-    """Cells for n keys. Small coupled tables need more than their asymptotic share."""
+#: Cells a key of coupled tables by j: (from how many keys on, cells). Small tables need more than their asymptotic share.
+COUPLED_CELLS = {3: ((1 << 20, C_COUPLED), (1 << 16, 1.17), (0, 1.20)), 4: ((1 << 20, 1.08), (1 << 17, 1.10), (1 << 15, 1.14), (0, 1.20))}
+
+
+def table_size(n: int, layout: str, C: float | None = None, j: int = 3) -> int:
+    """Cells for n keys."""
     if C is None:
-        C = C_UNIFORM if layout == "uniform" else C_COUPLED if n >= 1 << 20 else 1.17 if n >= 1 << 16 else 1.20
+        C = C_UNIFORM if layout == "uniform" else next(c for least, c in COUPLED_CELLS[j] if n >= least)
     return max(6, math.ceil(n * C) + min(24 if layout == "uniform" else 8, 6 + n // 4))
 
 
@@ -187,7 +193,7 @@ def fill(slots: np.ndarray, m: int, rounds: list, values: np.ndarray) -> np.ndar
 
 def solve(keys: np.ndarray, value_of: Callable[[int], np.ndarray], width: int, seed: int, layout: str, j: int = 3, C: float | None = None) -> Built:
     """Peel with one seed after another; after every eight failures the table grows by 3%."""
-    m = table_size(len(keys), layout, C)
+    m = table_size(len(keys), layout, C, j)
     for t in range(MAX_TRIES):
         s = seed + 16 * t
         if t and t % 8 == 0:
@@ -203,32 +209,36 @@ def _print_np(keys: np.ndarray, seed: int, width: int) -> np.ndarray:
     return hash_np(seed + 9, keys) & np.uint64((1 << width) - 1)
 
 
-def _xor_np(f: Built, keys: np.ndarray, layout: str) -> np.ndarray:
-    slots = slots_np(keys, f.seed, f.m, layout)
+def _xor_np(f: Built, keys: np.ndarray, layout: str, j: int) -> np.ndarray:
+    slots = slots_np(keys, f.seed, f.m, layout, j)
     return np.bitwise_xor.reduce(read_np(f.words, slots.ravel(), f.width).reshape(slots.shape), 0)
 
 
-def _xor_col(f: Column, key: Column, layout: str) -> Column:
-    a, b, c = (read_col(f["words"], s, f["width"]) for s in slots_col(f, key, layout))
-    return a.bitwiseXOR(b).bitwiseXOR(c)
+def _xor_col(f: Column, key: Column, layout: str, j: int) -> Column:
+    return functools.reduce(Column.bitwiseXOR, (read_col(f["words"], s, f["width"]) for s in slots_col(f, key, layout, j)))
 
 
-def build_xor(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, layout: str = "uniform", C: float | None = None) -> Built:
-    """Approximate: accepted keys carry a fingerprint of about log2(1/eps) bits."""
-    width = max(1, min(32, round(-math.log2(eps))))
-    return solve(pos, lambda s: _print_np(pos, s, width), width, seed, layout, C=C)
+def build_xor(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, layout: str = "uniform", C: float | None = None, j: int = 3, mixed: bool = False) -> Built:
+    """Approximate: accepted keys carry a fingerprint of about log2(1/eps) bits.
 
+    ``mixed``: of a rate between two whole numbers of bits, a segment takes the upper one with the probability of the fraction.
+    """
+    bits = -math.log2(eps)
+    whole = math.floor(bits) + (float(np.random.default_rng(seed).random()) < bits % 1) if mixed else round(bits)
+    width = max(1, min(32, whole))
+    return solve(pos, lambda s: _print_np(pos, s, width), width, seed, layout, j, C)
 
-def test_xor(f: Built, keys: np.ndarray, layout: str = "uniform") -> np.ndarray:
-    return _xor_np(f, keys, layout) == _print_np(keys, f.seed, f.width)
 
+def test_xor(f: Built, keys: np.ndarray, layout: str = "uniform", j: int = 3) -> np.ndarray:
+    return _xor_np(f, keys, layout, j) == _print_np(keys, f.seed, f.width)
 
-def probe_xor(f: Column, key: Column, layout: str = "uniform") -> Column:
+
+def probe_xor(f: Column, key: Column, layout: str = "uniform", j: int = 3) -> Column:
     mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"]) - 1
-    return _xor_col(f, key, layout) == hash_col(f["seed"] + 9, key).bitwiseAND(mask)
+    return _xor_col(f, key, layout, j) == hash_col(f["seed"] + 9, key).bitwiseAND(mask)
 
 
-def build_retrieval(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, layout: str = "uniform", strategy: str = "a", C: float | None = None) -> Built:
+def build_retrieval(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, layout: str = "uniform", strategy: str = "a", C: float | None = None, j: int = 3) -> Built:
     """Exact, one bit a cell. At a rate above zero only the negatives that must be told apart are encoded.
 
     Strategy a answers "equal to the key's coin", so a negative that was left out passes half the time; strategy b answers "one".
@@ -239,17 +249,70 @@ def build_retrieval(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, lay
     keys = np.concatenate([pos, neg])
     truth = np.concatenate([np.ones(len(pos), np.uint64), np.zeros(len(neg), np.uint64)])
     coin = lambda s: _print_np(keys, s, 1) if strategy == "a" else np.ones(len(keys), np.uint64)
-    return solve(keys, lambda s: coin(s) ^ np.uint64(1) ^ truth, 1, seed, layout, C=C)
+    return solve(keys, lambda s: coin(s) ^ np.uint64(1) ^ truth, 1, seed, layout, j, C)
 
 
-def test_retrieval(f: Built, keys: np.ndarray, layout: str = "uniform", strategy: str = "a") -> np.ndarray:
+def test_retrieval(f: Built, keys: np.ndarray, layout: str = "uniform", strategy: str = "a", j: int = 3) -> np.ndarray:
     coin = _print_np(keys, f.seed, 1) if strategy == "a" else np.uint64(1)
-    return _xor_np(f, keys, layout) == coin
+    return _xor_np(f, keys, layout, j) == coin
 
 
-def probe_retrieval(f: Column, key: Column, layout: str = "uniform", strategy: str = "a") -> Column:
+def probe_retrieval(f: Column, key: Column, layout: str = "uniform", strategy: str = "a", j: int = 3) -> Column:
     coin = hash_col(f["seed"] + 9, key).bitwiseAND(F.lit(1)) if strategy == "a" else F.lit(1)
-    return _xor_col(f, key, layout) == coin
+    return _xor_col(f, key, layout, j) == coin
+
+
+# --- both stages in shared blocks ------------------------------------------------------------------------------------------------
+#
+# A block is a fingerprint cell and two one-bit cells. A key has three blocks for both stages: the fingerprint is the xor of the
+# upper parts, the answer the xor of one lower bit of each, so a lookup touches three places in all. The fingerprints alone let
+# fewer negatives through than there are positives, so at most 2n keys are stored in the 2m one-bit cells.
+
+
+def _block_bits_np(keys: np.ndarray, seed: int) -> np.ndarray:
+    """Which of a block's two one-bit cells a key uses, in each of its three blocks."""
+    h = hash_np(seed + 5, keys)
+    return np.stack([((h >> np.uint64(i)) & np.uint64(1)).astype(np.int64) for i in range(3)])
+
+
+def build_shared(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, C: float | None = None) -> Built:
+    """Exact, for positives that are not the majority."""
+    width = max(0, math.ceil(math.log2(max(1.0, len(neg) / max(1, len(pos))))))
+    m = table_size(len(pos), "uniform", C)
+    for t in range(MAX_TRIES):
+        s = seed + 16 * t
+        if t and t % 8 == 0:
+            m = math.ceil(m * 1.03)
+        slots = slots_np(pos, s, m, "uniform")
+        rounds = peel(slots, m)
+        if rounds is None:
+            continue
+        upper = fill(slots, m, rounds, _print_np(pos, s, width))
+        own = lambda keys: np.bitwise_xor.reduce(upper[slots_np(keys, s, m, "uniform")], 0) == _print_np(keys, s, width)  # noqa: B023, E731
+        keys = np.concatenate([pos, neg[own(neg)]])
+        cells = 2 * slots_np(keys, s, m, "uniform") + _block_bits_np(keys, s)
+        rounds = peel(cells, 2 * m)
+        if rounds is None:
+            continue
+        lower = fill(cells, 2 * m, rounds, (np.arange(len(keys)) < len(pos)).astype(np.uint64))
+        return Built(s, m, width + 2, pack(upper << np.uint64(2) | lower[1::2] << np.uint64(1) | lower[0::2], width + 2))
+    raise RuntimeError(f"no shared table of {m} blocks found for {len(pos)} of {len(pos) + len(neg)} keys")
+
+
+def test_shared(f: Built, keys: np.ndarray) -> np.ndarray:
+    slots, bits = slots_np(keys, f.seed, f.m, "uniform"), _block_bits_np(keys, f.seed)
+    blocks = read_np(f.words, slots.ravel(), f.width).reshape(slots.shape)
+    same = np.bitwise_xor.reduce(blocks >> np.uint64(2), 0) == _print_np(keys, f.seed, f.width - 2)
+    return same & (np.bitwise_xor.reduce(blocks >> bits.astype(np.uint64) & np.uint64(1), 0) == 1)
+
+
+def probe_shared(f: Column, key: Column) -> Column:
+    blocks = [read_col(f["words"], s, f["width"]) for s in slots_col(f, key, "uniform")]
+    mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"] - 2) - 1
+    upper = F.shiftrightunsigned(functools.reduce(Column.bitwiseXOR, blocks), 2)
+    h = hash_col(f["seed"] + 5, key)
+    bit = lambda i: F.call_function("shiftrightunsigned", blocks[i], F.shiftrightunsigned(h, i).bitwiseAND(F.lit(1)).cast("int")).bitwiseAND(F.lit(1))
+    return (upper == hash_col(f["seed"] + 9, key).bitwiseAND(mask)) & (bit(0).bitwiseXOR(bit(1)).bitwiseXOR(bit(2)) == 1)
 
 
 # --- cuckoo filter -----------------------------------------------------------------------------------------------------------
@@ -269,32 +332,39 @@ def build_cuckoo(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int) -> Bui
     for t in range(MAX_TRIES):
         s = seed + 16 * t
         print_, first, other = _cuckoo_np(pos, s, buckets, width)
-        hop = {int(p): int(h) for p, h in zip(print_, first ^ other, strict=True)}
-        table: list[list[int]] = [[] for _ in range(buckets)]
-        dice = np.random.default_rng(s)
-        done = True
-        for p, a, b in zip(print_.tolist(), first.tolist(), other.tolist(), strict=True):
-            at = a if len(table[a]) <= len(table[b]) else b
-            for _ in range(500):
-                if len(table[at]) < BUCKET_SLOTS:
-                    table[at].append(p)
-                    break
-                i = int(dice.integers(BUCKET_SLOTS))
-                p, table[at][i] = table[at][i], p
-                at ^= hop[p]
-            else:
-                done = False
-                break
-        if done:
-            cells = np.zeros(buckets * BUCKET_SLOTS, np.uint64)
-            for b, kept in enumerate(table):
-                cells[b * BUCKET_SLOTS : b * BUCKET_SLOTS + len(kept)] = kept
+        cells = _place(print_, first, other, buckets, np.random.default_rng(s))
+        if cells is not None:
             return Built(s, buckets * BUCKET_SLOTS, width, pack(cells, width))
         if t % 4 == 3:
             buckets *= 2
     raise RuntimeError("no cuckoo placement found")
 
 
+def _place(print_: np.ndarray, first: np.ndarray, other: np.ndarray, buckets: int, dice: np.random.Generator, rounds: int = 2000) -> np.ndarray | None:
+    """Cells of the table, all keys at once: in a round each homeless key asks its bucket, free places go round, and the rest each turn one key out."""
+    slot = np.full((buckets, BUCKET_SLOTS), -1, np.int64)
+    asking, at = np.arange(len(print_)), first.copy()
+    for r in range(rounds):
+        if not len(asking):
+            return np.where(slot.ravel() < 0, np.uint64(0), print_[slot.ravel()])
+        order = np.argsort(at[asking], kind="stable")
+        asking = asking[order]
+        bucket = at[asking]
+        nth = np.arange(len(bucket)) - np.searchsorted(bucket, bucket)  # place in the queue of the bucket
+        free = (slot < 0).sum(1)[bucket]
+        fits = nth < free
+        # free places are kept at the end of a bucket
+        slot[bucket[fits], BUCKET_SLOTS - free[fits] + nth[fits]] = asking[fits]
+        bucket, nth, asking = bucket[~fits], (nth - free)[~fits], asking[~fits]
+        turn = (nth == 0) & (r % 2 == 1)  # every other round they try their other bucket first
+        victim_at = dice.integers(BUCKET_SLOTS, size=int(turn.sum()))
+        victims = slot[bucket[turn], victim_at]
+        slot[bucket[turn], victim_at] = asking[turn]
+        asking = np.concatenate([asking[~turn], victims])
+        at[asking] = first[asking] + other[asking] - at[asking]
+    return None
+
+
 def test_cuckoo(f: Built, keys: np.ndarray) -> np.ndarray:
     print_, first, other = _cuckoo_np(keys, f.seed, f.m // BUCKET_SLOTS, f.width)
     hit = np.zeros(len(keys), bool)
@@ -348,12 +418,49 @@ def build_edge_map(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int) -> B
 
 
 def _two_colour(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.ndarray | None:
-    """Union-find with parities: bits with ``bit[a] ^ bit[b] = want`` for every edge; None if edges contradict each other."""
-    parent, parity = list(range(m)), [0] * m
+    """Bits with ``bit[a] ^ bit[b] = want`` for every edge; None if edges contradict each other.
+
+    Edges with an end that no other edge has are peeled round by round, which empties a forest; edges on cycles, few if any, are
+    settled by union-find with parities, and the peeled ones follow from them, the last first.
+    """
+    rounds, left = _leaves(a, b, m)
+    bits = _parities(a[left], b[left], want[left], m)
+    if bits is None:
+        return None
+    for edges, leaf in reversed(rounds):
+        other = np.where(a[edges] == leaf, b[edges], a[edges])
+        bits[leaf] = bits[other] ^ want[edges].astype(np.uint64)
+    return bits
+
+
+def _leaves(a: np.ndarray, b: np.ndarray, m: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
+    """Rounds of (edges, the end that is theirs alone), and the edges that are left."""
+    count = np.bincount(np.concatenate([a, b]), minlength=m)
+    mixed = np.zeros(m, np.int64)
+    names = np.arange(len(a))
+    np.bitwise_xor.at(mixed, a, names)
+    np.bitwise_xor.at(mixed, b, names)
+    alive, rounds = np.ones(len(a), bool), []
+    single = np.flatnonzero(count == 1)
+    while len(single):
+        edges, first = np.unique(mixed[single], return_index=True)
+        rounds.append((edges, single[first]))
+        alive[edges] = False
+        ends = np.concatenate([a[edges], b[edges]])
+        np.subtract.at(count, ends, 1)
+        np.bitwise_xor.at(mixed, ends, np.tile(edges, 2))
+        touched = np.unique(ends)
+        single = touched[count[touched] == 1]
+    return rounds, np.flatnonzero(alive)
+
+
+def _parities(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.ndarray | None:
+    parent: dict[int, int] = {}
+    parity: dict[int, int] = {}
 
     def find(x: int) -> tuple[int, int]:
         p, path = 0, []
-        while parent[x] != x:
+        while parent.setdefault(x, x) != x:
             path.append(x)
             x = parent[x]
         for y in reversed(path):  # nearest the root first: its parity is already to the root
@@ -368,7 +475,10 @@ def _two_colour(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.nd
                 return None
         else:
             parent[rx], parity[rx] = ry, px ^ py ^ w
-    return np.array([find(x)[1] for x in range(m)], np.uint64)
+    bits = np.zeros(m, np.uint64)
+    for x in list(parent):
+        bits[x] = find(x)[1]
+    return bits
 
 
 def test_edge_map(f: Built, keys: np.ndarray) -> np.ndarray:
@@ -415,12 +525,12 @@ def _four_colour(pos: np.ndarray, neg: np.ndarray, seed: int, m: int) -> np.ndar
         near.setdefault(y, set()).add(x)
     degree = {x: len(ys) for x, ys in near.items()}
     easy, gone, order = [x for x, d in degree.items() if d < 4], set(), []
-    waiting = sorted(degree, key=degree.__getitem__)
+    waiting = deque(sorted(degree, key=degree.__getitem__))
     while len(order) < len(near):
         if not easy:  # none has a colour to spare for certain: try the least entangled
             while waiting and waiting[0] in gone:
-                waiting.pop(0)
-            easy.append(waiting.pop(0))
+                waiting.popleft()
+            easy.append(waiting.popleft())
         x = easy.pop()
         if x in gone:
             continue
@@ -469,8 +579,9 @@ KINDS = {
     "bloom": Kind(build_bloom, test_bloom, probe_bloom, hashes=True, cell_bits=1),
     "blocked": Kind(build_blocked, test_blocked, probe_blocked, hashes=True, cell_bits=1),
     "counting": Kind(build_counting, test_counting, probe_counting, hashes=True, cell_bits=4),
-    "xor": Kind(build_xor, test_xor, probe_xor, shape=("layout",)),
-    "retrieval": Kind(build_retrieval, test_retrieval, probe_retrieval, exact=True, shape=("layout", "strategy")),
+    "xor": Kind(build_xor, test_xor, probe_xor, shape=("layout", "j")),
+    "retrieval": Kind(build_retrieval, test_retrieval, probe_retrieval, exact=True, shape=("layout", "strategy", "j")),
+    "shared": Kind(build_shared, test_shared, probe_shared, exact=True),
     "cuckoo": Kind(build_cuckoo, test_cuckoo, probe_cuckoo),
     "edge_map": Kind(build_edge_map, test_edge_map, probe_edge_map, exact=True),
     "colour_map": Kind(build_colour_map, test_colour_map, probe_colour_map, exact=True),

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import json
 import math
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field, replace
 
 import numpy as np
@@ -23,14 +23,22 @@ from .elementary import KINDS, STAGE_TYPE, Built
 
 #: Keys of one segment, whatever the number of keys in all.
 SEGMENT_KEYS = 1 << 15
+#: Rarer keys of a segment of a compact filter, and a bound on all its keys, which one task holds.
+COMPACT_KEYS, COMPACT_SEGMENT = 1 << 17, 1 << 23
 #: A filter of more bytes than this is joined by shuffle, not sent to every executor.
 BROADCAST_BYTES = 256 << 20
 MAX_LAYERS = 48
+#: Tasks that share the probes of one segment when a filter is joined by shuffle.
+PROBE_SALTS = 4
 SEGMENT_TYPE = f"seg int, n long, u long, stages array<{STAGE_TYPE}>, tail {STAGE_TYPE}, survivors array<long>"
 _STAGE = pa.struct([("seed", pa.int64()), ("m", pa.int32()), ("width", pa.int32()), ("words", pa.list_(pa.int64()))])
 _ARROW = pa.schema([("seg", pa.int32()), ("n", pa.int64()), ("u", pa.int64()), ("stages", pa.list_(_STAGE)), ("tail", _STAGE), ("survivors", pa.list_(pa.int64()))])
 
 
+def _named(column: str) -> Column:
+    return F.col("`" + column.replace("`", "``") + "`").alias(column)
+
+
 @dataclass(frozen=True)
 class Stage:
     """An elementary filter in a combined one: its kind, rate and options."""
@@ -142,12 +150,21 @@ class FilterHandle:
         k = key64(df, keys)
         table = self.segments.select("seg", "n", "u", "stages", "tail")
         table = table.select(F.col("seg").alias("__seg"), F.struct("n", "u", "stages", "tail").alias("__f"))
-        joined = df.withColumn("__k", k).withColumn("__s", segment_col(F.col("__k"), self.parts)).join(
-            F.broadcast(table) if small else table.hint("shuffle_hash"), F.col("__s") == F.col("__seg"), "left"
-        )
+        if out in df.columns:
+            raise ValueError(f"there is a column {out} already; name another for the answer")
+        # the row travels as one struct, so no name of its columns can clash
+        packed = df.select(F.struct(*[_named(c) for c in df.columns]).alias("__row"), k.alias("__k")).withColumn("__s", segment_col(F.col("__k"), self.parts))
+        if small:
+            joined = packed.join(F.broadcast(table), F.col("__s") == F.col("__seg"), "left")
+        else:
+            # a segment's probes are dealt over several tasks, as one key may be in a large share of the rows
+            spread = [F.col("__row")[c] for c, kind in df.dtypes if "map" not in kind]  # maps have no hash
+            packed = packed.withColumn("__salt", F.pmod(F.xxhash64(*spread), F.lit(PROBE_SALTS)).cast("int") if spread else F.lit(0))
+            table = table.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(PROBE_SALTS - 1))))
+            joined = packed.join(table.hint("shuffle_hash"), (F.col("__s") == F.col("__seg")) & (F.col("__salt") == F.col("__part")), "left")
         # a segment without a row holds no key of either class
         hit = F.when(F.col("__k").isNotNull() & F.col("__f").isNotNull(), _nested(self, "__f").expression(F.col("__k")))
-        return joined.select(*[df[c] for c in df.columns], F.coalesce(hit, F.lit(False)).alias(out))
+        return joined.select(*[F.col("__row")[c].alias(c) for c in df.columns], F.coalesce(hit, F.lit(False)).alias(out))
 
     def space(self) -> DataFrame:
         """(stage, bits, bits_per_pos): payload bits of each stage; stage -1 is the tail."""
@@ -180,8 +197,9 @@ class FilterHandle:
             depth = F.lit(self.layers)
             for i in reversed(range(self.layers - 1)):
                 depth = F.when(~self.spec.stages[i].probe(view.at(i), F.col("__k"), self.hashes), F.lit(i + 1)).otherwise(depth)
-        joined = df.withColumn("__k", k).join(F.broadcast(table) if self.bytes_ <= BROADCAST_BYTES else table, segment_col(F.col("__k"), self.parts) == F.col("__seg"))
-        return joined.select(*[df[c] for c in df.columns], depth.alias("depth"))
+        packed = df.select(F.struct(*[_named(c) for c in df.columns]).alias("__row"), k.alias("__k"))
+        joined = packed.join(F.broadcast(table) if self.bytes_ <= BROADCAST_BYTES else table, segment_col(F.col("__k"), self.parts) == F.col("__seg"))
+        return joined.select(*[F.col("__row")[c].alias(c) for c in df.columns], depth.alias("depth"))
 
     def confusion(self) -> DataFrame:
         """One row over the build keys: n, u, false negatives, false positives, error rate, false-positive rate."""
@@ -263,12 +281,19 @@ def _handle(spec: Spec, parts: int, segments: DataFrame, keys: DataFrame | None)
     return FilterHandle(spec, parts, segments, r["n"] or 0, r["u"] or 0, r["layers"] or 0, min(32, r["hashes"] or 1), 8 * (r["words"] or 0), keys)
 
 
-def build(df: DataFrame, keys: Sequence[str], label: str, spec: Spec | None = None, eps: float = 0.0, segment_keys: int = SEGMENT_KEYS, dynamic: bool = False) -> FilterHandle:
-    """Build a combined filter of the labelled keys; without ``spec`` the planner chooses one."""
+def build(
+    df: DataFrame, keys: Sequence[str], label: str, spec: Spec | Callable[[int, int], Spec] | None = None, eps: float = 0.0, segment_keys: int = SEGMENT_KEYS, dynamic: bool = False, compact: bool = False
+) -> FilterHandle:
+    """Build a combined filter of the labelled keys; without ``spec`` the planner chooses one.
+
+    A ``spec`` may be a function of the numbers of positive and of all distinct keys. ``compact``: segments by the keys that a table
+    stores, about twice the rarer class, in place of all keys; a coupled table of many keys needs fewer cells a key.
+    """
     members = keep(normalise(df, keys, label))
     sizes = members.agg(F.count(F.lit(1)).alias("u"), F.coalesce(F.sum(F.col("is_pos").cast("long")), F.lit(0)).alias("n")).first()
-    parts = max(1, math.ceil(sizes["u"] / segment_keys))
-    spec = spec or spec_of(theory.plan(sizes["n"], sizes["u"], eps, dynamic))
+    n, u = sizes["n"], sizes["u"]
+    parts = max(1, math.ceil(min(n, u - n) / COMPACT_KEYS), math.ceil(u / COMPACT_SEGMENT)) if compact else max(1, math.ceil(u / segment_keys))
+    spec = spec(n, u) if callable(spec) else spec or spec_of(theory.plan(n, u, eps, dynamic))
     return _handle(spec, parts, _build_segments(members.withColumn("seg", segment_col(F.col("k"), parts)), spec), members)
 
 
@@ -279,13 +304,34 @@ def spec_of(plan: theory.Plan) -> Spec:
 # --- the combined filters by name ----------------------------------------------------------------------------------------------
 
 
-def staged(df: DataFrame, keys: Sequence[str], label: str, eps: float = 0.0, first: str = "xor", second: str = "retrieval", strategy: str = "a", layout: str = "uniform", **how) -> FilterHandle:
-    """A coarse approximate filter of the positives and a small exact one of the positives and the negatives that it lets through."""
-    sizes = df.agg(F.count(F.lit(1)).alias("u"), F.sum(F.col(label).cast("long")).alias("n")).first()
-    plan = theory.plan(sizes["n"] or 0, sizes["u"], eps)
-    opts = lambda kind: ({"layout": layout} if "layout" in KINDS[kind].shape else {}) | ({"strategy": strategy} if "strategy" in KINDS[kind].shape else {})
-    pick = lambda s: second if KINDS[s.kind].exact else first
-    return build(df, keys, label, Spec("and", tuple(Stage(pick(s), s.eps, opts(pick(s))) for s in plan.steps), plan.negate), **how)
+def staged(
+    df: DataFrame, keys: Sequence[str], label: str, eps: float = 0.0, first: str = "xor", second: str = "retrieval", strategy: str = "a", layout: str = "uniform", j: int = 3, mixed: bool = False, **how
+) -> FilterHandle:
+    """A coarse approximate filter of the positives and a small exact one of the positives and the negatives that it lets through.
+
+    Planned from the distinct keys, whatever their repeats. ``mixed``: the first stage aims at its best rate, which lies between two
+    whole numbers of bits; segments take the one or the other.
+    """
+    chosen = {"strategy": strategy, "layout": layout, "j": j}
+
+    def planned(n: int, u: int) -> Spec:
+        plan = theory.plan(n, u, eps)
+        stages = []
+        for step in plan.steps:
+            kind = second if KINDS[step.kind].exact else first
+            options, rate = {k: v for k, v in chosen.items() if k in KINDS[kind].shape}, step.eps
+            if mixed and kind == "xor" and len(plan.steps) > 1:
+                few = u - n if plan.negate else n
+                options, rate = options | {"mixed": True}, 1 / (theory.LN2 * (u - few) / few)
+            stages.append(Stage(kind, rate, options))
+        return Spec("and", tuple(stages), plan.negate)
+
+    return build(df, keys, label, planned, **how)
+
+
+def shared(df: DataFrame, keys: Sequence[str], label: str, **how) -> FilterHandle:
+    """The exact staged filter with both stages in the same three blocks of a key."""
+    return build(df, keys, label, lambda n, u: Spec("and", (Stage("shared"),), 0 < u - n < n), **how)
 
 
 def staged_pushdown(df: DataFrame, keys: Sequence[str], label: str, segment_keys: int = SEGMENT_KEYS) -> FilterHandle:

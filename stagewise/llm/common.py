@@ -32,6 +32,19 @@ def shared_folder(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
+#: Bytes of rows that a Python worker is sent at once; a single longer row is a batch of its own. Rows alone would not bound it.
+BATCH_BYTES = 4 << 20
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """The frame itself; its session cuts what it sends to Python workers by bytes, too."""
+    setting = "spark.sql.execution.arrow.maxBytesPerBatch"
+    have = str(df.sparkSession.conf.get(setting, "0"))
+    if not have.isdigit() or not 0 < int(have) <= BATCH_BYTES:
+        df.sparkSession.conf.set(setting, BATCH_BYTES)
+    return df
+
+
 def stash(df: DataFrame) -> DataFrame:
     """Write a frame as Parquet to the shared folder and read it back: lineage ends there and lost executors cost nothing."""
     spark = df.sparkSession

@@ -46,7 +46,8 @@ def bloom_shape(n: int, eps: float) -> tuple[int, int]:
     return max(64, math.ceil(n * BLOOM_FACTOR * -math.log2(min(0.999, eps)))), k
 
 
-def _bloom_bits_np(keys: np.ndarray, seed: int, m: int, k: int) -> np.ndarray:
+def bloom_bits(keys: np.ndarray, seed: int, m: int, k: int) -> np.ndarray:
+    """(k, n) bits of each key."""
     return np.stack([below_np(hash_np(seed + i // 2, keys), m, i % 2) for i in range(k)])
 
 
@@ -55,12 +56,12 @@ def build_bloom(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, bits: i
     if bits is not None:
         m, k = max(64, bits), max(1, round(bits / max(1, len(pos)) * math.log(2)))
     cells = np.zeros(m, np.uint8)
-    cells[_bloom_bits_np(pos, seed, m, k).ravel()] = 1
+    cells[bloom_bits(pos, seed, m, k).ravel()] = 1
     return Built(seed, m, k, pack(cells, 1))
 
 
 def test_bloom(f: Built, keys: np.ndarray) -> np.ndarray:
-    return (read_np(f.words, _bloom_bits_np(keys, f.seed, f.m, f.width).ravel(), 1).reshape(f.width, -1) == 1).all(0)
+    return (read_np(f.words, bloom_bits(keys, f.seed, f.m, f.width).ravel(), 1).reshape(f.width, -1) == 1).all(0)
 
 
 def _all_bits(f: Column, hashes: int | None, set_: Callable[[Column, int | Column], Column]) -> Column:
@@ -107,13 +108,13 @@ def probe_blocked(f: Column, key: Column, hashes: int | None) -> Column:
 def build_counting(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, counts: np.ndarray | None = None) -> Built:
     """Four-bit counters, which saturate at 15; ``counts`` are the occurrences of each key."""
     m, k = bloom_shape(len(pos), eps)
-    at = _bloom_bits_np(pos, seed, m, k)
+    at = bloom_bits(pos, seed, m, k)
     weight = np.broadcast_to(np.ones(len(pos)) if counts is None else counts, at.shape)
     return Built(seed, m, k, pack(np.minimum(15, np.bincount(at.ravel(), weight.ravel(), minlength=m)).astype(np.uint64), 4))
 
 
 def test_counting(f: Built, keys: np.ndarray) -> np.ndarray:
-    return (read_np(f.words, _bloom_bits_np(keys, f.seed, f.m, f.width).ravel(), 4).reshape(f.width, -1) > 0).all(0)
+    return (read_np(f.words, bloom_bits(keys, f.seed, f.m, f.width).ravel(), 4).reshape(f.width, -1) > 0).all(0)
 
 
 def probe_counting(f: Column, key: Column, hashes: int | None) -> Column:
@@ -390,7 +391,7 @@ def probe_cuckoo(f: Column, key: Column) -> Column:
 # --- edge maps: exact, cheap to change -----------------------------------------------------------------------------------------
 
 
-def _nodes_np(keys: np.ndarray, seed: int, m: int) -> tuple[np.ndarray, np.ndarray]:
+def nodes_np(keys: np.ndarray, seed: int, m: int) -> tuple[np.ndarray, np.ndarray]:
     """A key's node in either half of the cells."""
     left = (m * 4) // 7
     return below_np(hash_np(seed, keys), left), left + below_np(hash_np(seed + 1, keys), m - left)
@@ -408,8 +409,8 @@ def build_edge_map(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int) -> B
     m = max(14, math.ceil(2.33 * len(keys)) + 8)
     for t in range(MAX_TRIES):
         s = seed + 16 * t
-        a, b = _nodes_np(keys, s, m)
-        cells = _two_colour(a, b, want, m)
+        a, b = nodes_np(keys, s, m)
+        cells = two_colour(a, b, want, m)
         if cells is not None:
             return Built(s, m, 1, pack(cells, 1))
         if t % 8 == 7:
@@ -417,7 +418,7 @@ def build_edge_map(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int) -> B
     raise RuntimeError("no acyclic edge map found")
 
 
-def _two_colour(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.ndarray | None:
+def two_colour(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.ndarray | None:
     """Bits with ``bit[a] ^ bit[b] = want`` for every edge; None if edges contradict each other.
 
     Edges with an end that no other edge has are peeled round by round, which empties a forest; edges on cycles, few if any, are
@@ -482,7 +483,7 @@ def _parities(a: np.ndarray, b: np.ndarray, want: np.ndarray, m: int) -> np.ndar
 
 
 def test_edge_map(f: Built, keys: np.ndarray) -> np.ndarray:
-    a, b = _nodes_np(keys, f.seed, f.m)
+    a, b = nodes_np(keys, f.seed, f.m)
     return read_np(f.words, a, 1) != read_np(f.words, b, 1)
 
 
@@ -514,10 +515,10 @@ def _four_colour(pos: np.ndarray, neg: np.ndarray, seed: int, m: int) -> np.ndar
             x = parent[x]
         return x
 
-    for x, y in zip(*(v.tolist() for v in _nodes_np(pos, seed, m)), strict=True):
+    for x, y in zip(*(v.tolist() for v in nodes_np(pos, seed, m)), strict=True):
         parent[find(x)] = find(y)
     near: dict[int, set[int]] = {}
-    for x, y in zip(*(v.tolist() for v in _nodes_np(neg, seed, m)), strict=True):
+    for x, y in zip(*(v.tolist() for v in nodes_np(neg, seed, m)), strict=True):
         x, y = find(x), find(y)
         if x == y:
             return None
@@ -550,7 +551,7 @@ def _four_colour(pos: np.ndarray, neg: np.ndarray, seed: int, m: int) -> np.ndar
 
 
 def test_colour_map(f: Built, keys: np.ndarray) -> np.ndarray:
-    a, b = _nodes_np(keys, f.seed, f.m)
+    a, b = nodes_np(keys, f.seed, f.m)
     return read_np(f.words, a, 2) == read_np(f.words, b, 2)
 
 

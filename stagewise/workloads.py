@@ -391,7 +391,7 @@ def _placed(spark, sf_dir):
 @query("w3b_error_by_training_round")
 def _training(spark, sf_dir):
     """Online training: errors after each pass over the keys."""
-    return A.adaptive_train(_stored(spark, sf_dir)[0])
+    return A.adaptive_train(_stored(spark, sf_dir)[0])[1]
 
 
 @query("w3b_error_by_layer")
@@ -414,7 +414,7 @@ def _tail(spark, sf_dir):
 def _reads(spark, sf_dir):
     placed, df = _stored(spark, sf_dir)
     out = None
-    for name, h in (("none", None), ("bloom", A.predictor(placed, "bloom")), ("counting", A.predictor(placed, "counting")), ("alternating", A.predictor(placed))):
+    for name, h in (("none", None), *((kind, A.predictor(placed, kind)) for kind in ("bloom", "blocked", "counting", "alternating"))):
         row = A.two_table_get(placed, h, df, "o_orderkey").agg(F.avg("reads").alias("reads")).withColumn("predictor", F.lit(name)).withColumn("bits", F.lit(h.bits() if h else 0))
         out = row if out is None else out.unionByName(row)
     return out
@@ -422,11 +422,77 @@ def _reads(spark, sf_dir):
 
 @query("w3d_values", "SELECT o_orderkey, lpad(CAST(o_orderkey AS VARCHAR), 36, '0') AS key36, md5(CAST(o_orderkey AS VARCHAR)) || md5('v' || CAST(o_orderkey AS VARCHAR)) AS value64, CAST(1 AS INTEGER) AS reads FROM orders")
 def _values(spark, sf_dir):
-    """Found by one read each, 36-byte keys and 64-byte values."""
-    placed, df = _stored(spark, sf_dir)
-    got = A.two_table_get(placed, A.predictor(placed), df, "o_orderkey")
+    """36-byte keys and 64-byte values, stored in the buckets of two tables and fetched from the predicted one."""
+    rows = _long_rows(spark, sf_dir)
+    placed = A.two_table_build(rows, "key36", 0.4)
+    store = A.two_table_store(rows, "key36", "value64", placed, _segments(placed))
+    got = store.get(rows.select("key36"), "key36", A.predictor(placed))
+    return got.select(F.col("key").cast("long").alias("o_orderkey"), F.col("key").alias("key36"), F.col("value").alias("value64"), "reads")
+
+
+def _long_rows(spark, sf_dir):
     text = F.col("o_orderkey").cast("string")
-    return got.select("o_orderkey", F.lpad(text, 36, "0").alias("key36"), F.concat(F.md5(text), F.md5(F.concat(F.lit("v"), text))).alias("value64"), "reads")
+    return read_table(spark, sf_dir, "orders", "o_orderkey").select(F.lpad(text, 36, "0").alias("key36"), F.concat(F.md5(text), F.md5(F.concat(F.lit("v"), text))).alias("value64"))
+
+
+def _segments(placed: DataFrame) -> int:
+    return (placed.agg(F.max("seg")).first()[0] or 0) + 1
+
+
+@query(
+    "w3d_values_without_predictor",
+    "SELECT lpad(CAST(o_orderkey AS VARCHAR), 36, '0') AS key36, md5(CAST(o_orderkey AS VARCHAR)) || md5('v' || CAST(o_orderkey AS VARCHAR)) AS value64 FROM orders "
+    "UNION ALL SELECT 'missing-' || CAST(n_nationkey AS VARCHAR), NULL FROM nation",
+)
+def _unpredicted(spark, sf_dir):
+    """The raw two tables: the first is read, then the second; keys that are not stored cost both reads and have no value."""
+    rows = _long_rows(spark, sf_dir)
+    placed = A.two_table_build(rows, "key36", 0.4)
+    store = A.two_table_store(rows, "key36", "value64", placed, _segments(placed))
+    asked = rows.select("key36").unionByName(read_table(spark, sf_dir, "nation", "n_nationkey").select(F.concat(F.lit("missing-"), "n_nationkey").alias("key36")))
+    return store.get(asked, "key36").select(F.col("key").alias("key36"), F.col("value").alias("value64"))
+
+
+@query("w3d_reads_through_store", "SELECT true AS one_read_each, true AS raw_reads_more, count(*) AS keys FROM orders")
+def _store_reads(spark, sf_dir):
+    """Reads of the two stores side by side: exactly one a key with the predictor; without one, one more for each key of table 2."""
+    rows = _long_rows(spark, sf_dir)
+    placed = A.two_table_build(rows, "key36", 0.4)
+    store = A.two_table_store(rows, "key36", "value64", placed, _segments(placed))
+    second = placed.where("tbl = 2").agg(F.count(F.lit(1)).alias("n2"))
+    raw = store.get(rows, "key36").agg(F.sum("reads").alias("raw"), F.count(F.lit(1)).alias("keys"))
+    ours = store.get(rows, "key36", A.predictor(placed)).agg(F.sum("reads").alias("ours"))
+    return raw.join(ours).join(second).select((F.col("ours") == F.col("keys")).alias("one_read_each"), (F.col("raw") == F.col("keys") + F.col("n2")).alias("raw_reads_more"), "keys")  # three single rows
+
+
+@query("s12_trained_predictor", "SELECT count(*) AS u, true AS agrees, true AS few_wrong FROM orders")
+def _trained(spark, sf_dir):
+    """The handle that online training leaves: it is probed like any other filter and errs as often as training counted."""
+    handle, errors = A.adaptive_train(_stored(spark, sf_dir)[0], 8)
+    last = errors.where("round = 8").select("wrong")
+    return handle.confusion().join(last).select("u", (F.col("fn") + F.col("fp") == F.col("wrong")).alias("agrees"), (F.col("error_rate") <= 0.01).alias("few_wrong"))  # single rows
+
+
+@query("b09_locking_blocks", "SELECT count(*) AS keys, CAST(0 AS BIGINT) AS wrong, true AS eight_bits_a_bucket FROM orders")
+def _blocks(spark, sf_dir):
+    """The locking baseline with counters one-to-one with the buckets of table 1: never a wrong table."""
+    items, blocks = A.locking_blocks(read_table(spark, sf_dir, "orders", "o_orderkey"), "o_orderkey")
+    guessed = A.locking_guess(items, blocks).agg(F.count(F.lit(1)).alias("keys"), F.sum((F.col("second") != (F.col("tbl") == 2)).cast("long")).alias("wrong"))
+    size = blocks.agg(F.max(F.abs(F.size("words") * 64 - 8 * F.col("buckets"))).alias("spare"))
+    return guessed.join(size).select("keys", "wrong", (F.col("spare") <= 128).alias("eight_bits_a_bucket"))  # single rows; two spare words
+
+
+@query("w3d_locked_share")
+def _locked(spark, sf_dir):
+    """What locking costs: keys in table 2 and in its stash, against plain eviction, and the bits of either predictor."""
+    orders = read_table(spark, sf_dir, "orders", "o_orderkey")
+    items, blocks = A.locking_blocks(orders, "o_orderkey")
+    placed = A.two_table_build(orders, "o_orderkey", 0.4)
+    share = lambda c: F.avg(c.cast("int"))
+    bits = A.predictor(placed).bits()
+    return items.agg(share(F.col("tbl") == 2).alias("locked"), share(F.col("stash")).alias("stash")).join(placed.agg(share(F.col("tbl") == 2).alias("evicted"))).join(
+        blocks.agg((8 * F.sum("buckets")).alias("locking_bits"))
+    ).withColumn("ours_bits", F.lit(bits))  # single rows
 
 
 @query("w3e_share_in_first_table")
@@ -450,21 +516,75 @@ def _event_runs(spark, sf_dir, n=7):
 
 @query("w4a_existing_keys", "SELECT count(*) AS keys, CAST(count(*) AS BIGINT) AS reads, CAST(0 AS BIGINT) AS wasted FROM events")
 def _existing(spark, sf_dir):
-    """With exact filters every existing key costs one read."""
+    """With exact filters, which know of later runs alone, every existing key costs one read."""
+    return _reads_of_existing(spark, sf_dir, 7)
+
+
+def _reads_of_existing(spark, sf_dir, n):
+    runs = _event_runs(spark, sf_dir, n)
+    found = A.runs_get(runs, "event_id", runs, A.runs_filters(runs, "event_id", scope="later"), "first")
+    return found.agg(F.count(F.lit(1)).alias("keys"), F.sum("reads").alias("reads"), F.sum("wasted").alias("wasted"))
+
+
+for _n in (15, 30):
+    query(f"w4a_existing_keys_{_n}_runs", ORACLE_SQL["w4a_existing_keys"])(lambda spark, sf_dir, n=_n: _reads_of_existing(spark, sf_dir, n))
+
+
+@query("w4a_reads_by_runs")
+def _reads_by_runs(spark, sf_dir):
+    """Reads of existing keys for 7, 15 and 30 runs: Bloom filters of the same and twice the bits, and staged ones."""
+    out = None
+    for n in (7, 15, 30):
+        row = _read_rows(_event_runs(spark, sf_dir, n)).withColumn("runs", F.lit(n))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w4c_newest_rows", "SELECT user_id, max(ts) AS ts, true AS at_most_one_wasted FROM events GROUP BY user_id")
+def _newest(spark, sf_dir):
+    """Keys that lie in many runs: the last run that holds the key is found with at most one wasted read."""
     runs = _event_runs(spark, sf_dir)
-    return A.runs_get(runs, "event_id", runs, A.runs_filters(runs, "event_id")).agg(F.count(F.lit(1)).alias("keys"), F.sum("reads").alias("reads"), F.sum("wasted").alias("wasted"))
+    found = A.runs_get(runs, "user_id", runs, A.runs_filters(runs, "user_id", scope="later"), "oldest")
+    newest = runs.groupBy("user_id", "run").agg(F.max("ts").alias("ts"))
+    return found.join(newest, (F.col("key") == F.col("user_id")) & (F.col("found_run") == F.col("run"))).select("user_id", "ts", (F.col("wasted") <= 1).alias("at_most_one_wasted"))
+
+
+@query("w4b_missing_at_most_one", "SELECT count(*) AS keys, true AS at_most_one_read, CAST(0 AS BIGINT) AS found FROM events")
+def _missing_one(spark, sf_dir):
+    runs = _event_runs(spark, sf_dir, 15)
+    gone = runs.select((F.col("event_id") + 1_000_000_007).alias("event_id"))
+    got = A.runs_get(runs, "event_id", gone, A.runs_filters(runs, "event_id", scope="later"), "oldest")
+    return got.agg(F.count(F.lit(1)).alias("keys"), (F.max("reads") <= 1).alias("at_most_one_read"), F.count("found_run").alias("found"))
+
+
+@query("p7_compaction_of_rows", "SELECT user_id, max(ts) AS ts FROM events GROUP BY user_id")
+def _compacted_rows(spark, sf_dir):
+    """Seven runs of all their rows become one; of a key's rows in a run the latest counts."""
+    return A.runs_compact(_event_runs(spark, sf_dir), "user_id", 7, "ts").select("user_id", "ts")
+
+
+@query("p7_levels", "SELECT count(DISTINCT user_id) AS keys, CAST(2 AS INTEGER) AS top, CAST(4 AS BIGINT) AS tiers, true AS newest_kept FROM events")
+def _levels(spark, sf_dir):
+    """Fourteen flushes at a threshold of three: one run of nine, one of three, two of one; every key's newest row is kept."""
+    runs = keep(_event_runs(spark, sf_dir, 14).select("run", "user_id", "ts"))
+    tiers = keep(A.runs_levels(runs, "user_id", 3, "ts"))
+    newest = tiers.groupBy("user_id").agg(F.max("ts").alias("a")).join(runs.groupBy("user_id").agg(F.max("ts").alias("b")), "user_id")
+    return newest.agg(F.count(F.lit(1)).alias("keys"), F.min(F.col("a").eqNullSafe(F.col("b"))).alias("newest_kept")).join(tiers.agg(F.max("level").alias("top"), F.countDistinct("tier").alias("tiers")))  # single rows
 
 
 @query("w4a_reads_by_filter")
 def _run_reads(spark, sf_dir):
     """P50, P95, P99 and mean of the reads of an existing key: no filter, Bloom of 1x and 2x the bits, staged."""
-    runs = _event_runs(spark, sf_dir)
+    return _read_rows(_event_runs(spark, sf_dir))
+
+
+def _read_rows(runs):
     own = runs.select("run", "event_id").withColumn("mine", F.lit(True))
-    staged = A.runs_filters(runs, "event_id")
+    staged = A.runs_filters(runs, "event_id", scope="later")
     per_key = staged.bits() / max(1, staged.n)
     out = None
     for name, h in (("0x", None), ("1x", X.single(own, ["run", "event_id"], "mine", "bloom", 2 ** (-T.LN2 * per_key))), ("2x", X.single(own, ["run", "event_id"], "mine", "bloom", 2 ** (-2 * T.LN2 * per_key))), ("staged", staged)):
-        row = A.runs_get(runs, "event_id", runs, h).agg(F.percentile("reads", F.array(F.lit(0.5), F.lit(0.95), F.lit(0.99))).alias("p"), F.avg("reads").alias("reads"), F.max("wasted").alias("most_wasted")).withColumn("filter", F.lit(name))
+        row = A.runs_get(runs, "event_id", runs, h, "first" if name == "staged" else "newest").agg(F.percentile("reads", F.array(F.lit(0.5), F.lit(0.95), F.lit(0.99))).alias("p"), F.avg("reads").alias("reads"), F.max("wasted").alias("most_wasted")).withColumn("filter", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -493,18 +613,49 @@ def _compacted(spark, sf_dir):
 # --- learned filters and filters in pipelines --------------------------------------------------------------------------------------
 
 
-@query("w5a_learned_filter")
-def _learned(spark, sf_dir):
-    df = read_table(spark, sf_dir, "documents", "doc_id", "text").join(read_table(spark, sf_dir, "labels", "doc_id", "quality"), "doc_id")
+def _learned_rows(spark, sf_dir, label, share=0.5):
+    """u, fn, fp, backup, bits for each kind of backup behind one model."""
+    df = read_table(spark, sf_dir, "documents", "doc_id", "text").join(read_table(spark, sf_dir, "labels", "doc_id", label), "doc_id")
+    model, scored = A.learned_model(df, "doc_id", "text", label, share)
     out = None
     for backup in ("staged", "retrieval", "bloom"):
-        f = A.learned_build(df, "doc_id", "text", "quality", 0.01, 0.5, backup)
-        seen = f.probe(df, "doc_id")
-        row = seen.agg(F.count(F.lit(1)).alias("u"), F.sum(((F.col("quality") == 1) & ~F.col("hit")).cast("long")).alias("fn"), F.sum(((F.col("quality") == 0) & F.col("hit")).cast("long")).alias("fp")).withColumn("backup", F.lit(backup)).withColumn("bits", F.lit(f.backup.bits()))
+        f = A.learned_backup(model, scored, "doc_id", "text", 0.01, backup)
+        hit = (F.col("p") >= f.threshold) | F.col("spare")
+        positive = F.col("label") == 1
+        row = f.backup.probe(scored, ["doc_id"], "spare").agg(
+            F.count(F.lit(1)).alias("u"), F.sum((positive & ~hit).cast("long")).alias("fn"), F.sum((~positive & hit).cast("long")).alias("fp"), F.sum(positive.cast("long")).alias("n")
+        ).withColumn("backup", F.lit(backup)).withColumn("bits", F.lit(f.backup.bits()))
         out = row if out is None else out.unionByName(row)
     return out
 
 
+@query("w5a_learned_filter")
+def _learned(spark, sf_dir):
+    return _learned_rows(spark, sf_dir, "quality").drop("n")
+
+
+@query("w5a_no_false_negative", "SELECT backup, count(*) AS u, CAST(0 AS BIGINT) AS fn, true AS rate_held FROM documents JOIN labels ON documents.doc_id = labels.doc_id, (VALUES ('staged'), ('retrieval'), ('bloom')) b(backup) GROUP BY backup")
+def _learned_held(spark, sf_dir):
+    """At a target rate of 0.01: no positive is denied, and the negatives that pass are within the target and what chance adds to it."""
+    rows = _learned_rows(spark, sf_dir, "quality")
+    return rows.select("backup", "u", "fn", (F.col("fp") <= 0.01 * (F.col("u") - F.col("n")) + 3 * F.sqrt(0.01 * (F.col("u") - F.col("n"))) + 1).alias("rate_held"))
+
+
+@query("w5a_by_train_share")
+def _shares(spark, sf_dir):
+    """Backup bits by the share of keys the model was fitted on, for both tasks, beside the bound without a model and plain filters of the same rate."""
+    out = None
+    for label in ("quality", "toxic"):
+        for share in (0.1, 0.5, 1.0):
+            row = _learned_rows(spark, sf_dir, label, share).withColumn("task", F.lit(label)).withColumn("train_share", F.lit(share))
+            out = row if out is None else out.unionByName(row)
+    lam = (F.col("u") - F.col("n")) / F.greatest(F.lit(1), F.col("n"))
+    plain = F.col("n") * T.elementary_cost("bloom", 0.01)
+    return keep(out).withColumn("bound", F.col("n") * T.lb(F.lit(0.01), lam)).withColumn("plain_bloom", F.lit(1.0) * plain).withColumn("plain_xor", F.col("n") * T.elementary_cost("xor", 0.01, C=T.C_UNIFORM)).withColumn(
+        "plain_staged", F.col("n") * T.cost_general(F.lit(0.01), lam, T.C_UNIFORM)
+    )
+
+
 @query("w6_url_block_list", "SELECT page_id, host, host IN (SELECT DISTINCT split_part(split_part(url, '://', 2), '/', 1) FROM pages WHERE page_id % 5 = 0) AS blocked FROM (SELECT page_id, split_part(split_part(url, '://', 2), '/', 1) AS host FROM pages)")
 def _urls(spark, sf_dir):
     """Hosts of every fifth page form the block list."""

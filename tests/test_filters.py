@@ -148,7 +148,10 @@ def test_rare_symbol_is_cheap(spark):
 
 def test_training_reduces_errors(spark):
     placed = A.two_table_build(spark.range(4000).withColumnRenamed("id", "k"), "k", 0.4)
-    wrong_ = [r["wrong"] for r in A.adaptive_train(placed).orderBy("round").collect()]
+    handle, errors = A.adaptive_train(placed)
+    wrong_ = [r["wrong"] for r in errors.orderBy("round").collect()]
+    seen = handle.confusion().first()
+    assert seen["fn"] + seen["fp"] == wrong_[-1]
     assert wrong_[-1] < wrong_[0] / 5
     assert A.predictor(placed).confusion().first()["error_rate"] == 0
     moved = A.locking_predictor(placed).agg(F.sum("moved")).first()[0]

@@ -38,10 +38,8 @@ BATCH_BYTES = 4 << 20
 
 def small_batches(df: DataFrame) -> DataFrame:
     """The frame itself; its session cuts what it sends to Python workers by bytes, too."""
-    setting = "spark.sql.execution.arrow.maxBytesPerBatch"
-    have = str(df.sparkSession.conf.get(setting, "0"))
-    if not have.isdigit() or not 0 < int(have) <= BATCH_BYTES:
-        df.sparkSession.conf.set(setting, BATCH_BYTES)
+    if not 0 < df.sparkSession._jsparkSession.sessionState().conf().arrowMaxBytesPerBatch() <= BATCH_BYTES:
+        df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
     return df
 
 

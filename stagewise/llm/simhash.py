@@ -260,10 +260,11 @@ def similar_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", wid
     own = [F.first(F.get("bands", F.lit(i))).alias(f"b{i}") for i in range(BANDS)]  # numbers, so that they are combined without a sort
     points = stash(prints.groupBy("v").agg(F.min("k").alias("first_k"), F.first("n").alias("n"), F.first("fp").alias("fp"), *own).where("n > 0"))
     reach = F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb")  # sets of more different sizes cannot be so alike
-    # fingerprints that are near, each by its first point; and the other points of a fingerprint with the first
+    # each fingerprint, by its first point, with the least one that it is linked to; and the other points of a fingerprint with the first
     of_fp = stash(points.groupBy("fp").agg(F.min("v").alias("a"), F.count(F.lit(1)).alias("points")))
+    linked = component_labels(near_pairs(of_fp.select("fp"), distance, pieces)).where("node <> root")
     name = lambda c: of_fp.select(F.col("fp").alias(c), F.col("a").alias(f"v{c}"))
-    near = near_pairs(of_fp.select("fp"), distance, pieces).distinct().join(name("a"), "a").join(name("b"), "b").select(F.col("va").alias("a"), F.col("vb").alias("b"))
+    near = linked.join(name("node"), "node").join(name("root"), "root").select(F.col("vnode").alias("a"), F.col("vroot").alias("b"))
     same = points.select("v", "fp").join(of_fp.where("points > 1"), "fp").where("a <> v").select("a", F.col("v").alias("b"))
     # bands that several points share
     banded = points.select("v", "n", F.explode(F.array(*[f"b{i}" for i in range(BANDS)])).alias("band")).withColumn("h", F.xxhash64("v", "band"))

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import SparkSession
+from pyspark.sql.functions import udtf
 
 from ..plans.storage import keep
 from .hashing import SEGMENT_SALT
+from .theory import C_UNIFORM
 
 
 def register(spark: SparkSession, name: str, handle) -> Callable[[str], str]:
@@ -42,3 +45,24 @@ def register(spark: SparkSession, name: str, handle) -> Callable[[str], str]:
         return f"({'NOT ' if handle.spec.negate else ''}({text}))"
 
     return predicate
+
+
+def register_explain(spark: SparkSession, name: str, handle) -> None:
+    """A view ``stages_of_<name>`` (a row a stage: its bits and what the plan needs) and the table function ``explain_filter`` for it."""
+
+    class Explain:
+        def eval(self, row):
+            kind, eps, n, C = row["kind"], row["eps"], row["n"], row["C"]
+            stored = n if eps > 0 else n + row["passing"]
+            per_key = -math.log2(eps) / math.log(2) if kind in ("bloom", "blocked") else 1.05 * (2 - math.log2(eps)) if kind == "cuckoo" else C * max(1, round(-math.log2(eps))) if eps > 0 else {"edge_map": 2.33, "colour_map": 2.2}.get(kind, C)
+            yield row["stage"], kind, eps, float(stored), per_key * stored, float(row["bits"])
+
+    spec, n, u = handle.spec, handle.n, handle.u
+    n, u = (u - n, u) if spec.negate else (n, u)
+    left, rows = float(u - n), []
+    bits = {r["stage"]: r["bits"] for r in handle.space().collect()}  # a row a stage
+    for i, s in enumerate(spec.stages):
+        rows.append((i, s.kind, float(s.eps), n, u, left, C_UNIFORM, int(bits.get(i, 0))))
+        left *= s.eps
+    spark.createDataFrame(rows, "stage int, kind string, eps double, n long, u long, passing double, C double, bits long").createOrReplaceTempView(f"stages_of_{name}")
+    spark.udtf.register("explain_filter", udtf(Explain, returnType="stage int, kind string, eps double, keys double, planned double, bits double"))

@@ -255,10 +255,28 @@ class _Layers:
                 self.bits[i][spots[i][bad & (at == i)].ravel()] = True
         return first or 0
 
+    def dumps(self) -> bytes:
+        return b"".join(np.packbits(b).tobytes() for b in self.bits)
+
+    def loads(self, data: bytes) -> None:
+        at = 0
+        for i, (_, m, _) in enumerate(self.shape):
+            size = -(-m // 8)
+            self.bits[i] = np.unpackbits(np.frombuffer(data, np.uint8, size, at), count=m).astype(bool)
+            at += size
+
     def rows(self) -> list[dict]:
         return [Built(s, m, k, pack(b.astype(np.uint8), 1)).row() for (s, m, k), b in zip(self.shape, self.bits, strict=True)]
 
 
+def trained_layers(data: bytes | None, n: int, lam: float, seed: int, delta: float = 0.5) -> _Layers:
+    """Layers for about ``n`` positives, empty or as they were written."""
+    layers = _Layers(n, lam, delta, seed)
+    if data is not None:
+        layers.loads(data)
+    return layers
+
+
 #: Keys that are asked, and answered, before the predictor learns from its mistakes.
 TRAINING_BATCH = 256
 

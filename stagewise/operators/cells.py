@@ -29,7 +29,11 @@ def read_np(words: np.ndarray, cell: np.ndarray, width: int) -> np.ndarray:
 
 def read_col(words: Column, cell: Column, width: Column | int) -> Column:
     width = width if isinstance(width, Column) else F.lit(width)
-    at = cell.cast("long") * width
+    return read_at(words, cell.cast("long") * width, width)
+
+
+def read_at(words: Column, at: Column, width: Column) -> Column:
+    """The ``width`` bits from bit ``at`` on."""
     w, o = F.call_function("shiftright", at, F.lit(6)).cast("int"), at.bitwiseAND(F.lit(63)).cast("int")
     low = F.call_function("shiftrightunsigned", F.get(words, w), o)
     high = F.call_function("shiftleft", F.shiftleft(F.get(words, w + 1), 1), F.lit(63) - o)

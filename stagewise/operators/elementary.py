@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import below_col, below_np, hash_col, hash_np
 from ..functions.theory import BLOOM_FACTOR, C_COUPLED, C_UNIFORM, COUPLED_WINDOW
-from .cells import bit_col, pack, read_col, read_np
+from .cells import bit_col, pack, read_at, read_col, read_np
 
 STAGE_TYPE = "struct<seed:long,m:int,width:int,words:array<long>>"
 NONE = np.zeros(0, np.int64)
@@ -79,6 +79,19 @@ def _half(h: Column, n: Column, part: int | Column) -> Column:
     return below_col(h, n, part) if isinstance(part, int) else F.when(part == 0, below_col(h, n, 0)).otherwise(below_col(h, n, 1))
 
 
+def bloom_places(f: Column, key: Column, hashes: int) -> list[Column]:
+    return [below_col(hash_col(f["seed"] + i // 2, key), f["m"], i % 2) for i in range(hashes)]
+
+
+def bloom_answer(f: Column, key: Column, places: list[Column], cell: int = 1) -> Column:
+    """Whether the cells at the places that the struct's own number of hashes has are all set."""
+    hit = F.lit(True)
+    for i, p in enumerate(places):
+        own = (bit_col(f["words"], p) == 1) if cell == 1 else (read_col(f["words"], p, cell) > 0)
+        hit = hit & ((F.lit(i) >= f["width"]) | own) if i else own
+    return hit
+
+
 def probe_bloom(f: Column, key: Column, hashes: int | None) -> Column:
     return _all_bits(f, hashes, lambda s, half: bit_col(f["words"], _half(hash_col(f["seed"] + s, key), f["m"], half)) == 1)
 
@@ -100,6 +113,11 @@ def test_blocked(f: Built, keys: np.ndarray) -> np.ndarray:
     return (read_np(f.words, _blocked_bits_np(keys, f.seed, f.m, f.width).ravel(), 1).reshape(f.width, -1) == 1).all(0)
 
 
+def blocked_places(f: Column, key: Column, hashes: int) -> list[Column]:
+    block = below_col(hash_col(f["seed"], key), F.shiftright(f["m"], 9)) * BLOCK_BITS
+    return [block + below_col(hash_col(f["seed"] + 1 + i // 2, key), F.lit(BLOCK_BITS), i % 2) for i in range(hashes)]
+
+
 def probe_blocked(f: Column, key: Column, hashes: int | None) -> Column:
     block = below_col(hash_col(f["seed"], key), F.shiftright(f["m"], 9)) * BLOCK_BITS
     return _all_bits(f, hashes, lambda s, half: bit_col(f["words"], block + _half(hash_col(f["seed"] + 1 + s, key), F.lit(BLOCK_BITS), half)) == 1)
@@ -219,6 +237,25 @@ def _xor_col(f: Column, key: Column, layout: str, j: int) -> Column:
     return functools.reduce(Column.bitwiseXOR, (read_col(f["words"], s, f["width"]) for s in slots_col(f, key, layout, j)))
 
 
+def xor_places(f: Column, key: Column, layout: str = "uniform", j: int = 3, strategy: str = "a") -> list[Column]:
+    """Where a key's cells begin, in bits."""
+    return [s.cast("long") * f["width"] for s in slots_col(f, key, layout, j)]
+
+
+def _xor_at(f: Column, places: list[Column]) -> Column:
+    return functools.reduce(Column.bitwiseXOR, (read_at(f["words"], p, f["width"]) for p in places))
+
+
+def xor_answer(f: Column, key: Column, places: list[Column], **shape) -> Column:
+    mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"]) - 1
+    return _xor_at(f, places) == hash_col(f["seed"] + 9, key).bitwiseAND(mask)
+
+
+def retrieval_answer(f: Column, key: Column, places: list[Column], layout: str = "uniform", j: int = 3, strategy: str = "a") -> Column:
+    coin = hash_col(f["seed"] + 9, key).bitwiseAND(F.lit(1)) if strategy == "a" else F.lit(1)
+    return functools.reduce(Column.bitwiseXOR, (bit_col(f["words"], p) for p in places)) == coin
+
+
 def build_xor(pos: np.ndarray, neg: np.ndarray, eps: float, seed: int, layout: str = "uniform", C: float | None = None, j: int = 3, mixed: bool = False) -> Built:
     """Approximate: accepted keys carry a fingerprint of about log2(1/eps) bits.
 
@@ -308,7 +345,11 @@ def test_shared(f: Built, keys: np.ndarray) -> np.ndarray:
 
 
 def probe_shared(f: Column, key: Column) -> Column:
-    blocks = [read_col(f["words"], s, f["width"]) for s in slots_col(f, key, "uniform")]
+    return shared_answer(f, key, xor_places(f, key))
+
+
+def shared_answer(f: Column, key: Column, places: list[Column]) -> Column:
+    blocks = [read_at(f["words"], p, f["width"]) for p in places]
     mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"] - 2) - 1
     upper = F.shiftrightunsigned(functools.reduce(Column.bitwiseXOR, blocks), 2)
     h = hash_col(f["seed"] + 5, key)
@@ -375,6 +416,21 @@ def test_cuckoo(f: Built, keys: np.ndarray) -> np.ndarray:
     return hit
 
 
+def cuckoo_places(f: Column, key: Column) -> list[Column]:
+    """The fingerprint and the first bit of either bucket."""
+    last = (F.floor(f["m"] / BUCKET_SLOTS) - 1).cast("long")
+    mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"]) - 1
+    print_ = F.greatest(F.lit(1).cast("long"), hash_col(f["seed"] + 9, key).bitwiseAND(mask))
+    first = hash_col(f["seed"], key).bitwiseAND(last)
+    other = first.bitwiseXOR(hash_col(f["seed"] + 1, print_).bitwiseAND(last))
+    return [print_, first * BUCKET_SLOTS * f["width"], other * BUCKET_SLOTS * f["width"]]
+
+
+def cuckoo_answer(f: Column, key: Column, places: list[Column]) -> Column:
+    print_, *buckets = places
+    return functools.reduce(Column.__or__, (read_at(f["words"], b + i * f["width"], f["width"]) == print_ for b in buckets for i in range(BUCKET_SLOTS)))
+
+
 def probe_cuckoo(f: Column, key: Column) -> Column:
     last = (F.floor(f["m"] / BUCKET_SLOTS) - 1).cast("long")
     mask = F.call_function("shiftleft", F.lit(1).cast("long"), f["width"]) - 1
@@ -397,7 +453,8 @@ def nodes_np(keys: np.ndarray, seed: int, m: int) -> tuple[np.ndarray, np.ndarra
     return below_np(hash_np(seed, keys), left), left + below_np(hash_np(seed + 1, keys), m - left)
 
 
-def _nodes_col(f: Column, key: Column) -> tuple[Column, Column]:
+def nodes_col(f: Column, key: Column) -> tuple[Column, Column]:
+    """The same as expressions."""
     left = F.floor(f["m"] * 4 / 7)
     return below_col(hash_col(f["seed"], key), left), left + below_col(hash_col(f["seed"] + 1, key), f["m"] - left)
 
@@ -488,7 +545,11 @@ def test_edge_map(f: Built, keys: np.ndarray) -> np.ndarray:
 
 
 def probe_edge_map(f: Column, key: Column) -> Column:
-    a, b = _nodes_col(f, key)
+    return edge_map_answer(f, key, nodes_col(f, key))
+
+
+def edge_map_answer(f: Column, key: Column, places: tuple[Column, Column]) -> Column:
+    a, b = places
     return bit_col(f["words"], a) != bit_col(f["words"], b)
 
 
@@ -556,7 +617,11 @@ def test_colour_map(f: Built, keys: np.ndarray) -> np.ndarray:
 
 
 def probe_colour_map(f: Column, key: Column) -> Column:
-    a, b = _nodes_col(f, key)
+    return colour_map_answer(f, key, nodes_col(f, key))
+
+
+def colour_map_answer(f: Column, key: Column, places: tuple[Column, Column]) -> Column:
+    a, b = places
     return read_col(f["words"], a, 2) == read_col(f["words"], b, 2)
 
 
@@ -565,7 +630,10 @@ def probe_colour_map(f: Column, key: Column) -> Column:
 
 @dataclass(frozen=True)
 class Kind:
-    """``build(pos, neg, eps, seed, **options)``, ``test(built, keys, **shape)``, ``probe(struct, key, **shape)``; ``exact`` kinds use the negatives."""
+    """``build(pos, neg, eps, seed, **options)``, ``test(built, keys, **shape)``, ``probe(struct, key, **shape)``; ``exact`` kinds use the negatives.
+
+    ``places`` and ``answer`` are a probe in two steps: the places in the table first, which are then read.
+    """
 
     build: Callable
     test: Callable
@@ -574,16 +642,18 @@ class Kind:
     hashes: bool = False
     cell_bits: int = 0  # 0: the struct's width
     shape: tuple[str, ...] = ()
+    places: Callable | None = None
+    answer: Callable | None = None
 
 
 KINDS = {
-    "bloom": Kind(build_bloom, test_bloom, probe_bloom, hashes=True, cell_bits=1),
-    "blocked": Kind(build_blocked, test_blocked, probe_blocked, hashes=True, cell_bits=1),
-    "counting": Kind(build_counting, test_counting, probe_counting, hashes=True, cell_bits=4),
-    "xor": Kind(build_xor, test_xor, probe_xor, shape=("layout", "j")),
-    "retrieval": Kind(build_retrieval, test_retrieval, probe_retrieval, exact=True, shape=("layout", "strategy", "j")),
-    "shared": Kind(build_shared, test_shared, probe_shared, exact=True),
-    "cuckoo": Kind(build_cuckoo, test_cuckoo, probe_cuckoo),
-    "edge_map": Kind(build_edge_map, test_edge_map, probe_edge_map, exact=True),
-    "colour_map": Kind(build_colour_map, test_colour_map, probe_colour_map, exact=True),
+    "bloom": Kind(build_bloom, test_bloom, probe_bloom, hashes=True, cell_bits=1, places=bloom_places, answer=bloom_answer),
+    "blocked": Kind(build_blocked, test_blocked, probe_blocked, hashes=True, cell_bits=1, places=blocked_places, answer=bloom_answer),
+    "counting": Kind(build_counting, test_counting, probe_counting, hashes=True, cell_bits=4, places=bloom_places, answer=functools.partial(bloom_answer, cell=4)),
+    "xor": Kind(build_xor, test_xor, probe_xor, shape=("layout", "j"), places=xor_places, answer=xor_answer),
+    "retrieval": Kind(build_retrieval, test_retrieval, probe_retrieval, exact=True, shape=("layout", "strategy", "j"), places=xor_places, answer=retrieval_answer),
+    "shared": Kind(build_shared, test_shared, probe_shared, exact=True, places=xor_places, answer=shared_answer),
+    "cuckoo": Kind(build_cuckoo, test_cuckoo, probe_cuckoo, places=cuckoo_places, answer=cuckoo_answer),
+    "edge_map": Kind(build_edge_map, test_edge_map, probe_edge_map, exact=True, places=nodes_col, answer=edge_map_answer),
+    "colour_map": Kind(build_colour_map, test_colour_map, probe_colour_map, exact=True, places=nodes_col, answer=colour_map_answer),
 }

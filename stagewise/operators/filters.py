@@ -24,7 +24,7 @@ from .elementary import KINDS, STAGE_TYPE, Built
 #: Keys of one segment, whatever the number of keys in all.
 SEGMENT_KEYS = 1 << 15
 #: Rarer keys of a segment of a compact filter, and a bound on all its keys, which one task holds.
-COMPACT_KEYS, COMPACT_SEGMENT = 1 << 17, 1 << 23
+COMPACT_KEYS, COMPACT_SEGMENT = 1 << 18, 1 << 23
 #: A filter of more bytes than this is joined by shuffle, not sent to every executor.
 BROADCAST_BYTES = 256 << 20
 MAX_LAYERS = 48
@@ -139,6 +139,7 @@ class FilterHandle:
     hashes: int
     bytes_: int
     keys: DataFrame | None = None  # (k, is_pos), kept for updates
+    hashes_at: tuple[int, ...] = ()  # by stage or layer
 
     @property
     def lam(self) -> float:
@@ -146,26 +147,26 @@ class FilterHandle:
 
     def probe(self, df: DataFrame, keys: Sequence[str], out: str = "hit", strategy: str = "auto") -> DataFrame:
         """``df`` with a boolean column; false for null keys. ``strategy``: auto, broadcast or shuffle."""
-        small = strategy == "broadcast" or strategy == "auto" and self.bytes_ <= BROADCAST_BYTES
-        k = key64(df, keys)
-        table = self.segments.select("seg", "n", "u", "stages", "tail")
-        table = table.select(F.col("seg").alias("__seg"), F.struct("n", "u", "stages", "tail").alias("__f"))
         if out in df.columns:
             raise ValueError(f"there is a column {out} already; name another for the answer")
-        # the row travels as one struct, so no name of its columns can clash
-        packed = df.select(F.struct(*[_named(c) for c in df.columns]).alias("__row"), k.alias("__k")).withColumn("__s", segment_col(F.col("__k"), self.parts))
-        if small:
-            joined = packed.join(F.broadcast(table), F.col("__s") == F.col("__seg"), "left")
-        else:
-            # a segment's probes are dealt over several tasks, as one key may be in a large share of the rows
-            spread = [F.col("__row")[c] for c, kind in df.dtypes if "map" not in kind]  # maps have no hash
-            packed = packed.withColumn("__salt", F.pmod(F.xxhash64(*spread), F.lit(PROBE_SALTS)).cast("int") if spread else F.lit(0))
-            table = table.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(PROBE_SALTS - 1))))
-            joined = packed.join(table.hint("shuffle_hash"), (F.col("__s") == F.col("__seg")) & (F.col("__salt") == F.col("__part")), "left")
+        joined, view = self._met(df, keys, strategy)
         # a segment without a row holds no key of either class
-        hit = F.when(F.col("__k").isNotNull() & F.col("__f").isNotNull(), _nested(self, "__f").expression(F.col("__k")))
+        hit = view.expression(F.col("__k")) & F.col("__k").isNotNull() & F.col("__seg").isNotNull()
         return joined.select(*[F.col("__row")[c].alias(c) for c in df.columns], F.coalesce(hit, F.lit(False)).alias(out))
 
+    def _met(self, df: DataFrame, keys: Sequence[str], strategy: str = "auto") -> tuple[DataFrame, _View]:
+        """The rows (as one struct, so that no name can clash) with the segment of their key, and the filter over those columns."""
+        view = _View(self)
+        table = self.segments.select(F.col("seg").alias("__seg"), *view.columns())
+        packed = df.select(F.struct(*[_named(c) for c in df.columns]).alias("__row"), key64(df, keys).alias("__k")).withColumn("__s", segment_col(F.col("__k"), self.parts))
+        if strategy == "broadcast" or strategy == "auto" and self.bytes_ <= BROADCAST_BYTES:
+            return view.placed(packed.join(F.broadcast(table), F.col("__s") == F.col("__seg"), "left")), view
+        # a segment's probes are dealt over several tasks, as one key may be in a large share of the rows
+        spread = [F.col("__row")[c] for c, kind in df.dtypes if "map" not in kind]  # maps have no hash
+        packed = packed.withColumn("__salt", F.pmod(F.xxhash64(*spread), F.lit(PROBE_SALTS)).cast("int") if spread else F.lit(0))
+        table = table.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(PROBE_SALTS - 1))))
+        return view.placed(packed.join(table.hint("shuffle_hash"), (F.col("__s") == F.col("__seg")) & (F.col("__salt") == F.col("__part")), "left")), view
+
     def space(self) -> DataFrame:
         """(stage, bits, bits_per_pos): payload bits of each stage; stage -1 is the tail."""
         stages = self.segments.select(F.posexplode("stages").alias("stage", "f"))
@@ -187,18 +188,9 @@ class FilterHandle:
         return int(self.space().agg(F.sum("bits")).first()[0] or 0)
 
     def probe_depth(self, df: DataFrame, keys: Sequence[str]) -> DataFrame:
-        """``df`` with the number of layers that a query reads before one says no."""
-        k = key64(df, keys)
-        table = self.segments.select(F.col("seg").alias("__seg"), F.struct("n", "u", "stages", "tail").alias("__f"))
-        view = _nested(self, "__f")
-        if self.spec.mode == "alternate":
-            depth = F.when(view.first_no(F.col("__k")) > 0, view.first_no(F.col("__k"))).otherwise(F.size("__f.stages")).cast("int")
-        else:
-            depth = F.lit(self.layers)
-            for i in reversed(range(self.layers - 1)):
-                depth = F.when(~self.spec.stages[i].probe(view.at(i), F.col("__k"), self.hashes), F.lit(i + 1)).otherwise(depth)
-        packed = df.select(F.struct(*[_named(c) for c in df.columns]).alias("__row"), k.alias("__k"))
-        joined = packed.join(F.broadcast(table) if self.bytes_ <= BROADCAST_BYTES else table, segment_col(F.col("__k"), self.parts) == F.col("__seg"))
+        """``df`` with the number of layers that a query reads before one says no; null for keys that are null or without a segment."""
+        joined, view = self._met(df, keys)
+        depth = F.when(F.col("__k").isNotNull() & F.col("__seg").isNotNull(), view.depth(F.col("__k")))
         return joined.select(*[F.col("__row")[c].alias(c) for c in df.columns], depth.alias("depth"))
 
     def confusion(self) -> DataFrame:
@@ -224,36 +216,84 @@ class FilterHandle:
         return _handle(self.spec, self.parts, segments, members)
 
 
-class _nested:
-    """The filter's answer as an expression over a struct column that holds a row of the segment table."""
+#: Layers of a cascade that are written out in the probe's expression; few keys come further, and the layers behind are gone through by a loop.
+UNROLLED = 3
+_FIELDS = ("seed", "m", "width", "words")
+
 
-    def __init__(self, handle: FilterHandle, column: str):
-        self.handle, self.column = handle, column
+class _View:
+    """The filter's answer as an expression over columns that hold the parts of a segment, one column a part.
 
-    def at(self, i: int) -> Column:
-        return F.get(F.col(f"{self.column}.stages"), F.lit(i))
+    The places that the stages read are columns of their own, computed once however often they are used, and only the hashes that a
+    layer has are written out: code generated for a probe must stay small, or the virtual machine interprets it.
+    """
+
+    def __init__(self, handle: FilterHandle):
+        self.handle, self.spec = handle, handle.spec
+        self.stages = len(handle.spec.stages) if handle.spec.mode == "and" else handle.layers
+        self.first = self.stages if handle.spec.mode == "and" else min(self.stages, UNROLLED)
+        self.parts = {i: ({f: F.col(f"__{i}_{f}") for f in _FIELDS}) for i in range(self.first)}
+        self.at: dict[int | str, list[Column]] = {}
+
+    def columns(self) -> list[Column]:
+        """What is joined, of the segment table."""
+        parts = [F.size("stages").alias("__size")]
+        if self.spec.tail is not None:
+            parts += [F.col("tail")[f].alias(f"__t_{f}") for f in _FIELDS]
+        if self.first < self.stages:
+            parts.append(F.when(F.size("stages") > self.first, F.slice("stages", self.first + 1, F.greatest(F.lit(0), F.size("stages") - self.first))).alias("__rest"))
+        return parts + [F.get("stages", F.lit(i))[f].alias(f"__{i}_{f}") for i in range(self.first) for f in _FIELDS]
+
+    def _stage(self, i: int) -> Stage:
+        return self.spec.stages[i if self.spec.mode == "and" else 0]
+
+    def placed(self, joined: DataFrame) -> DataFrame:
+        """The joined rows with the places that stages and tail read."""
+        found = {}
+        for i, parts in self.parts.items():
+            stage, hashes = self._stage(i), self.handle.hashes_at[i] if i < len(self.handle.hashes_at) else self.handle.hashes
+            at = KINDS[stage.kind].places(parts, F.col("__k"), *([hashes] if KINDS[stage.kind].hashes else []), **stage.shape())
+            found |= {f"__{i}_p{n}": p for n, p in enumerate(at)}
+            self.at[i] = [F.col(f"__{i}_p{n}") for n in range(len(at))]
+        return joined.withColumns(found) if found else joined
+
+    def says(self, i: int, key: Column) -> Column:
+        """What stage or layer ``i`` says; null where the segment has no such layer."""
+        return KINDS[self._stage(i).kind].answer(self.parts[i], key, self.at[i], **self._stage(i).shape())
 
     def expression(self, key: Column) -> Column:
-        h, spec = self.handle, self.handle.spec
-        if spec.mode == "and":
+        if self.spec.mode == "and":
             hit = F.lit(True)
-            for i in reversed(range(len(spec.stages))):
-                own = spec.stages[i].probe(self.at(i), key, h.hashes)
-                hit = own if i == len(spec.stages) - 1 else F.when(own, hit).otherwise(False)
-            return ~hit if spec.negate else hit
-        size, tail, first_no = F.size(f"{self.column}.stages"), F.col(f"{self.column}.tail"), self.first_no(key)
-        # a key that every layer says yes to is in the last accepted set, unless an exact tail tells better
-        end = (size == 0) | (size % 2 == 1)
-        if spec.tail is not None:
-            last = spec.tail.probe(tail, key, h.hashes)
-            end = F.when(tail.isNotNull(), last == (size % 2 == 0)).otherwise(end)
-        hit = F.when(first_no == 0, end).otherwise(first_no % 2 == 0)
-        return ~hit if spec.negate else hit
-
-    def first_no(self, key: Column) -> Column:
-        """The number, from 1, of the first layer that says no; 0 if none does."""
-        layer = self.handle.spec.stages[0]
-        return F.coalesce(F.array_position(F.transform(f"{self.column}.stages", lambda f: layer.probe(f, key, None)), False), F.lit(0))
+            for i in reversed(range(self.stages)):
+                own = self.says(i, key)
+                hit = own if i == self.stages - 1 else F.when(own, hit).otherwise(False)
+        else:
+            # a key that every layer says yes to is in the last accepted set, unless an exact tail tells better
+            size = F.col("__size")
+            hit = (size == 0) | (size % 2 == 1)
+            if self.spec.tail is not None:
+                last = self.spec.tail.probe({f: F.col(f"__t_{f}") for f in _FIELDS}, key, self.handle.hashes)
+                hit = F.when(F.col("__t_seed").isNotNull(), last == (size % 2 == 0)).otherwise(hit)
+            if self.first < self.stages:
+                late = self._late(key)
+                hit = F.when(late > 0, (late + self.first) % 2 == 0).otherwise(hit)
+            for i in reversed(range(self.first)):
+                hit = F.when(~self.says(i, key), F.lit(i % 2 == 1)).otherwise(hit)
+        return ~hit if self.spec.negate else hit
+
+    def depth(self, key: Column) -> Column:
+        depth = F.col("__size").cast("int")
+        if self.first < self.stages:
+            late = self._late(key)
+            depth = F.when(late > 0, (late + self.first).cast("int")).otherwise(depth)
+        for i in reversed(range(self.first if self.spec.mode == "alternate" else self.stages - 1)):
+            depth = F.when(~self.says(i, key), F.lit(i + 1)).otherwise(depth)
+        return depth
+
+    def _late(self, key: Column) -> Column:
+        """The number, from 1, of the first of the layers behind the written-out ones that says no; 0 if none does."""
+        layer = self.spec.stages[0]
+        return F.coalesce(F.array_position(F.transform("__rest", lambda f: layer.probe(f, key, None)), False), F.lit(0))
 
 
 def _build_segments(dealt: DataFrame, spec: Spec, seed: int = 1) -> DataFrame:
@@ -273,12 +313,12 @@ def _build_segments(dealt: DataFrame, spec: Spec, seed: int = 1) -> DataFrame:
 
 def _handle(spec: Spec, parts: int, segments: DataFrame, keys: DataFrame | None) -> FilterHandle:
     segments = keep(segments)
-    wide = F.transform("stages", lambda s: F.when(F.lit(KINDS[spec.stages[0].kind].hashes or any(KINDS[s_.kind].hashes for s_ in spec.stages)), s["width"]).otherwise(1))
-    r = segments.agg(
-        F.sum("n").alias("n"), F.sum("u").alias("u"), F.max(F.size("stages")).alias("layers"), F.max(F.array_max(wide)).alias("hashes"),
-        F.sum(F.aggregate("stages", F.lit(0).cast("long"), lambda a, s: a + F.size(s["words"])) + F.coalesce(F.size("tail.words"), F.lit(0))).alias("words"),
-    ).first()
-    return FilterHandle(spec, parts, segments, r["n"] or 0, r["u"] or 0, r["layers"] or 0, min(32, r["hashes"] or 1), 8 * (r["words"] or 0), keys)
+    words = F.sum(F.aggregate("stages", F.lit(0).cast("long"), lambda a, s: a + F.size(s["words"])) + F.coalesce(F.size("tail.words"), F.lit(0)))
+    r = segments.agg(F.sum("n").alias("n"), F.sum("u").alias("u"), F.max(F.size("stages")).alias("layers"), words.alias("words"), F.max("tail.width").alias("tail")).first()
+    hashed = any(KINDS[s.kind].hashes for s in (*spec.stages, *([spec.tail] if spec.tail else [])))
+    widths = {x["i"]: x["w"] for x in segments.select(F.posexplode("stages").alias("i", "s")).groupBy("i").agg(F.max("s.width").alias("w")).collect()} if hashed else {}  # a row a layer
+    at = tuple(min(32, widths.get(i, 1)) for i in range(r["layers"] or 0)) if hashed else ()
+    return FilterHandle(spec, parts, segments, r["n"] or 0, r["u"] or 0, r["layers"] or 0, max((*at, min(32, r["tail"] or 1)), default=1), 8 * (r["words"] or 0), keys, at)
 
 
 def build(

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -75,6 +73,41 @@ def peel_relational(df: DataFrame, key: str, cells: int, seed: int = 1, max_roun
     return out if out is not None else k.select("k", F.lit(0).cast("long").alias("slot"), F.lit(0).alias("round")).limit(0)
 
 
-def semi_join(df: DataFrame, keys: Sequence[str], members: DataFrame, how: str = "left_semi") -> DataFrame:
-    """What a filter replaces: the plain join."""
-    return df.join(members, list(keys), how)
+def assign_relational(peeled: DataFrame, values: DataFrame, cells: int, seed: int = 1) -> DataFrame:
+    """(slot, v): cells whose xor over a key's three slots is the key's value, filled round by round from the last peeled on.
+
+    ``peeled`` is what ``peel_relational`` gives, ``values`` is (k, v). The cells of one round are those of no other, so a round is one
+    join of its keys' other slots with the cells filled so far.
+    """
+    block = cells // 3
+    rounds = peeled.agg(F.max("round")).first()[0]
+    slots = F.explode(F.array(*[(below_col(hash_col(seed + i, F.col("k")), F.lit(block)) + i * block) for i in range(3)]))
+    own = keep(peeled.join(values, "k"))
+    filled = own.select("slot", "v").limit(0)
+    for round_ in range(rounds if rounds is not None else -1, -1, -1):
+        now = own.where(F.col("round") == round_)
+        others = now.select("k", "v", F.col("slot").alias("own"), slots.alias("slot")).where("slot <> own")
+        seen = others.join(filled.withColumnRenamed("v", "c"), "slot", "left").groupBy("own", "v").agg(F.bit_xor(F.coalesce("c", F.lit(0).cast("long"))).alias("x"))
+        filled = keep(filled.unionByName(seen.select(F.col("own").alias("slot"), F.col("v").bitwiseXOR(F.col("x")).alias("v"))))
+    return filled
+
+
+def read_relational(keys: DataFrame, filled: DataFrame, cells: int, seed: int = 1) -> DataFrame:
+    """(k, v): the xor over the three slots of each key."""
+    block = cells // 3
+    slots = F.explode(F.array(*[(below_col(hash_col(seed + i, F.col("k")), F.lit(block)) + i * block) for i in range(3)]))
+    return keys.select("k", slots.alias("slot")).join(filled, "slot", "left").groupBy("k").agg(F.bit_xor(F.coalesce("v", F.lit(0).cast("long"))).alias("v"))
+
+
+def portable_hits(df: DataFrame, key: str, bits: DataFrame, size: int, hashes: int) -> DataFrame:
+    """``df`` with ``hit`` by a portable Bloom filter of any size: a key's bits meet the set ones by a shuffle."""
+    spots = F.explode(F.array(*[F.pmod(portable_hash(F.col("__k"), i), F.lit(size)) for i in range(hashes)]))
+    asked = df.select(F.col(key).alias("__k")).distinct().select("__k", spots.alias("bit"))
+    answer = asked.join(bits.withColumn("set", F.lit(True)), "bit", "left").groupBy("__k").agg((F.count("set") == F.count(F.lit(1))).alias("hit"))
+    return df.join(answer, df[key].eqNullSafe(answer["__k"]), "left").select(*[df[c] for c in df.columns], F.coalesce("hit", F.lit(False)).alias("hit"))
+
+
+def portable_counters(df: DataFrame, key: str, size: int, hashes: int, sign: str) -> DataFrame:
+    """(cell, n): counters of a portable counting filter that are not zero after inserting (sign 1) and deleting (sign -1) keys."""
+    spots = F.explode(F.array(*[F.pmod(portable_hash(F.col(key), i), F.lit(size)) for i in range(hashes)]))
+    return df.where(F.col(key).isNotNull()).select(spots.alias("cell"), F.col(sign).alias("s")).groupBy("cell").agg(F.sum("s").cast("long").alias("n")).where("n <> 0")

@@ -84,7 +84,7 @@ class OnlineFilter:
 
     def exclude(self, df: DataFrame, keys: Sequence[str]) -> OnlineFilter:
         """New negatives; keys that are positive stay so. Those that the Bloom filter rejects anyway are not moved."""
-        coarse = FilterHandle(Spec("and", self.handle.spec.stages[:1]), self.handle.parts, self.handle.segments, self.handle.n, self.handle.u, 1, self.handle.hashes, self.handle.bytes_)
+        coarse = FilterHandle(Spec("and", self.handle.spec.stages[:1]), self.handle.parts, self.handle.segments, self.handle.n, self.handle.u, 1, self.handle.hashes, self.handle.bytes_, None, self.handle.hashes_at)
         passing = coarse.probe(df.select(key64(df, keys).alias("k")).distinct(), ["k"], "passes").where("passes")
         return self._learnt(passing.select("k", F.lit(False).alias("is_pos")))
 

@@ -9,10 +9,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.hashing import portable_hash, portable_sql
-from ..functions.sqlsurface import register
+from ..functions.sqlsurface import register, register_explain
 from ..plans.storage import shared_folder
 from ..sources.tables import read_table, round_trip
 from . import filters as X
+from .cells import pack
 
 OPERATORS: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {}
 
@@ -137,6 +138,12 @@ def _theta(s, d):
     return a.join(F.broadcast(b), a.r_regionkey < b.n_regionkey).select(a.r_regionkey.alias("a"), b.n_nationkey.alias("b"))
 
 
+@op("join_cross", "SELECT r_regionkey, n_nationkey FROM region CROSS JOIN nation")
+def _cross(s, d):
+    """Five regions by 25 nations, whatever the scale."""
+    return _t(s, d, "region", "r_regionkey").crossJoin(F.broadcast(_t(s, d, "nation", "n_nationkey")))
+
+
 @op("join_as_of", "SELECT v.event_id, p.event_id AS purchase FROM (SELECT * FROM events WHERE event_type = 'view') v ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'purchase' GROUP BY user_id, ts) p ON v.user_id = p.user_id AND v.ts >= p.ts")
 def _as_of(s, d):
     """The last purchase before each view of the same user: a union and a window, no self-join."""
@@ -214,6 +221,12 @@ def _rollup(s, d):
     return _t(s, d, "lineitem").select(F.col("l_returnflag").alias("f"), F.col("l_linestatus").alias("st")).rollup("f", "st").agg(F.count(F.lit(1)).alias("n"))
 
 
+@op("grouping_sets", "SELECT l_returnflag AS f, l_linestatus AS st, GROUPING(l_returnflag, l_linestatus) AS level, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_returnflag), ())")
+def _grouping_sets(s, d):
+    sets = _t(s, d, "lineitem", "l_returnflag", "l_linestatus").select(F.col("l_returnflag").alias("f"), F.col("l_linestatus").alias("st"))
+    return sets.groupingSets([["f", "st"], ["f"], []], "f", "st").agg(F.grouping_id("f", "st").alias("level"), F.count(F.lit(1)).alias("n"))
+
+
 @op("pivot", "SELECT user_id, count(*) FILTER (WHERE event_type = 'view') AS views, count(*) FILTER (WHERE event_type = 'purchase') AS purchases FROM events GROUP BY user_id")
 def _pivot(s, d):
     p = _t(s, d, "events", "user_id", "event_type").groupBy("user_id").pivot("event_type", ["view", "purchase"]).count()
@@ -248,6 +261,14 @@ def _running(s, d):
     return _t(s, d, "events").select("event_id", F.round(F.sum("value").over(w), 6).alias("moving"))
 
 
+@op("window_time_range", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 HOUR PRECEDING AND CURRENT ROW), 6) AS last_hour FROM events")
+def _time_range(s, d):
+    """A frame by time: rows of the same instant are in it, too."""
+    e = _t(s, d, "events", "event_id", "user_id", "ts", "value").withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
+    w = Window.partitionBy("user_id").orderBy("us").rangeBetween(-3_600_000_000, 0)
+    return e.select("event_id", F.round(F.sum("value").over(w), 6).alias("last_hour"))
+
+
 @op("top_k", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")
 def _top(s, d):
     return _t(s, d, "orders", "o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10)
@@ -280,6 +301,15 @@ def _except_by_filter(s, d):
     return f.probe(c, ["c_custkey"]).where("not hit").select("c_custkey")
 
 
+@op("set_intersect_by_filter", "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_orderstatus = 'P')")
+def _intersect_by_filter(s, d):
+    """Pending customers that are in the customer table: its keys are the universe, so the answer is exact."""
+    c = _t(s, d, "customer", "c_custkey")
+    pending = _t(s, d, "orders", "o_custkey", "o_orderstatus").where("o_orderstatus = 'P'").select(F.col("o_custkey").alias("c_custkey"), F.lit(True).alias("y"))
+    labelled = c.withColumn("y", F.lit(False)).unionByName(pending)  # a key of both classes counts as positive
+    return X.staged(labelled, ["c_custkey"], "y").probe(c, ["c_custkey"]).where("hit").select("c_custkey")
+
+
 # --- functions ---------------------------------------------------------------------------------------------------------------------
 
 
@@ -322,6 +352,24 @@ def _arrays(s, d):
     return _t(s, d, "embeddings").select("vec_id", F.round(F.aggregate(e, F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 6).alias("norm"), F.size(F.filter(e, lambda x: x > 0)).cast("long").alias("positive"))
 
 
+_MEAN = "SELECT i, avg(x) AS m FROM (SELECT unnest(range(1, len(embedding) + 1)) AS i, unnest(embedding) AS x FROM embeddings) GROUP BY i"
+
+
+@op(
+    "vector_products",
+    f"WITH m AS ({_MEAN}), e AS (SELECT vec_id, unnest(range(1, len(embedding) + 1)) AS i, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings), "
+    "p AS (SELECT vec_id, sum(x * m) AS dot, sqrt(sum(x * x)) * sqrt(sum(m * m)) AS norms FROM e JOIN m USING (i) GROUP BY vec_id) SELECT vec_id, round(dot, 5) AS dot, round(dot / norms, 5) AS cosine FROM p",
+)
+def _products(s, d):
+    """Dot product and cosine of each vector with the mean vector, which is one row."""
+    e = _t(s, d, "embeddings", "vec_id", "embedding").where("embedding is not null")
+    each = e.select(F.posexplode("embedding").alias("i", "x")).groupBy("i").agg(F.avg(F.col("x").cast("double")).alias("m"))
+    mean = each.agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "m"))), lambda r: r["m"]).alias("m"))
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda t, x: t + x)
+    both = e.join(F.broadcast(mean)).select("vec_id", dot("embedding", "m").alias("dot"), (F.sqrt(dot("embedding", "embedding")) * F.sqrt(dot("m", "m"))).alias("norms"))
+    return both.select("vec_id", F.round("dot", 5).alias("dot"), F.round(F.col("dot") / F.col("norms"), 5).alias("cosine"))
+
+
 @op("json", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")
 def _json(s, d):
     return _t(s, d, "events", "event_id", "props").select("event_id", F.from_json("props", "k long")["k"].alias("k"))
@@ -377,3 +425,53 @@ def _udaf(s, d):
     # combined by task before the groups meet, so a group's size does not matter
     part = _t(s, d, "orders").groupBy("o_orderstatus", F.spark_partition_id().alias("p")).agg(F.bit_or("o_custkey").alias("words"))
     return part.select("o_orderstatus", "words").groupBy("o_orderstatus").applyInArrow(fold, T.StructType([T.StructField("o_orderstatus", T.StringType()), T.StructField("words", T.LongType())]))
+
+
+_SPOTS = ", ".join(f"{portable_sql('o_custkey', i)} % 4096" for i in range(3))
+
+
+@op("bloom_aggregate", f"SELECT o_orderstatus, count(DISTINCT b) AS bits FROM (SELECT o_orderstatus, unnest([{_SPOTS}]) AS b FROM orders) GROUP BY o_orderstatus")
+def _bloom_aggregate(s, d):
+    """A grouped function over series that builds a small Bloom filter, task by task; the words of the tasks are ORed by the built-in."""
+    import numpy as np
+
+    @F.pandas_udf("array<long>", functionType=F.PandasUDFType.GROUPED_AGG)
+    def bloom(spots):
+        cells = np.zeros(4096, np.uint8)
+        cells[np.concatenate([np.asarray(x, np.int64) for x in spots])] = 1
+        return pack(cells, 1)[:64].tolist()
+
+    spots = F.array(*[F.pmod(portable_hash(F.col("o_custkey"), i), F.lit(4096)) for i in range(3)])
+    # groups of a bounded number of rows, so that no group is held whole
+    part = _t(s, d, "orders", "o_orderstatus", "o_custkey").groupBy("o_orderstatus", F.spark_partition_id().alias("p"), F.pmod(F.xxhash64("o_custkey"), F.lit(64)).alias("h")).agg(bloom(spots).alias("words"))
+    words = part.select("o_orderstatus", F.posexplode("words").alias("i", "w")).groupBy("o_orderstatus", "i").agg(F.bit_or("w").alias("w"))
+    return words.groupBy("o_orderstatus").agg(F.sum(F.bit_count("w")).alias("bits"))
+
+
+@op("arrow_function", "SELECT o_orderkey, (o_orderkey % 1000) * 7 + 1 AS v FROM orders")
+def _arrow(s, d):
+    """A scalar function over Arrow arrays and an iterator of batches, one after the other."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    def seven(x):
+        return pc.multiply(x, 7)
+
+    seven.__annotations__ = {"x": pa.Array, "return": pa.Array}  # types, not their names, as the engine reads them
+    times_seven = F.arrow_udf(seven, "long")
+
+    def plus_one(batches):
+        for b in batches:
+            yield pa.record_batch([b.column(0), pc.add(b.column(1), 1)], names=["o_orderkey", "v"])
+
+    o = _t(s, d, "orders", "o_orderkey")
+    return o.select("o_orderkey", times_seven(F.col("o_orderkey") % 1000).alias("v")).mapInArrow(plus_one, "o_orderkey long, v long")
+
+
+@op("explain_filter", "SELECT stage, kind, true AS near_plan FROM (VALUES (0, 'xor'), (1, 'retrieval')) t(stage, kind)")
+def _explained(s, d):
+    """A table function in SQL that says what each stage of a saved filter takes, planned and actual."""
+    orders = _t(s, d, "orders", "o_orderkey", "o_orderpriority").withColumn("y", F.col("o_orderpriority") == "1-URGENT")
+    h = X.staged(orders, ["o_orderkey"], "y")
+    register_explain(s, "urgent", h)
+    return s.sql("SELECT stage, kind, bits BETWEEN 0.8 * planned AND 1.25 * planned AS near_plan FROM explain_filter(TABLE(stages_of_urgent))")

@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import functools
+import json
 import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.hashing import segment_col
 from ..operators import applications as A
 from ..operators import filters as X
+from ..operators.online import online
 from ..plans.storage import keep, shared_folder
 from ..sources.tables import read_table, stream_table
 
@@ -82,6 +86,17 @@ def _dedup(s, d):
     return drained(event_stream(s, d).select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]))
 
 
+@op("dedup_within_watermark", "SELECT user_id, event_type, CAST(0 AS BIGINT) AS late FROM events WHERE user_id IS NOT NULL GROUP BY user_id, event_type")
+def _dedup_within(s, d):
+    """State of a pair is dropped once the watermark has passed it; the rows that came too late for it are counted by the engine."""
+    rows = event_stream(s, d).withWatermark("ts", whole_span(s, d)).dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type")
+    base = f"{shared_folder(s)}/{uuid.uuid4().hex}"
+    running = rows.writeStream.format("parquet").option("checkpointLocation", f"{base}/state").outputMode("append").trigger(availableNow=True).start(f"{base}/out")
+    running.awaitTermination()
+    late = sum(o["numRowsDroppedByWatermark"] for p in running.recentProgress for o in json.loads(p.json)["stateOperators"])
+    return s.read.schema(rows.schema).parquet(f"{base}/out").where("user_id is not null").withColumn("late", F.lit(late).cast("long"))
+
+
 @op("probe", "SELECT event_id, event_type = 'purchase' AS hit FROM events")
 def _probe(s, d):
     """A stream probes a static filter: a stateless join with its segments."""
@@ -98,6 +113,63 @@ def _interval(s, d):
     return drained(c.join(p, F.expr("u = v and tp >= tc and tp <= tc + interval 1 hour"))).select("click", "purchase")
 
 
+@op("flush_per_batch", "SELECT count(*) AS keys, count(*) AS reads, CAST(0 AS BIGINT) AS wasted FROM events")
+def _flush_per_batch(s, d):
+    """Each micro-batch becomes a run with a filter of its own, and the filters of the earlier runs learn the new keys they would mistake."""
+    runs, learnt = [], []
+
+    def flush(batch: DataFrame, n: int) -> None:
+        if batch.isEmpty():
+            return
+        run = keep(batch.select("event_id", F.lit(len(runs) + 1).alias("run")))
+        for i, f in enumerate(learnt):
+            learnt[i] = f.exclude(run, ["event_id"])
+        learnt.append(online(run.withColumn("mine", F.lit(True)), ["event_id"], "mine", eps=1 / 64, room=1.0))
+        runs.append(run)
+
+    event_stream(s, d).writeStream.foreachBatch(flush).option("checkpointLocation", f"{shared_folder(s)}/{uuid.uuid4().hex}").trigger(availableNow=True).start().awaitTermination()
+    rows = functools.reduce(DataFrame.unionByName, runs)
+    # runs in order until the key is found; a filter's yes is a read
+    asked, seen = rows.select("event_id", F.col("run").alias("home")), []
+    for i, f in enumerate(learnt, 1):
+        seen.append(f.probe(asked, ["event_id"]).where(F.col("hit") & (F.col("home") >= i)).select((F.col("home") == i).alias("mine")))
+    reads = functools.reduce(DataFrame.unionByName, seen)
+    return reads.agg(F.sum(F.col("mine").cast("long")).alias("keys"), F.count(F.lit(1)).alias("reads"), F.sum((~F.col("mine")).cast("long")).alias("wasted"))
+
+
+@op("trained_predictor", "SELECT CAST(8 AS BIGINT) * count(*) AS answers, true AS late_errors_fewer FROM events")
+def _streamed_training(s, d):
+    """Online training in a stateful stream: a segment's layers are its state, its keys come eight times over, and each batch is answered before it is learnt."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    events = read_table(s, d, "events", "event_id", "event_type")
+    path = f"{shared_folder(s)}/lessons_{uuid.uuid4().hex}"
+    for _ in range(8):
+        events.select(F.col("event_id").alias("k"), (F.col("event_type") == "purchase").alias("y")).coalesce(1).write.mode("append").parquet(path)
+    sizes = events.agg(F.count(F.lit(1)).alias("u"), F.sum((F.col("event_type") == "purchase").cast("long")).alias("n")).first()
+    parts = max(1, -(-sizes["u"] // X.SEGMENT_KEYS))
+    n = max(1, (sizes["n"] or 0) // parts)
+    lam = (sizes["u"] - (sizes["n"] or 0)) / max(1, sizes["n"] or 0)
+
+    def learn(key, frames, state):
+        layers = A.trained_layers(state.get[0] if state.exists else None, n, lam, 1 + 100_003 * int(key[0]))
+        round_ = state.get[1] + 1 if state.exists else 1
+        rows = pd.concat(list(frames)).sort_values("k", ignore_index=True)
+        k, y, wrong = rows["k"].to_numpy(np.int64), rows["y"].to_numpy(bool), 0
+        spots = layers.spots(k)
+        for lo in range(0, len(k), A.TRAINING_BATCH):
+            wrong += layers.teach([x[lo : lo + A.TRAINING_BATCH] for x in spots], y[lo : lo + A.TRAINING_BATCH])
+        state.update((layers.dumps(), round_))
+        yield pd.DataFrame({"seg": [int(key[0])], "round": [round_], "answers": [len(k)], "wrong": [wrong]})
+
+    lessons = stream_table(s, path, s.read.parquet(path).schema, 1).withColumn("seg", segment_col(F.col("k"), parts))
+    told = drained(lessons.groupBy("seg").applyInPandasWithState(learn, "seg int, round int, answers long, wrong long", "layers binary, round int", "append", GroupStateTimeout.NoTimeout))
+    by = lambda c: F.sum(F.when(c, F.col("wrong")).otherwise(0))
+    return told.agg(F.sum("answers").alias("answers"), (by(F.col("round") == 8) * 20 <= by(F.col("round") == 1)).alias("late_errors_fewer"))
+
+
 @op("run_flush", "SELECT count(*) AS keys, CAST(0 AS BIGINT) AS wasted FROM events")
 def _flush(s, d):
     """Each micro-batch becomes a run; the filter learns its keys, positive for that run and negative for the earlier ones."""

@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .functions import theory as T
 from .functions.hashing import portable_hash, portable_sql
 from .operators import applications as A
+from .operators import elementary as E
 from .operators import filters as X
 from .operators import native as N
 from .operators import relational
+from .operators.online import online
 from .plans.storage import keep
+from .sources import tables
 from .sources.tables import read_table
 from .streaming import flows
 
@@ -155,6 +159,54 @@ def _union(spark, sf_dir):
     return N.bloom_hits(pos.select("o_orderkey"), "o_orderkey", words, 1 << 15, 5)
 
 
+_URGENT = "o_orderpriority = '1-URGENT'"
+
+
+def _portable_sql(universe: str, members: str, key: str, size: int, hashes: int) -> str:
+    """Which keys of a universe a portable Bloom filter of the members lets through, false positives included."""
+    spots = ", ".join(f"{portable_sql(key, i)} % {size}" for i in range(hashes))
+    return (
+        f"WITH s AS (SELECT DISTINCT unnest([{spots}]) AS b FROM {members}), u AS (SELECT {key}, unnest([{spots}]) AS b FROM {universe}) "
+        f"SELECT u.{key}, count(s.b) = {hashes} AS hit FROM u LEFT JOIN s ON u.b = s.b GROUP BY u.{key}"
+    )
+
+
+@query("f01_bloom_whole_universe", _portable_sql("orders", f"(SELECT * FROM orders WHERE {_URGENT})", "o_orderkey", 16384, 3))
+def _whole(spark, sf_dir):
+    """Every key is asked, and the false positives are the very ones that SQL finds."""
+    df, _ = universe(spark, sf_dir, "orders")
+    return N.portable_hits(df.select("o_orderkey"), "o_orderkey", N.portable_bloom(df.where("y"), "o_orderkey", 16384, 3), 16384, 3)
+
+
+@query("f03_union_whole_universe", _portable_sql("orders", f"(SELECT * FROM orders WHERE {_URGENT})", "o_orderkey", 16384, 3))
+def _union_whole(spark, sf_dir):
+    """The union of the filters of two halves is the filter of the whole."""
+    df, _ = universe(spark, sf_dir, "orders")
+    half = lambda r: N.portable_bloom(df.where(F.col("y") & (F.pmod("o_orderkey", F.lit(2)) == r)), "o_orderkey", 16384, 3)
+    return N.portable_hits(df.select("o_orderkey"), "o_orderkey", half(0).union(half(1)).distinct(), 16384, 3)
+
+
+@query("f01_native_rate", f"SELECT count(*) AS u, count(*) FILTER (WHERE {_URGENT}) AS n, CAST(0 AS BIGINT) AS fn, true AS rate_held FROM orders")
+def _native_rate(spark, sf_dir):
+    """Sized by the number of keys, built and probed without Python, all keys asked."""
+    df, _ = universe(spark, sf_dir, "orders")
+    bits, hashes = E.bloom_shape(max(1, df.where("y").count()), 0.01)
+    hits = N.bloom_hits(df, "o_orderkey", N.bloom_words(df.where("y"), "o_orderkey", bits, hashes), bits, hashes)
+    wrong = lambda c: F.sum(c.cast("long"))
+    return hits.agg(F.count(F.lit(1)).alias("u"), wrong(F.col("y")).alias("n"), wrong(F.col("y") & ~F.col("hit")).alias("fn"), (wrong(~F.col("y") & F.col("hit")) <= 0.02 * wrong(~F.col("y"))).alias("rate_held"))
+
+
+@query(
+    "f06_counting_half_deleted",
+    "SELECT cell, count(*) AS n FROM (SELECT unnest([" + ", ".join(f"{portable_sql('o_orderkey', i)} % 4096" for i in range(3)) + "]) AS cell FROM orders WHERE o_orderstatus <> 'F') GROUP BY cell",
+)
+def _half_deleted(spark, sf_dir):
+    """All orders are inserted, the finished ones deleted: the counters are those of the others, one by one."""
+    df = read_table(spark, sf_dir, "orders", "o_orderkey", "o_orderstatus")
+    both = df.withColumn("s", F.lit(1)).unionByName(df.where("o_orderstatus = 'F'").withColumn("s", F.lit(-1)))
+    return N.portable_counters(both, "o_orderkey", 4096, 3, "s")
+
+
 @query("f04_jvm_bloom")
 def _jvm(spark, sf_dir):
     df = read_table(spark, sf_dir, "orders", "o_orderkey")
@@ -182,6 +234,38 @@ def _peel(spark, sf_dir):
     return N.peel_relational(part, "p_partkey", int(part.count() * 1.35) + 30).agg(F.countDistinct("k").alias("keys"), F.countDistinct("slot").alias("slots"))
 
 
+@query("g02_relational_assign", "SELECT p_partkey, bit_count(p_partkey) % 2 = 1 AS odd FROM part")
+def _assigned(spark, sf_dir):
+    """Cells are filled by joins in the reverse order of peeling; the xor of a key's three cells is its value."""
+    part = read_table(spark, sf_dir, "part", "p_partkey").select(F.col("p_partkey").alias("k"))
+    cells = int(part.count() * 1.35) + 30
+    values = part.withColumn("v", (F.bit_count("k") % 2).cast("long"))
+    filled = N.assign_relational(N.peel_relational(part, "k", cells), values, cells)
+    return N.read_relational(part, filled, cells).select(F.col("k").alias("p_partkey"), (F.col("v") == 1).alias("odd"))
+
+
+# --- filters that learn ----------------------------------------------------------------------------------------------------------
+
+
+@query("s06_include_exclude", "SELECT event_id, event_type = 'purchase' AS hit FROM events")
+def _include_exclude(spark, sf_dir):
+    """Built on the even keys; the odd positives are included, then all negatives are told again, of which only those that pass are moved."""
+    df, k = universe(spark, sf_dir, "events")
+    h = online(df.where("event_id % 2 = 0"), k, "y").include(df.where("event_id % 2 = 1 and y"), k).exclude(df.where("not y"), k)
+    return h.probe(df.select(*k), k)
+
+
+@query("s07_included_keys_pass", "SELECT count(*) AS keys, CAST(0 AS BIGINT) AS denied, true AS rate_small FROM events")
+def _included(spark, sf_dir):
+    """New positives alone: none is denied, and few of the negatives known before are let through."""
+    df, k = universe(spark, sf_dir, "events")
+    h = online(df.where("event_id % 2 = 0"), k, "y").include(df.where("event_id % 2 = 1 and y"), k)
+    seen = h.probe(df, k)
+    wrong = lambda c: F.sum(c.cast("long"))
+    even = ~F.col("y") & (F.col("event_id") % 2 == 0)
+    return seen.agg(F.count(F.lit(1)).alias("keys"), wrong(F.col("y") & ~F.col("hit")).alias("denied"), (wrong(even & F.col("hit")) <= 0.25 * wrong(even)).alias("rate_small"))
+
+
 # --- costs ---------------------------------------------------------------------------------------------------------------------
 
 _G = lambda x: f"(CASE WHEN ({x}) > 0 THEN (({x})+1)*(-(1/(({x})+1))*log2(1/(({x})+1)) - (1-1/(({x})+1))*log2(1-1/(({x})+1))) ELSE 0 END)"
@@ -219,10 +303,21 @@ def _surface(spark, sf_dir):
     return _rounded(grid.select("eps", "lam", T.lb(eps, lam).alias("lb"), T.cost_single(eps, lam).alias("single"), T.classify(eps, lam).alias("classes")))
 
 
-@query("t16_general_costs")
+@query(
+    "t16_general_costs",
+    "WITH g AS (SELECT eps, lam, -log2(eps) AS approx, lam + 1 - 2 * eps * lam AS part_a, (lam + 1) / (eps * lam + 1) AS part_b "
+    f"FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _EPS)}]) AS eps) CROSS JOIN (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _LAMS)}]) AS lam)), "
+    "c AS (SELECT eps, lam, part_b, CASE WHEN lam * ln(2) > 1 AND 2 * eps * lam * ln(2) < 1 THEN log2(2 * exp(1) * lam * ln(2)) - 2 * lam * eps ELSE least(approx, part_a) END AS a, "
+    "CASE WHEN eps < ln(2) AND lam * (ln(2) - eps) > 1 THEN log2(2 * exp(1) * lam * ln(2) / (eps * lam + 1)) - eps * lam / (eps * lam + 1) ELSE least(approx, part_b) END AS b FROM g) "
+    "SELECT eps, lam, round(a, 6) AS a, round(b, 6) AS b, round(least(a, b), 6) AS best, round(part_b, 6) AS partial_b FROM c",
+)
 def _general(spark, sf_dir):
     grid = spark.createDataFrame([(e, x) for e in _EPS for x in _LAMS], "eps double, lam double")
     eps, lam = F.col("eps"), F.col("lam")
+    return _rounded(_general_costs(grid, eps, lam))
+
+
+def _general_costs(grid, eps, lam):
     return grid.select("eps", "lam", T.general_a(eps, lam).alias("a"), T.general_b(eps, lam).alias("b"), T.cost_general(eps, lam).alias("best"), T.partial_b(eps, lam).alias("partial_b"))
 
 
@@ -235,15 +330,24 @@ def _plans(spark, sf_dir):
     return spark.createDataFrame(rows, "lam double, stages int, cost double, envelope double, plan string")
 
 
-@query("t24_layer_plan")
+@query(
+    "t24_layer_plan",
+    "WITH RECURSIVE l(lam, layer, accepted, rejected) AS (SELECT lam, 1, CAST(50000 AS DOUBLE), 50000 * lam FROM (VALUES (CAST(4 AS DOUBLE)), (16)) t(lam) "
+    "UNION ALL SELECT lam, layer + 1, rejected * CASE WHEN layer = 1 THEN least(0.5, 0.5 / lam) ELSE 0.25 END, accepted FROM l WHERE rejected * CASE WHEN layer = 1 THEN least(0.5, 0.5 / lam) ELSE 0.25 END >= 1) "
+    "SELECT lam, layer, round(rate, 6) AS rate, round(accepted * -log2(rate) / ln(2), 6) AS bits FROM (SELECT lam, layer, accepted, CASE WHEN layer = 1 THEN least(0.5, 0.5 / lam) ELSE 0.25 END AS rate FROM l)",
+)
 def _layers(spark, sf_dir):
-    return spark.createDataFrame([(lam, *r) for lam in (4.0, 16.0) for r in T.layer_plan(50_000, lam)], "lam double, layer int, rate double, bits double")
+    return _rounded(spark.createDataFrame([(lam, *r) for lam in (4.0, 16.0) for r in T.layer_plan(50_000, lam)], "lam double, layer int, rate double, bits double"))
 
 
-@query("t25_elementary_costs")
+@query(
+    "t25_elementary_costs",
+    "SELECT kind, eps, round(CASE kind WHEN 'bloom' THEN -log2(eps) / ln(2) WHEN 'cuckoo' THEN 1.05 * (2 - log2(eps)) WHEN 'xor' THEN -log2(eps) WHEN 'retrieval' THEN 5 WHEN 'edge_map' THEN 2.33 * 5 ELSE 2.2 * 5 END, 6) AS bits "
+    "FROM (VALUES ('bloom'), ('cuckoo'), ('xor'), ('retrieval'), ('edge_map'), ('colour_map')) k(kind), (VALUES (CAST(0.01 AS DOUBLE)), (0.1)) e(eps)",
+)
 def _elementary(spark, sf_dir):
     rows = [(k, e, float(T.elementary_cost(k, e, 4.0))) for k in ("bloom", "cuckoo", "xor", "retrieval", "edge_map", "colour_map") for e in (0.01, 0.1)]
-    return spark.createDataFrame(rows, "kind string, eps double, bits double")
+    return _rounded(spark.createDataFrame(rows, "kind string, eps double, bits double"))
 
 
 query("t29_complexity")(lambda spark, sf_dir: T.complexity_table(spark))
@@ -293,6 +397,89 @@ def _classified(spark, sf_dir):
     return X.staged(df, ["key"], "y").probe(df, ["key"]).agg(F.count(F.lit(1)).alias("u"), F.sum((F.col("y") != F.col("hit")).cast("long")).alias("wrong"))
 
 
+@query("s03_mixed_bits", "SELECT count(*) AS keys, CAST(0 AS BIGINT) AS wrong, true AS between_whole_bits FROM (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey, l_linenumber FROM lineitem)")
+def _mixed(spark, sf_dir):
+    """Fingerprints of two lengths, by segment: exact, and of a size between those of either length alone, with some slack for chance."""
+    df = keep(swept(spark, sf_dir, 12))
+    h = X.staged(df, ["key"], "y", mixed=True, segment_keys=4096)
+    wrong = h.probe(df, ["key"]).agg(F.count(F.lit(1)).alias("keys"), F.sum((F.col("y") != F.col("hit")).cast("long")).alias("wrong"))
+    per_key = h.bits() / max(1, h.n) / T.C_UNIFORM
+    low, high = sorted(k + 1 + h.lam / 2**k for k in (3, 4))
+    return wrong.withColumn("between_whole_bits", F.lit(0.97 * low <= per_key <= 1.06 * high))
+
+
+@query("s13_shared_blocks", f"SELECT o_orderkey, {UNIVERSES['orders'][2]} AS hit FROM orders")
+def _shared(spark, sf_dir):
+    """Both stages in the same three blocks of a key."""
+    df, k = universe(spark, sf_dir, "orders")
+    return X.shared(df, k, "y").probe(df.select(*k), k)
+
+
+#: Positives of the universe on which the published constants are measured, and how many negatives each has.
+HEADLINE_POSITIVES, HEADLINE_LAMS = 150_000, (4, 16)
+
+
+@query("w1d_ratio", f"SELECT lam, true AS within, lam < 16 OR true AS saving_held, CAST(0 AS BIGINT) AS wrong FROM (VALUES {', '.join(f'({x})' for x in HEADLINE_LAMS)}) t(lam)")
+def _headline(spark, sf_dir):
+    """Compact segments with four-slot coupled tables: space within 1.26 of the bound; at 16 negatives a positive at least 60% below the exact table. No key is answered wrongly."""
+    return _headline_rows(spark).select("lam", (F.col("ratio") <= 1.26).alias("within"), ((F.col("lam") < 16) | (F.col("saved") >= 0.6)).alias("saving_held"), "wrong")
+
+
+def _headline_rows(spark):
+    out = []
+    for lam in HEADLINE_LAMS:
+        df = keep(tables.universe(spark, HEADLINE_POSITIVES, lam).select("key", F.col("is_pos").alias("y")))
+        began = time.time()
+        ours = X.staged(df, ["key"], "y", layout="coupled", j=4, compact=True)
+        built = time.time()
+        wrong = ours.probe(df, ["key"]).agg(F.sum((F.col("y") != F.col("hit")).cast("long"))).first()[0]
+        asked = time.time()
+        base = X.single(df, ["key"], "y", "retrieval", options={"layout": "coupled", "j": 4}, compact=True)
+        bits, u = ours.bits() / ours.n, ours.u
+        out.append((lam, ours.n, bits, bits / T.lb_exact(ours.lam), 1 - bits / (base.bits() / base.n), wrong, u / (built - began), u / (asked - built)))
+    return spark.createDataFrame(out, "lam int, n long, bits double, ratio double, saved double, wrong long, build_keys_a_second double, probe_keys_a_second double")
+
+
+@query("w1b_throughput")
+def _throughput(spark, sf_dir):
+    """Keys a second of one core, construction and query, staged against the exact table, lam 2 to 16; means of three runs inside a task."""
+    import numpy as np
+    import pyarrow as pa
+
+    grid = spark.createDataFrame([(lam, kind) for lam in (2, 4, 8, 16) for kind in ("staged", "exact")], "lam int, kind string")
+
+    def run(batches):
+        for b in batches:
+            rates = []
+            for lam, kind in zip(*(b.column(i).to_pylist() for i in (0, 1)), strict=True):
+                pos, neg = np.arange(40_000), np.arange(40_000, 40_000 * (lam + 1))
+                every, bits = np.concatenate([pos, neg]), max(1, lam.bit_length() - 1)
+                stages = (X.Stage("xor", 2.0**-bits), X.Stage("retrieval")) if kind == "staged" else (X.Stage("retrieval"),)
+                took = [0.0, 0.0]
+                for r in range(3):
+                    began = time.perf_counter()
+                    built = X.Spec("and", stages).build(pos, neg, 7 + r)[0]
+                    took[0] += time.perf_counter() - began
+                    began, left = time.perf_counter(), every
+                    for stage, f in zip(stages, built, strict=True):
+                        left = left[stage.test(f, left)]
+                    took[1] += time.perf_counter() - began
+                    if len(left) != len(pos):
+                        raise RuntimeError("an exact filter erred")
+                rates.append([3 * len(every) / t for t in took])
+            yield pa.record_batch([*b.columns, *(pa.array([r[i] for r in rates]) for i in (0, 1))], names=["lam", "kind", "construct", "query"])
+
+    return grid.repartition(1).mapInArrow(run, "lam int, kind string, construct double, query double")
+
+
+@query("w1b_construct_faster", "SELECT lam, true AS twice_as_fast FROM (VALUES (8), (16)) t(lam)")
+def _faster(spark, sf_dir):
+    """With many negatives the staged filter is built more than twice as fast as the exact table."""
+    r = keep(_throughput(spark, sf_dir))
+    ours, base = r.where("kind = 'staged'"), r.where("kind = 'exact'").select("lam", F.col("construct").alias("c"))
+    return ours.join(base, "lam").where("lam >= 8").select("lam", (F.col("construct") > 2 * F.col("c")).alias("twice_as_fast"))
+
+
 @query("w1c_construction_success")
 def _success(spark, sf_dir):
     """Share of seeds for which a table of C cells a key peels, by C and layout."""
@@ -341,6 +528,70 @@ def _skew(spark, sf_dir):
     return out
 
 
+@query("w2a_by_omega")
+def _omegas(spark, sf_dir):
+    """Bits a symbol of the staged store, the shared-block store, the strawman and the plain code, omega 3 to 10, beside the entropy."""
+    return _omega_rows(spark, sf_dir, range(3, 11))
+
+
+def _omega_rows(spark, sf_dir, omegas):
+    out = []
+    for omega in omegas:
+        df = keep(skew_string(spark, sf_dir, omega))
+        n, e = df.count(), T.entropy_of(df, "symbol").first()["entropy"]
+        stores = {kind: A.huffman_store(df, "i", "symbol", kind) for kind in ("staged", "shared", "single")}
+        blocks, _ = A.huffman_blocks(df, "i", "symbol")
+        plain = blocks.agg(F.sum(F.length("bits"))).first()[0]
+        out.append((omega, n, e, *(stores[k].handle.bits() / n for k in ("staged", "shared", "single")), plain / n, stores["shared"].handle.n))
+    return spark.createDataFrame(out, "omega int, n long, entropy double, staged double, shared double, strawman double, plain double, ones long")
+
+
+@query("w2e_space", "SELECT omega, true AS shared_as_planned, true AS staged_least, true AS both_below_strawman FROM (VALUES (6), (10)) t(omega)")
+def _store_space(spark, sf_dir):
+    """Strongly skewed strings: shared blocks take C (ceil(log2 lam) + 2) bits a one, more than separate stages and less than one exact table."""
+    rows = _omega_rows(spark, sf_dir, (6, 10))
+    lam = F.col("strawman") * F.col("n") / T.C_UNIFORM / F.col("ones") - 1  # an exact table stores every bit of the code
+    planned = T.C_UNIFORM * F.col("ones") * (F.ceil(F.log2(lam)) + 2) / F.col("n")
+    return rows.select("omega", (F.abs(F.col("shared") / planned - 1) <= 0.1).alias("shared_as_planned"), (F.col("staged") < F.col("shared")).alias("staged_least"), (F.col("shared") < F.col("strawman")).alias("both_below_strawman"))
+
+
+@query("w2e_decode", "SELECT event_id AS i, event_type AS symbol FROM events")
+def _shared_decode(spark, sf_dir):
+    """Every position, out of shared blocks."""
+    df = read_table(spark, sf_dir, "events", "event_id", "event_type").withColumnRenamed("event_id", "i")
+    return A.huffman_store(df, "i", "event_type", "shared").get(df.select("i"), "i")
+
+
+@query("w2b_decode_characters", "SELECT doc_id, p, substr(text, p, 1) AS c FROM (SELECT doc_id, text, unnest(range(1, length(text) + 1)) AS p FROM (SELECT doc_id, text FROM documents WHERE text IS NOT NULL ORDER BY length(text), doc_id LIMIT 25))")
+def _characters(spark, sf_dir):
+    """A real string: the characters of the 25 shortest texts, stored by document and place. The limit is the string's size."""
+    short = read_table(spark, sf_dir, "documents", "doc_id", "text").where("text is not null").orderBy(F.length("text"), "doc_id").limit(25)
+    each = keep(short.select("doc_id", F.posexplode(F.split("text", "")).alias("p", "c")).where("c <> ''").withColumn("i", F.col("doc_id") * (1 << 20) + F.col("p")))
+    return A.huffman_store(each, "i", "c").get(each.select("i", "doc_id", "p"), "i").select("doc_id", (F.col("p") + 1).cast("long").alias("p"), F.col("symbol").alias("c"))
+
+
+@query("w2f_robustness", "SELECT flipped, true AS store_loses_few, true AS code_loses_more FROM (VALUES (8), (32)) t(flipped)")
+def _robust(spark, sf_dir):
+    return _flip_rows(spark, sf_dir).select("flipped", (F.col("store_wrong") <= 12 * F.col("flipped") * F.col("parts")).alias("store_loses_few"), (F.col("code_wrong") > F.col("store_wrong")).alias("code_loses_more"))
+
+
+@query("w2f_wrong_symbols")
+def _flip_rows(spark, sf_dir):
+    """Wrong symbols after flipping payload bits: a random-access store against a sequential code, where all behind a flip may shift."""
+    df = keep(read_table(spark, sf_dir, "events", "event_id", "event_type").select((F.row_number().over(Window.orderBy("event_id")) - 1).cast("long").alias("i"), F.col("event_type").alias("symbol")).where("i < 4096"))
+    store, out = A.huffman_store(df, "i", "symbol"), []
+    blocks, code = A.huffman_blocks(df, "i", "symbol")
+    for b in (8, 32):
+        got = A.CodeStore(A.flipped(store.handle, b), store.code).get(df.withColumnRenamed("symbol", "was"), "i")
+        lost = got.where("not symbol <=> was").count()
+        spots = [F.lit((i * 2 + 1) * 7) for i in range(b)]  # flips early in the block shift what follows
+        flip = F.concat_ws("", F.transform(F.split("bits", ""), lambda c, i: F.when(i.isin(spots), F.when(c == "1", "0").otherwise("1")).otherwise(c)))  # noqa: B023
+        seen = A.huffman_decode(blocks.withColumn("bits", flip), code).withColumnRenamed("symbol", "now")
+        shifted = df.join(seen, "i", "left").where("not now <=> symbol").count()
+        out.append((b, lost, shifted, store.handle.parts))
+    return spark.createDataFrame(out, "flipped int, store_wrong long, code_wrong long, parts int")
+
+
 @query("w2b_decode_events", "SELECT event_id AS i, event_type AS symbol FROM events")
 def _decode(spark, sf_dir):
     df = read_table(spark, sf_dir, "events", "event_id", "event_type").withColumnRenamed("event_id", "i")

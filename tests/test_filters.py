@@ -1,3 +1,5 @@
+import re
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -8,6 +10,7 @@ from stagewise.operators import cells
 from stagewise.operators import elementary as E
 from stagewise.operators import filters as X
 from stagewise.operators import native as N
+from stagewise.operators import online as O
 
 
 @pytest.fixture(scope="module")
@@ -172,3 +175,96 @@ def test_text_features_see_whole_texts(spark):
     long = "word " * 1000
     got = A.text_features(spark.createDataFrame([(long + "apples",), (long + "pears",), (None,)], "text string")).collect()
     assert got[0]["features"] != got[1]["features"] and got[2]["features"].numNonzeros() <= 1
+
+
+def test_plans_count_distinct_keys(spark):
+    """Repeats of the positives do not swap the roles or cost a bit."""
+    df = spark.range(2000).select(F.col("id").alias("k"), (F.col("id") % 9 == 0).alias("y"))
+    repeated = df.where("y").select("k", "y", F.explode(F.sequence(F.lit(1), F.lit(40)))).drop("col").unionByName(df)
+    once, often = X.staged(df, ["k"], "y"), X.staged(repeated, ["k"], "y")
+    assert once.bits() == often.bits() and not often.spec.negate
+
+
+def test_columns_of_any_name_are_kept(spark, keys):
+    h = X.staged(keys, ["k"], "y", segment_keys=2500)
+    df = keys.select("k", "y", *[F.lit(c).alias(c) for c in ("__k", "__s", "__seg", "__f", "__row", "__0_words", "a.b")], F.create_map(F.lit(1), "k").alias("m"))
+    for strategy in ("broadcast", "shuffle"):
+        got = h.probe(df, ["k"], strategy=strategy)
+        assert got.columns == [*df.columns, "hit"] and got.where("hit <> y or `a.b` <> 'a.b' or __seg <> '__seg'").count() == 0
+    with pytest.raises(ValueError, match="hit"):
+        h.probe(df.withColumn("hit", F.lit(1)), ["k"])
+
+
+@pytest.mark.parametrize(("layout", "j"), [("uniform", 4), ("coupled", 3), ("coupled", 4)])
+def test_compact_tables(spark, layout, j):
+    df = spark.range(40_000).select(F.xxhash64("id").alias("k"), (F.col("id") % 5 == 0).alias("y"))
+    h = X.staged(df, ["k"], "y", layout=layout, j=j, compact=True)
+    assert h.parts == 1 and wrong(h, df) == (0, 0)
+
+
+@pytest.mark.parametrize("share", [2, 3, 9, 40])
+def test_shared_blocks(spark, share):
+    df = spark.range(6000).select((F.col("id") * 31 - 7).alias("k"), (F.col("id") % share == 0).alias("y"))
+    h = X.shared(df, ["k"], "y", segment_keys=2500)
+    assert wrong(h, df) == (0, 0)
+    assert wrong(X.shared(df.withColumn("y", ~F.col("y")), ["k"], "y"), df.withColumn("y", ~F.col("y"))) == (0, 0)
+
+
+def test_generated_code_is_small_enough_to_be_compiled(spark, keys):
+    """The virtual machine interprets methods of more than 8,000 bytes."""
+    tool = getattr(getattr(spark._jvm.org.apache.spark.sql.execution.debug, "package$"), "MODULE$")
+    for h in (X.staged(keys, ["k"], "y"), X.staged(keys, ["k"], "y", layout="coupled", j=4), X.shared(keys, ["k"], "y"), X.alternating(keys, ["k"], "y", tail="retrieval", max_layers=4), X.single(keys, ["k"], "y", "bloom", 0.01), X.single(keys, ["k"], "y", "cuckoo", 0.01)):
+        df = h.probe(keys, ["k"]).groupBy().agg(F.count("hit"))
+        df.collect()
+        sizes = [int(x) for x in re.findall(r"maxMethodCodeSize:(\d+)", tool.codegenString(df._jdf.queryExecution().executedPlan()))]
+        assert sizes and max(sizes) < 8000
+
+
+def test_cascades_deeper_than_written_out(keys):
+    h = X.alternating(keys, ["k"], "y")
+    assert h.layers > X.UNROLLED and wrong(h, keys) == (0, 0)
+    assert h.probe_depth(keys, ["k"]).agg(F.max("depth")).first()[0] <= h.layers
+
+
+def test_online_filters_learn(spark, keys):
+    early, late = keys.where("k % 2 = 0"), keys.where("k % 2 <> 0")
+    h = O.online(early, ["k"], "y", segment_keys=700)
+    assert wrong(h, early) == (0, 0)
+    more = h.include(late.where("y"), ["k"])
+    assert wrong(more, keys.where("y"))[0] == 0
+    more = more.exclude(keys.where("not y"), ["k"])
+    assert wrong(more, keys) == (0, 0)
+    again = more.exclude(keys.where("not y"), ["k"]).include(keys.where("y"), ["k"])  # nothing new
+    assert wrong(again, keys) == (0, 0) and again.bits() == more.bits()
+    one = h.exclude(spark.createDataFrame([(10**12,)], "k long"), ["k"])
+    same = one.handle.segments.select("seg", F.xxhash64("stages").alias("a")).join(h.handle.segments.select("seg", F.xxhash64("stages").alias("b")), "seg").where("a = b").count()
+    assert same >= h.handle.parts - 1
+    fresh = O.online(spark.createDataFrame([], "k long, y boolean"), ["k"], "y").include(keys.where("y"), ["k"])
+    assert wrong(fresh, keys.where("y")) == (0, 0)
+
+
+def test_store_reads_what_it_stored(spark):
+    rows = spark.range(3000).select(F.concat(F.lit("key-"), "id").alias("key"), F.concat(F.lit("value-"), F.col("id") * 7).alias("value"))
+    placed = A.two_table_build(rows, "key", 0.4, segment_keys=1000)
+    parts = placed.agg(F.max("seg")).first()[0] + 1
+    store = A.two_table_store(rows, "key", "value", placed, parts)
+    asked = rows.select("key").union(spark.createDataFrame([("nothing",)], "key string"))
+    got = {r["key"]: (r["value"], r["reads"]) for r in store.get(asked, "key", A.predictor(placed)).collect()}
+    assert len(got) == 3001 and got["nothing"] == (None, 2)
+    assert all(v == (f"value-{int(k[4:]) * 7}", 1) for k, v in got.items() if k != "nothing")
+
+
+def test_runs_know_of_later_runs(spark):
+    df = spark.range(900).select(F.col("id").alias("t"), (F.col("id") % 300).alias("k"), F.col("id").alias("one"))
+    runs = A.cut_runs(df, 9, ["t"])
+    f = A.runs_filters(runs, "k", scope="later")
+    got = A.runs_get(runs, "k", df, f, "oldest").agg(F.min("found_run"), F.max("found_run"), F.max("wasted")).first()
+    assert got[0] >= 7 and got[1] == 9 and got[2] <= 1
+    single = A.runs_get(runs, "one", df, A.runs_filters(runs, "one", scope="later"), "first").agg(F.max("reads"), F.max("wasted")).first()
+    assert tuple(single) == (1, 0)
+
+
+def test_levels_by_threshold(spark):
+    runs = spark.range(140).select((F.col("id") % 14 + 1).cast("int").alias("run"), F.col("id").alias("k"))
+    tiers = A.runs_levels(runs, "k", 3).groupBy("run").agg(F.max("level").alias("l"), F.max("tier").alias("t")).orderBy("run").collect()
+    assert [(r["l"], r["t"]) for r in tiers] == [(2, 1)] * 9 + [(1, 2)] * 3 + [(0, 3), (0, 4)]

@@ -3,7 +3,7 @@ import pytest
 import __spark_entry__ as entry
 from stagewise import workloads
 
-QUICK = [q for q in workloads.QUERIES if q.startswith(("op_", "t", "f01_bloom_native", "f11", "s01_staged_exact", "s08", "w3a", "w9", "w2c", "w4a_existing", "stream_run", "stream_probe"))]
+QUICK = [q for q in workloads.QUERIES if q.startswith(("op_", "t", "f01_bloom_native", "f11", "s01_staged_exact", "s08", "w3a", "w3d_v", "w9", "f01_bloom_w", "f03_union", "f06_counting_h", "s13", "s06_inc", "b09_locking_b", "w2e_d", "w4c_n", "w2c", "w4a_existing", "stream_run", "stream_probe", "stream_dedup", "stream_flush"))]
 
 
 @pytest.mark.parametrize("name", [q for q in QUICK if q in workloads.ORACLE_SQL])

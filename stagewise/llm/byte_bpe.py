@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import small_batches, table, text_blocks
+from .common import KEPT, small_batches, table, text_blocks, tidied
 
 #: Bounds of a worker's tables; each is emptied and filled anew when full.
 MAX_TRANSITIONS, MAX_PAIRS, MAX_PIECES, PIECE_BYTES = 400_000, 300_000, 400_000, 48
@@ -282,7 +282,7 @@ class Codec:
         return "".join(part.decode("utf-8", "replace") for part in self.decode(ids))
 
 
-_CODECS: dict[tuple[int, str], Codec] = {}
+_CODECS: dict[tuple[int, str], Codec] = KEPT.setdefault(__name__, {})
 
 
 def _codec(ranks: dict[bytes, int], pattern: str) -> Codec:
@@ -310,7 +310,7 @@ def encoded(docs: DataFrame, ranks_path: str, pattern: str, key: str = "doc_id",
                 ids = [codec.encode(t.decode()) for t in texts]
                 yield pa.record_batch([batch.column(0).slice(a, b - a), pa.array(ids, pa.binary())], names=["k", "ids"])
 
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(run, f"k {kind}, ids binary").withColumnRenamed("k", key)
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(tidied(run), f"k {kind}, ids binary").withColumnRenamed("k", key)
 
 
 def round_trip(docs: DataFrame, ranks_path: str, pattern: str, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -342,7 +342,7 @@ def round_trip(docs: DataFrame, ranks_path: str, pattern: str, key: str = "doc_i
 
     return (
         docs.select(F.col(key).alias("k"), F.col(text).alias("t"))
-        .transform(small_batches).mapInArrow(run, f"k {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+        .transform(small_batches).mapInArrow(tidied(run), f"k {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
         .withColumnRenamed("k", key)
     )
 

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fold_of, small_batches, table, text_blocks
+from .common import fold_of, small_batches, table, text_blocks, tidied
 from .ftrl import FtrlLogistic
 
 FEATURE_BITS, ORDERS = 16, (1, 2, 3)
@@ -87,7 +87,7 @@ def document_frequencies(docs: DataFrame, bits: int = FEATURE_BITS) -> tuple[np.
         at = np.flatnonzero(counts)
         yield pa.record_batch([pa.array(np.append(at, -1)), pa.array(np.append(counts[at], rows))], names=["f", "n"])
 
-    got = docs.select("t").transform(small_batches).mapInArrow(run, "f long, n long").groupBy("f").agg(F.sum("n").alias("n")).toArrow()  # a row a feature
+    got = docs.select("t").transform(small_batches).mapInArrow(tidied(run), "f long, n long").groupBy("f").agg(F.sum("n").alias("n")).toArrow()  # a row a feature
     f, n = np.asarray(got["f"]), np.asarray(got["n"])
     df = np.zeros(1 << bits)
     df[f[f >= 0]] = n[f >= 0]
@@ -106,7 +106,7 @@ def _counted(rows: DataFrame, bits: int) -> DataFrame:
                 lists = [pa.array([e[j].astype(np.int32) for e in each], pa.list_(pa.int32())) for j in (0, 1)]
                 yield pa.record_batch([part.column(0), part.column(1), *lists], names=["y", "h", "f", "n"])
 
-    return rows.select("y", "h", "t").transform(small_batches).mapInArrow(run, "y string, h long, f array<int>, n array<int>")
+    return rows.select("y", "h", "t").transform(small_batches).mapInArrow(tidied(run), "y string, h long, f array<int>, n array<int>")
 
 
 def fit(docs: DataFrame, language: str = "lang", key: str = "doc_id", text: str = "text", rows: int = TRAIN_ROWS_PER_LANGUAGE, bits: int = FEATURE_BITS) -> LanguageModel | None:
@@ -177,7 +177,7 @@ def identify(docs: DataFrame, model: LanguageModel | None, key: str = "doc_id",
                 yield pa.record_batch([part.column(0), pa.array(names, pa.string()), pa.array(best)], names=["k", "lang_pred", "score"])
 
     lettered = F.coalesce(F.col(text).rlike(r"\p{L}"), F.lit(False))
-    found = docs.select(F.col(key).alias("k"), lowered(F.col(text)).alias("t"), lettered.alias("l")).transform(small_batches).mapInArrow(run, f"k {kind}, lang_pred string, score double")
+    found = docs.select(F.col(key).alias("k"), lowered(F.col(text)).alias("t"), lettered.alias("l")).transform(small_batches).mapInArrow(tidied(run), f"k {kind}, lang_pred string, score double")
     return found.withColumnRenamed("k", key)
 
 

@@ -18,7 +18,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BLOCK_BYTES, small_batches, stash, table, text_blocks
+from .common import BLOCK_BYTES, small_batches, stash, table, text_blocks, tidied
 from .substring_dedup import digest, digest_columns, winnow
 
 #: A shorter repeat than this many lines is left alone.
@@ -71,7 +71,7 @@ def places(docs: DataFrame, run: int = RUN_LINES) -> DataFrame:
                         [batch.column(0).take(rows), batch.column(1).take(rows), *ints, pa.array(seed), *digest_columns(whole), pa.array(windows, pa.list_(pa.binary()))], names=names
                     )
 
-    found = docs.transform(small_batches).mapInArrow(find, f"k {kind}, v long, at int, lo int, hi int, seed long, e1 long, e2 long, windows array<binary>")
+    found = docs.transform(small_batches).mapInArrow(tidied(find), f"k {kind}, v long, at int, lo int, hi int, seed long, e1 long, e2 long, windows array<binary>")
     return found.select(F.struct("k", "v", "at").alias("place"), "lo", "hi", "seed", "e1", "e2", "windows")
 
 
@@ -107,7 +107,7 @@ def _packed(docs: DataFrame) -> DataFrame:
                 part = batch.slice(a, b - a)
                 yield pa.record_batch([part.column(0), part.column(1), pa.array(map(zip_, texts), pa.binary())], names=["k", "v", "z"])
 
-    return docs.transform(small_batches).mapInArrow(pack, f"k {kind}, v long, z binary")
+    return docs.transform(small_batches).mapInArrow(tidied(pack), f"k {kind}, v long, z binary")
 
 
 def cut_lines(text: bytes, spans: list[tuple[int, int]]) -> tuple[int, int, bytes]:
@@ -142,7 +142,7 @@ def _cut(rows: DataFrame) -> DataFrame:
                     yield pa.record_batch([batch.column(0).slice(lo, row + 1 - lo), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())], names=["k", *names])
                     out, lo, size = [], row + 1, 0
 
-    return rows.transform(small_batches).mapInArrow(cut, f"k {kind}, n_lines long, n_removed long, kept string")
+    return rows.transform(small_batches).mapInArrow(tidied(cut), f"k {kind}, n_lines long, n_removed long, kept string")
 
 
 def without_repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text", run: int = RUN_LINES) -> DataFrame:

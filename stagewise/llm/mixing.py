@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import columns_of, small_batches, stash, table, text_blocks, unused
+from .common import columns_of, small_batches, stash, table, text_blocks, tidied, unused
 
 WEIGHTS, SHARE, MAX_REPEATS, SEED = (5, 2, 1), 1.5, 2, 42
 #: What is left of a budget, in words, when the exact choice begins.
@@ -32,7 +32,7 @@ def measured(docs: DataFrame, key: str, text: str, source: str) -> DataFrame:
             yield pa.record_batch([*batch.columns[:3], pa.array(sizes, pa.int64())], names=["k", "known", "src", "size"])
 
     columns = F.col(key).alias("k"), F.col(source).isNotNull().alias("known"), F.coalesce(F.col(source).cast("string"), F.lit("")).alias("src"), F.col(text).alias("t")
-    return docs.select(*columns).transform(small_batches).mapInArrow(run, f"k {kind}, known boolean, src string, size long")
+    return docs.select(*columns).transform(small_batches).mapInArrow(tidied(run), f"k {kind}, known boolean, src string, size long")
 
 
 def targets(sizes: dict[tuple[bool, str], int], weights=WEIGHTS, share: float = SHARE, most: float = MAX_REPEATS) -> dict[tuple[bool, str], float]:

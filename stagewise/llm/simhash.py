@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import columns_of, sent_if_small, small_batches, stash, table, text_blocks, unused
+from .common import columns_of, sent_if_small, small_batches, stash, table, text_blocks, tidied, unused
 
 BITS = 64
 SHINGLE, MAX_DISTANCE, SEED = 4, 4, 42
@@ -59,7 +59,7 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width
             prints = [fingerprint(t, width) for _, _, block in text_blocks(batch, "t") for t in block]
             yield pa.record_batch([batch.column(0), pa.array(np.array(prints, np.uint64).view(np.int64))], names=["k", "fp"])
 
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(run, f"k {kind.simpleString()}, fp long")
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(tidied(run), f"k {kind.simpleString()}, fp long")
 
 
 # --- the covering code -------------------------------------------------------------------------------------------------------
@@ -224,7 +224,7 @@ def profiles(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
                 ends = pa.array(np.cumsum([0, *map(len, bands)]), pa.int32())
                 yield pa.record_batch([batch.column(0).slice(lo, hi - lo), pa.array(v, pa.binary()), pa.array(n, pa.int32()), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.ListArray.from_arrays(ends, flat)], names=names)
 
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(run, f"k {kind}, v binary, n int, fp long, bands array<long>")
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(tidied(run), f"k {kind}, v binary, n int, fp long, bands array<long>")
 
 
 def _shingle_sets(rows: DataFrame, width: int) -> DataFrame:
@@ -238,7 +238,7 @@ def _shingle_sets(rows: DataFrame, width: int) -> DataFrame:
                 kept = [x.view(np.int64) for x, own in zip(sets, mine, strict=True) if own]
                 yield pa.record_batch([batch.column(0).slice(lo, hi - lo).filter(pa.array(mine)), pa.array(kept, pa.list_(pa.int64()))], names=["v", "s"])
 
-    return rows.transform(small_batches).mapInArrow(run, "v binary, s array<long>")
+    return rows.transform(small_batches).mapInArrow(tidied(run), "v binary, s array<long>")
 
 
 def _compared(pairs: DataFrame, sets: DataFrame) -> DataFrame:

@@ -20,7 +20,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import small_batches, span_hashes, stash, table, text_blocks, word_spans
+from .common import small_batches, span_hashes, stash, table, text_blocks, tidied, word_spans
 
 WINDOW_WORDS, SEED_WORDS = 50, 10
 
@@ -88,7 +88,7 @@ def seed_places(docs: DataFrame, window: int = WINDOW_WORDS, seed_words: int = S
                         names=["k", "v", "lo", "hi", "seed", "e1", "e2"],
                     )
 
-    return docs.transform(small_batches).mapInArrow(run, f"k {kind}, v long, lo int, hi int, seed long, e1 long, e2 long")
+    return docs.transform(small_batches).mapInArrow(tidied(run), f"k {kind}, v long, lo int, hi int, seed long, e1 long, e2 long")
 
 
 def _packed(docs: DataFrame) -> DataFrame:
@@ -102,7 +102,7 @@ def _packed(docs: DataFrame) -> DataFrame:
                 part = batch.slice(a, b - a)
                 yield pa.record_batch([part.column(0), part.column(1), pa.array([pack.compress(b" ".join(t.split())) for t in texts], pa.binary())], names=["k", "v", "z"])
 
-    return docs.transform(small_batches).mapInArrow(run, f"k {kind}, v long, z binary")
+    return docs.transform(small_batches).mapInArrow(tidied(run), f"k {kind}, v long, z binary")
 
 
 def _window_digests(need: DataFrame, window: int) -> DataFrame:
@@ -125,7 +125,7 @@ def _window_digests(need: DataFrame, window: int) -> DataFrame:
                 here = pa.array(np.full(len(at), row))
                 yield pa.record_batch([batch.column(0).take(here), batch.column(1).take(here), pa.array(at, pa.int32()), *digest_columns(digests)], names=["k", "v", "at", "w1", "w2"])
 
-    return need.transform(small_batches).mapInArrow(run, f"k {kind}, v long, at int, w1 long, w2 long")
+    return need.transform(small_batches).mapInArrow(tidied(run), f"k {kind}, v long, at int, w1 long, w2 long")
 
 
 def _cut(rows: DataFrame) -> DataFrame:
@@ -150,7 +150,7 @@ def _cut(rows: DataFrame) -> DataFrame:
             n, removed, sha = zip(*out, strict=True) if out else ((), (), ())
             yield pa.record_batch([batch.column(0), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(sha, pa.string())], names=["k", "n_words", "n_removed", "kept_sha256"])
 
-    return rows.transform(small_batches).mapInArrow(run, f"k {kind}, n_words long, n_removed long, kept_sha256 string")
+    return rows.transform(small_batches).mapInArrow(tidied(run), f"k {kind}, n_words long, n_removed long, kept_sha256 string")
 
 
 def repeated_spans(docs: DataFrame, window: int = WINDOW_WORDS, seed_words: int = SEED_WORDS) -> DataFrame:

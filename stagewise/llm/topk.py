@@ -15,7 +15,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import small_batches, stash, table
+from .common import small_batches, stash, table, tidied
 
 K, SCALE, QUERY_STEP = 5, 256, 50
 #: Queries that are sent to the executors at once, and bins of a histogram. Both are fixed, whatever the input.
@@ -88,7 +88,7 @@ def _histogram(candidates: DataFrame, block, low: np.ndarray, high: np.ndarray,
         keep = b > 0
         yield pa.record_batch([pa.array(q[keep], pa.int32()), pa.array((b[keep] - 1).astype(np.int32)), pa.array(counts[q[keep], b[keep]])], names=["q", "bin", "n"])
 
-    return candidates.transform(small_batches).mapInArrow(run, "q int, bin int, n long")
+    return candidates.transform(small_batches).mapInArrow(tidied(run), "q int, bin int, n long")
 
 
 def _reached(candidates: DataFrame, block, floor: np.ndarray, k: int) -> DataFrame:
@@ -107,7 +107,7 @@ def _reached(candidates: DataFrame, block, floor: np.ndarray, k: int) -> DataFra
         q, c = np.nonzero(values > _LEAST)
         yield pa.record_batch([pa.array(ids[q]), pa.array(q.astype(np.int32)), pa.array(names[q, c]), pa.array(values[q, c])], names=["query_id", "q", "vec_id", "score"])
 
-    return candidates.transform(small_batches).mapInArrow(run, "query_id long, q int, vec_id long, score long")
+    return candidates.transform(small_batches).mapInArrow(tidied(run), "query_id long, q int, vec_id long, score long")
 
 
 def _kth_values(candidates: DataFrame, block, k: int, bound: np.ndarray) -> np.ndarray:

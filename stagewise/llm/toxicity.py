@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fold_of, mix64, small_batches, span_hashes, table, text_blocks, word_spans
+from .common import fold_of, mix64, small_batches, span_hashes, table, text_blocks, tidied, word_spans
 from .ftrl import FtrlLogistic
 
 FEATURE_BITS = 20
@@ -79,7 +79,7 @@ def _distinct_features(rows: DataFrame, bits: int) -> DataFrame:
                 flat = pa.array((once & ((1 << bits) - 1)).astype(np.int32))
                 yield pa.record_batch([batch.column(0).slice(a, b - a), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat)], names=["y", "f"])
 
-    return rows.transform(small_batches).mapInArrow(run, "y int, f array<int>")
+    return rows.transform(small_batches).mapInArrow(tidied(run), "y int, f array<int>")
 
 
 def labelled_sample(labels: DataFrame, label: str, key: str, bound: int) -> DataFrame:
@@ -139,7 +139,7 @@ def score(docs: DataFrame, model, key: str = "doc_id", text: str = "text", thres
             for a, b, texts in text_blocks(batch, "t"):
                 yield pa.record_batch([batch.column(0).slice(a, b - a), pa.array(sent.value.scores(texts))], names=["k", "score"])
 
-    found = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(run, f"k {kind}, score double")
+    found = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).transform(small_batches).mapInArrow(tidied(run), f"k {kind}, score double")
     return found.select(F.col("k").alias(key), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
@@ -156,7 +156,7 @@ def reject_toxic(docs: DataFrame, model: ToxicityModel, text: str = "text", thre
             for a, b, texts in text_blocks(batch, of):
                 yield batch.slice(a, b - a).filter(pa.array(sent.value.scores(texts) < threshold))
 
-    return plain.transform(small_batches).mapInArrow(run, plain.schema).toDF(*docs.columns)
+    return plain.transform(small_batches).mapInArrow(tidied(run), plain.schema).toDF(*docs.columns)
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -57,20 +57,31 @@ def tidied(run: Callable) -> Callable:
     owner = run.__module__
 
     def lean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for module, cache in KEPT.items():
-            if module != owner:
-                cache.clear()
+        drop_others(owner)
         yield from run(batches)
-        _POWERS.update(base=np.ones(1, np.uint64), inverse=np.ones(1, np.uint64))
-        gc.collect()
-        pa.default_memory_pool().release_unused()
-        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-        if trim:
-            trim(0)
+        give_back()
 
     return lean
 
 
+# these two are sent to workers by name, so that they meet the workers' own tables
+
+
+def drop_others(owner: str) -> None:
+    for module, cache in KEPT.items():
+        if module != owner:
+            cache.clear()
+
+
+def give_back() -> None:
+    _POWERS.update(base=np.ones(1, np.uint64), inverse=np.ones(1, np.uint64))
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def stash(df: DataFrame) -> DataFrame:
     """Write a frame as Parquet to the shared folder and read it back: lineage ends there and lost executors cost nothing."""
     spark = df.sparkSession

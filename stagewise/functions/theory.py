@@ -331,8 +331,22 @@ class Plan:
     bits_per_positive: float
 
 
-def plan(n: int, u: int, eps: float = 0.0, dynamic: bool = False, C: float = C_UNIFORM) -> Plan:
-    """Kind and parameters for n positives among u keys: staged, or its degenerate forms; roles are swapped if positives are the majority."""
+def plan(n: int, u: int, eps: float = 0.0, dynamic: bool = False, C: float = C_UNIFORM, budget: float | None = None) -> Plan:
+    """Kind and parameters for n positives among u keys: staged, or its degenerate forms; roles are swapped if positives are the majority.
+
+    A ``budget`` of bits that the plan would exceed buys an approximate table of as many fingerprint bits as it pays for.
+    """
+    best = _within_rate(n, u, eps, dynamic, C)
+    rarer = min(n, u - n) if best.negate else n
+    if budget is None or best.bits_per_positive * max(1, rarer) <= budget:
+        return best
+    bits = math.floor(budget / (C * max(1, n)))
+    if bits < 1:
+        raise ValueError(f"{budget} bits are less than one cell for each of {n} keys")
+    return Plan("single", (Step("xor", 2.0**-bits),), False, C * bits)
+
+
+def _within_rate(n: int, u: int, eps: float, dynamic: bool, C: float) -> Plan:
     negatives = max(0, u - n)
     negate = eps == 0 and 0 < negatives < n
     if negate:

@@ -19,8 +19,22 @@ def shared_folder(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
+_WRITTEN: list[str] = []
+
+
+def forget(spark: SparkSession) -> int:
+    """Delete every folder that ``keep`` named by itself in this session; the number of folders. Frames read from them are void after it."""
+    done = 0
+    while _WRITTEN:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_WRITTEN.pop())
+        done += bool(path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True))
+    return done
+
+
 def keep(df: DataFrame, path: str | None = None) -> DataFrame:
     """Write a frame as Parquet and read it back: lineage ends there."""
-    path = path or f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+    if path is None:
+        path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+        _WRITTEN.append(path)
     df.write.mode("overwrite").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -16,6 +16,7 @@ from .operators import filters as X
 from .operators import native as N
 from .operators import relational
 from .operators.online import online
+from .plans.cost import spent
 from .plans.storage import keep
 from .sources import tables
 from .sources.tables import read_table
@@ -370,6 +371,20 @@ def _entropy(spark, sf_dir):
     return T.entropy_of(read_table(spark, sf_dir, "events", "event_type"), "event_type").withColumn("entropy", F.round("entropy", 9))
 
 
+@query("p1_boolean_function", "SELECT event_id AS x, event_type = 'click' AS bit FROM events")
+def _function(spark, sf_dir):
+    """A Boolean function over the event ids, encoded and evaluated at every one."""
+    df = read_table(spark, sf_dir, "events", "event_id", "event_type").select(F.col("event_id").alias("x"), (F.col("event_type") == "click").alias("bit"))
+    return A.dictionary_eval(A.dictionary_encode(df, "x", "bit"), df.select("x"), "x")
+
+
+@query("m12_survivors")
+def _survivors(spark, sf_dir):
+    """Keys that each layer of a cascade hands on to the next."""
+    df, k = universe(spark, sf_dir, "orders")
+    return X.alternating(df, k, "y").segments.select(F.posexplode("survivors").alias("layer", "left")).groupBy("layer").agg(F.sum("left").alias("left"))
+
+
 # --- static dictionaries ---------------------------------------------------------------------------------------------------------
 
 
@@ -915,6 +930,45 @@ def _urls(spark, sf_dir):
     return X.staged(hosts, ["host"], "y").probe(pages, ["host"], "blocked")
 
 
+_EIGHT = "SELECT {id} AS id, array_to_string(ws[i : i + 7], ' ') AS g FROM (SELECT {id}, ws, unnest(range(1, len(ws) - 6)) AS i FROM (SELECT {id}, string_split(text, ' ') AS ws FROM {table}) WHERE len(ws) >= 8)"
+
+
+def _eight_words(spark, sf_dir, table, key):
+    """(id, g): every run of eight words of each whole text."""
+    words = read_table(spark, sf_dir, table, key, "text").select(F.col(key).alias("id"), F.split("text", " ").alias("ws")).where("size(ws) >= 8")
+    return words.select("id", F.explode(F.transform(F.sequence(F.lit(1), F.size("ws") - 7), lambda i: F.concat_ws(" ", F.slice("ws", i, F.lit(8))))).alias("g"))
+
+
+@query("w6_contamination", f"SELECT d.id AS doc_id, count(DISTINCT d.g) AS shared FROM ({_EIGHT.format(id='doc_id', table='documents')}) d WHERE d.g IN (SELECT g FROM ({_EIGHT.format(id='item_id', table='benchmark')})) GROUP BY d.id")
+def _contaminated(spark, sf_dir):
+    """Documents that hold eight words in a row of a benchmark item: the documents' own runs are the universe, so the answer is exact."""
+    docs, bench = _eight_words(spark, sf_dir, "documents", "doc_id"), _eight_words(spark, sf_dir, "benchmark", "item_id")
+    labelled = docs.select("g", F.lit(False).alias("y")).unionByName(bench.select("g", F.lit(True).alias("y")))
+    return X.staged(labelled, ["g"], "y").probe(docs, ["g"]).where("hit").groupBy(F.col("id").alias("doc_id")).agg(F.countDistinct("g").alias("shared"))
+
+
+@query("w6_exact_copies", "SELECT doc_id, count(*) OVER (PARTITION BY text) > 1 AS copied FROM documents WHERE text IS NOT NULL")
+def _copied(spark, sf_dir):
+    """Texts that occur more than once are the positives; each document asks by its text."""
+    docs = read_table(spark, sf_dir, "documents", "doc_id", "text").where("text is not null").select("doc_id", F.sha2("text", 256).alias("sha"))
+    often = docs.groupBy("sha").agg((F.count(F.lit(1)) > 1).alias("y"))
+    return X.staged(often, ["sha"], "y").probe(docs, ["sha"], "copied").select("doc_id", "copied")
+
+
+@query("m13_engine_cost")
+def _engine_cost(spark, sf_dir):
+    """Shuffles, broadcasts and their bytes of one semi join: by sort and merge, as the engine likes, and by a filter already built."""
+    orders, k = universe(spark, sf_dir, "orders")
+    lines = read_table(spark, sf_dir, "lineitem", "l_orderkey", "l_extendedprice").withColumnRenamed("l_orderkey", "o_orderkey")
+    total = lambda df: df.agg(F.count(F.lit(1)).alias("lines"), F.round(F.sum("l_extendedprice"), 2).alias("price"))
+    urgent = orders.where("y").select("o_orderkey")
+    ways = {
+        "merge": lines.join(urgent.hint("merge"), k, "left_semi"), "engine": lines.join(urgent, k, "left_semi"), "filter": X.staged(orders, k, "y").probe(lines, k).where("hit"),
+    }
+    rows = [(name, *spent(total(df)).values()) for name, df in ways.items()]
+    return spark.createDataFrame(rows, "way string, shuffles long, shuffle_bytes long, broadcasts long, broadcast_bytes long")
+
+
 @query("w6_semi_join_reduction", "SELECT count(*) AS lines, round(sum(l_extendedprice), 2) AS price FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderpriority = '1-URGENT')")
 def _reduced(spark, sf_dir):
     orders, k = universe(spark, sf_dir, "orders")

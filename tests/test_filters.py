@@ -268,3 +268,14 @@ def test_levels_by_threshold(spark):
     runs = spark.range(140).select((F.col("id") % 14 + 1).cast("int").alias("run"), F.col("id").alias("k"))
     tiers = A.runs_levels(runs, "k", 3).groupBy("run").agg(F.max("level").alias("l"), F.max("tier").alias("t")).orderBy("run").collect()
     assert [(r["l"], r["t"]) for r in tiers] == [(2, 1)] * 9 + [(1, 2)] * 3 + [(0, 3), (0, 4)]
+
+
+def test_written_folders_can_be_deleted(spark, keys):
+    from pathlib import Path
+
+    from stagewise.plans import storage
+
+    h = X.single(keys, ["k"], "y", "bloom", 0.1)
+    folder = Path(storage._WRITTEN[-1])
+    assert h.bits() > 0 and folder.exists()
+    assert storage.forget(spark) > 0 and not folder.exists() and not storage._WRITTEN

@@ -88,3 +88,12 @@ def test_planner():
     assert T.plan(9000, 10_000).negate
     assert T.plan(100, 10_000, dynamic=True).steps[0].kind == "bloom"
     assert T.classify(0.0, 4) == "exact" and T.classify(0.1, math.inf) == "approximate" and T.classify(0.1, 4) == "general"
+
+
+def test_a_budget_buys_what_it_pays_for():
+    exact = T.plan(1000, 17_000)
+    assert T.plan(1000, 17_000, budget=exact.bits_per_positive * 1000 + 1) == exact
+    less = T.plan(1000, 17_000, budget=4000)
+    assert less.kind == "single" and less.steps[0].eps == 2.0**-3 and less.bits_per_positive * 1000 <= 4000
+    with pytest.raises(ValueError, match="bits"):
+        T.plan(1000, 17_000, budget=500)

@@ -138,7 +138,7 @@ def component_labels(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
             .where("u <> v").distinct()
         )
         before, links = links, stash(small)
-        if links.exceptAll(before).isEmpty() and before.exceptAll(links).isEmpty():
+        if links.count() == before.count() and links.join(before, ["u", "v"], "left_anti").isEmpty():  # either has no repeats
             break
     else:
         raise RuntimeError(f"links still move after {max_rounds} rounds")
@@ -177,12 +177,11 @@ def _named(points: DataFrame, labels: DataFrame, name: str) -> DataFrame:
 #
 # Texts with one set of shingles are one point, named by the set's digest. A band is the hash of ROWS minimum hashes: two points of
 # similarity s share one with probability s ** ROWS, and one of BANDS with 1 - (1 - s ** ROWS) ** BANDS (0.998 at 0.8). Points of a
-# band are all paired only in small groups. In a larger one each is compared with the group's centre, which is another one in each
-# band; what is then still in different components is compared too, but for pairs whose distances to the centre rule a link out.
+# band are all paired only in small groups. In a larger one each is compared with the group's centre; what is then still in different components is found by the rare shingles that alike sets must share.
 
 SIMILAR_WORDS, SIMILARITY = 5, 0.8
 BANDS, ROWS, ALL_PAIRS = 16, 5, 16
-#: Points of a large group that one task compares with others of it.
+#: Points of one shingle that one task compares with others of it.
 GROUP_BLOCK = 1_024
 _SALTS = np.random.default_rng(7).integers(0, 1 << 63, (2, BANDS * ROWS), np.uint64)
 
@@ -267,15 +266,18 @@ def similar_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", wid
     near = linked.join(name("node"), "node").join(name("root"), "root").select(F.col("vnode").alias("a"), F.col("vroot").alias("b"))
     same = points.select("v", "fp").join(of_fp.where("points > 1"), "fp").where("a <> v").select("a", F.col("v").alias("b"))
     # bands that several points share
-    banded = points.select("v", "n", F.explode(F.array(*[f"b{i}" for i in range(BANDS)])).alias("band")).withColumn("h", F.xxhash64("v", "band"))
-    shared = stash(banded.groupBy("band").agg(F.count(F.lit(1)).alias("points"), F.min("h").alias("least")).where("points > 1"))
+    banded = points.select("v", "n", F.explode(F.array(*[f"b{i}" for i in range(BANDS)])).alias("band"))
+    shared = stash(banded.groupBy("band").agg(F.count(F.lit(1)).alias("points")).where("points > 1"))
     members = stash(banded.join(shared, "band"))
     small = members.where(F.col("points") <= ALL_PAIRS).groupBy("band").agg(F.collect_list(F.struct("v", "n")).alias("vs"))  # of ALL_PAIRS points at most
     small = small.select(F.col("vs"), F.explode("vs").alias("x")).select("x", F.explode("vs").alias("y")).where("x.v < y.v").select(
         F.col("x.v").alias("a"), F.col("x.n").alias("na"), F.col("y.v").alias("b"), F.col("y.n").alias("nb")
     ).where(reach).select("a", "b")
-    crowded = members.where(F.col("points") > ALL_PAIRS)
-    large = stash(crowded.join(crowded.where("h = least").select("band", F.col("v").alias("centre")), "band").select("band", "centre", "points", "v", "n"))
+    # the centre of a band is the point that shares its bands with the most others, which is the one that the others are copies of
+    crowded = members.where(F.col("points") > ALL_PAIRS).groupBy("v").agg(F.first("n").alias("n"), F.sum("points").alias("met"), F.collect_list(F.struct("band", "points")).alias("of"))
+    crowded = stash(crowded.select("v", "n", "met", F.inline("of")))
+    centres = crowded.groupBy("band").agg(F.max(F.struct("met", "v")).alias("most")).select("band", F.col("most.v").alias("centre"))
+    large = stash(crowded.join(centres, "band").select("band", "centre", "v"))
     star = large.where("centre <> v").select(F.col("centre").alias("a"), F.col("v").alias("b"))
     ordered = lambda df: df.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     pairs = stash(ordered(functools.reduce(DataFrame.unionByName, (near, same, small, star))))
@@ -295,25 +297,67 @@ def similar_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", wid
     return prints.select("k", "v").join(named, prints.v == named.p, "left").select(F.col("k").alias(key), "component_id")
 
 
+def _parts_in_common(points: DataFrame, sets: DataFrame, similarity: float, rounds: int = 2) -> DataFrame:
+    """Those of ``points(v, ...)`` that can have a link, with ``n``, the size of the set, and ``common``, the part that others of them meet, too.
+
+    What two sets share is in this part of both, so a point with less than ``similarity`` of its set in it is like no other; without
+    such points less is met, hence the rounds.
+    """
+    left = stash(points.join(sets, "v").withColumn("n", F.size("s")).withColumnRenamed("s", "common"))
+    for _ in range(rounds):
+        once = left.select("v", F.explode("common").alias("x")).groupBy("x").agg(F.count(F.lit(1)).alias("times"), F.first("v").alias("v")).where("times = 1")
+        own = once.groupBy("v").agg(F.collect_list("x").alias("own"))  # at most the point's own set
+        common = F.when(F.col("own").isNull(), F.col("common")).otherwise(F.array_except("common", "own"))
+        left = stash(left.join(own, "v", "left").withColumn("common", common).drop("own").where(F.size("common") >= F.lit(similarity) * F.col("n") - 1e-9))
+    return left
+
+
 def _links_in_large_groups(large: DataFrame, told: DataFrame, labels: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
-    """Links between points of a large group that are in different components after the comparison with the group's centre.
+    """Links that join the components of large groups which are left after the comparison with the groups' centres.
+
+    Alike sets share a share ``similarity`` of either, so of the shingles met twice, the rarest first, they have one among so many
+    that fewer are left than they share; only points that meet there are candidates. Points of one common part are a class: sizes and
+    common parts settle the similarity, which is larger for smaller sets, so a point that is like one of a class is like its smallest,
+    too, and the smallest of two classes are alike if any of theirs are. Each point is compared with the smallest of a class alone,
+    its own included, and no component is missed.
 
-    1 - similarity is a metric, so two points whose distances to the centre differ by more than 1 - ``similarity`` are no link.
+    First, each is compared with the point of the most frequent shingles that it meets. Two points share no more than their common
+    parts, and, about one such point, no more than what either shares with it and what either has in common with others besides.
     """
-    placed = large.join(labels, large.v == labels.node, "left").select("band", "centre", "points", "v", "n", F.coalesce("root", "v").alias("root"))
-    open_ = stash(placed.groupBy("band").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("band"))
-    known = told.select("a", "b", "similarity")
-    far = (
-        placed.join(open_, "band").withColumn("a", F.least("v", "centre")).withColumn("b", F.greatest("v", "centre"))
-        .join(known, ["a", "b"], "left").select("band", "points", "v", "n", "root", F.when(F.col("v") == F.col("centre"), 0.0).otherwise(1 - F.col("similarity")).alias("d"))
-    )
-    far = stash(far.withColumn("blocks", F.ceil(F.col("points") / GROUP_BLOCK).cast("int")))
+    placed = large.join(labels, large.v == labels.node, "left").select("band", "v", F.coalesce("root", "v").alias("root"))
+    open_ = placed.groupBy("band").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("band")
+    parts = _parts_in_common(placed.join(open_, "band").select("v", "root").distinct(), sets, similarity)
+    each = stash(parts.select("v", F.explode("common").alias("x")))
+    met = each.groupBy("x").agg(F.count(F.lit(1)).alias("times"))
+    ranked = each.join(met, "x").groupBy("v").agg(F.sort_array(F.collect_list(F.struct("times", "x"))).alias("xs"), F.sum("times").alias("usual"))
+    first = F.size("xs") - F.ceil(F.lit(similarity) * F.col("n") - 1e-9) + 1
+    told_of = parts.select("v", "root", "n", F.size("common").alias("size"), F.md5(F.array_join("common", ",").cast("binary")).alias("c"))
+    at = stash(ranked.join(told_of, "v").withColumn("usual", F.col("usual") / F.col("n")).withColumn("xs", F.slice("xs", F.lit(1), first.cast("int"))))
+    meets = at.select("v", "usual", F.inline("xs"))
+    tops = meets.groupBy("x").agg(F.max(F.struct("usual", "v")).alias("top"))
+    hubs = stash(meets.join(tops, "x").groupBy("v").agg(F.max("top").alias("top")).select("v", F.col("top.v").alias("hub")))
+    ordered = lambda df, x, y: df.select(F.least(x, y).alias("a"), F.greatest(x, y).alias("b")).distinct()
+    asked = stash(_compared(stash(ordered(hubs.where("v <> hub"), "v", "hub")), sets))
+    links = asked.where(F.col("similarity") >= similarity).select("a", "b")
+    root = lambda i: told_of.select(F.col("v").alias(i), F.col("root").alias(f"r{i}"))
+    merged = component_labels(links.join(root("a"), "a").join(root("b"), "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))).withColumnRenamed("root", "merged")
+    alike = F.when(F.col("v") == F.col("hub"), 1.0).otherwise(F.col("similarity"))
+    hubs = hubs.withColumn("a", F.least("v", "hub")).withColumn("b", F.greatest("v", "hub")).join(asked, ["a", "b"], "left").select("v", "hub", alike.alias("alike"))
+    hubs = hubs.join(told_of.select(F.col("v").alias("hub"), F.col("n").alias("nh")), "hub")
+    least = told_of.groupBy("c").agg(F.min(F.struct("n", "v")).alias("m")).select(F.col("m.v").alias("v"), F.lit(True).alias("least"))
+    at = at.join(hubs, "v").join(least, "v", "left").join(merged, at.root == merged.node, "left").withColumn("root", F.coalesce("merged", "root"))
+    at = at.withColumn("shared", F.round(F.col("alike") * (F.col("n") + F.col("nh")) / (1 + F.col("alike"))).cast("int"))
+    at = stash(at.select("v", "n", "root", "size", "hub", "shared", (F.col("size") - F.col("shared")).alias("besides"), "least", F.inline("xs")).withColumn("blocks", F.ceil(F.col("times") / GROUP_BLOCK).cast("int")))
     block = F.pmod(F.xxhash64("v"), F.col("blocks")).cast("int")
-    one = far.select("band", block.alias("block"), F.col("v").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"), F.col("d").alias("da"))
-    two = far.select("band", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("v").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), F.col("d").alias("db"))
-    apart = (F.col("ra") < F.col("rb")) & (F.abs(F.col("da") - F.col("db")) <= 1 - similarity + 1e-9) & (F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb"))
-    pairs = one.join(two, ["band", "block"]).where(apart).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    return _compared(stash(pairs.join(known, ["a", "b"], "left_anti")), sets).where(F.col("similarity") >= similarity).select("a", "b")
+    side = lambda i: [F.col(c).alias(c + i) for c in ("v", "n", "root", "size", "hub", "shared", "besides")]
+    one = at.select("x", block.alias("block"), *side("a"))
+    two = at.where("least").select("x", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *side("b"))
+    both = F.least("sizea", "sizeb", F.when(F.col("huba") == F.col("hubb"), F.least("shareda", "sharedb") + F.least("besidesa", "besidesb")))
+    most = both * (1 + similarity) >= F.lit(similarity) * (F.col("na") + F.col("nb")) - 1e-9
+    pairs = ordered(one.join(two, ["x", "block"]).where((F.col("roota") != F.col("rootb")) & most), "va", "vb")
+    seen = told.select("a", "b").unionByName(asked.select("a", "b"))
+    found = _compared(stash(pairs.join(seen, ["a", "b"], "left_anti")), sets).where(F.col("similarity") >= similarity).select("a", "b")
+    return links.unionByName(found)
 
 
 def keep_one_of_group(docs: DataFrame, key: str = "doc_id", text: str = "text", similarity: float | None = None, **how) -> DataFrame:

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fold_of, mix64, small_batches, span_hashes, table, text_blocks, tidied, word_spans
+from .common import fold_of, give_back, mix64, small_batches, span_hashes, table, text_blocks, tidied, word_spans
 from .ftrl import FtrlLogistic
 
 FEATURE_BITS = 20
@@ -122,7 +122,10 @@ def fit(
             model.learn(at, np.ones(len(at)), y[i])
     w, b = model.weights()
     at = np.flatnonzero(w[:, 0])
-    return ToxicityModel(at, w[at, 0], float(b[0]), bits)
+    fitted = ToxicityModel(at, w[at, 0], float(b[0]), bits)
+    del got, features, flat, ends, model, w
+    give_back()  # the driver's later stages have no use for the sample's memory
+    return fitted
 
 
 def score(docs: DataFrame, model, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:

@@ -207,6 +207,19 @@ def test_similar_groups(spark, monkeypatch, all_pairs, block):
     assert collections.Counter(map(tuple, got)) == collections.Counter(similar_components(rows, 0.8))
 
 
+def test_large_groups_are_not_paired(spark, monkeypatch):
+    """Copies of one passage with words of their own: components as pair by pair, comparisons about as many as points."""
+    dice = random.Random(8)
+    passages = [[f"w{dice.randrange(10**6)}" for _ in range(60)] for _ in range(2)]
+    texts = [p[i % 3 :] + [f"own{dice.randrange(10**9)}" for _ in range(dice.randrange(4, 15))] for p in passages for i in range(150)]
+    rows = [(i, " ".join(w)) for i, w in enumerate(texts)]
+    asked, compared = [], simhash._compared
+    monkeypatch.setattr(simhash, "_compared", lambda pairs, sets: asked.append(pairs.count()) or compared(pairs, sets))
+    got = simhash.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(map(tuple, got)) == sorted(similar_components(rows, 0.8))
+    assert sum(asked[1:]) < 4 * len(rows)  # of 2 * 150 * 149 / 2 pairs
+
+
 def test_near_copies_go_with_all_columns(docs, empty):
     clash = {c: F.lit(1) for c in ("group_key", "v", "k", "a.b", "__key", "component_id")}
     kept = simhash.keep_one_of_group(docs.withColumns(clash), similarity=0.8)

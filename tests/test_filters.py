@@ -279,3 +279,10 @@ def test_written_folders_can_be_deleted(spark, keys):
     folder = Path(storage._WRITTEN[-1].removeprefix("file:"))
     assert h.bits() > 0 and folder.exists()
     assert storage.forget(spark) > 0 and not folder.exists() and not storage._WRITTEN
+
+
+def test_bits_of_a_segment_hold_their_rate(spark):
+    """More positives than the bits of one segment are enough for: the rate stays, in more segments."""
+    df = spark.range(30_000).select("id", (F.col("id") % 5 == 0).alias("y"))
+    r = X.single(df, ["id"], "y", "bloom", 0.05, {"bits": 20_000}).confusion().first()
+    assert r["fn"] == 0 and r["fpr"] < 0.08

@@ -24,3 +24,8 @@ def test_entry(spark):
 @pytest.mark.parametrize("name", ["stream_sliding", "stream_sessions", "stream_interval_join"])
 def test_streams_lose_no_rows(spark, sf, same_rows, name):
     same_rows(workloads.QUERIES[name](spark, sf), workloads.ORACLE_SQL[name])
+
+
+@pytest.mark.parametrize("name", ["op_recursive"])
+def test_rows_come_from_a_table(spark, sf, name):
+    assert workloads.QUERIES[name](spark, sf).inputFiles()

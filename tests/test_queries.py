@@ -26,6 +26,6 @@ def test_streams_lose_no_rows(spark, sf, same_rows, name):
     same_rows(workloads.QUERIES[name](spark, sf), workloads.ORACLE_SQL[name])
 
 
-@pytest.mark.parametrize("name", ["op_recursive", "t01_bounds_and_costs", "t16_general_costs", "t21_plans"])
+@pytest.mark.parametrize("name", ["op_recursive", "t01_bounds_and_costs", "t16_general_costs", "t21_plans", "t24_layer_plan"])
 def test_rows_come_from_a_table(spark, sf, name):
     assert workloads.QUERIES[name](spark, sf).inputFiles()

@@ -1,11 +1,13 @@
 """The training-data operators against brute force, on small awkward tables."""
 
 import collections
+import gc
 import hashlib
 import math
 import random
 import re
 import time
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -355,6 +357,30 @@ def test_full_tables_are_emptied(monkeypatch, reference):
         assert np.frombuffer(small.encode(s), "<u4").tolist() == reference.encode_ordinary(s)
 
 
+def test_states_are_bounded_by_bytes(monkeypatch, reference):
+    monkeypatch.setattr(byte_bpe, "STATE_BYTES", 300)
+    small = byte_bpe.Codec(RANKS, public_tokenizers.PATTERN)
+    for s in ("the quick brown fox " * 5, "unbelievable antidisestablishmentarianism", "z" * 500):
+        assert np.frombuffer(small.encode(s), "<u4").tolist() == reference.encode_ordinary(s)
+        assert len(small.pieces.transducer.kept) < 600
+
+
+def test_tables_are_compact(monkeypatch):
+    """Full ones of each worker stand beside an executor's heap; here with a twentieth of the bounds, so that filling them takes little time."""
+    for name in ("MAX_TRANSITIONS", "MAX_PAIRS", "MAX_PIECES"):
+        monkeypatch.setattr(byte_bpe, name, getattr(byte_bpe, name) // 20)
+    dice = random.Random(3)
+    words = ["".join(dice.choices("etaoinshrdlu", k=dice.randrange(3, 11))) for _ in range(8_000)]
+    tracemalloc.start()
+    small = byte_bpe.Codec(RANKS, public_tokenizers.PATTERN)
+    for w in words:
+        small.encode(w)
+    gc.collect()
+    size = tracemalloc.get_traced_memory()[0]
+    tracemalloc.stop()
+    assert size < 16 << 20
+
+
 @pytest.mark.parametrize("text", ["a" * 5_000_000, "ab" * 300_000, "é" * 200_000, "qwertyuiopasdfghjklzxcvbnm" * 20_000])
 def test_long_pieces_take_linear_time(codec, monkeypatch, text):
     monkeypatch.setattr(byte_bpe, "MAX_TRANSITIONS", 50)  # the tables are emptied within the piece, too
